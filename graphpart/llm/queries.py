@@ -35,6 +35,18 @@ def op2_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
     return score_quality(docs, fit_quality(docs, load(spark, sf_dir, "labels")))
 
 
+def op3_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from graphpart.llm.jaccard import jaccard_classes
+
+    return jaccard_classes(load(spark, sf_dir, "documents"))
+
+
+def op4_nearest_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from graphpart.llm.ann import nearest_neighbours
+
+    return nearest_neighbours(load(spark, sf_dir, "embeddings"))
+
+
 def op5_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     from graphpart.llm.langid import fit_langid, identify_languages
 
@@ -74,6 +86,9 @@ def op10_retrieval_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES: dict[str, Query] = {
     f.__name__: f
-    for f in (op1_media_columns, op2_quality_classifier, op5_language_id, op6_token_counts, op7_personal_data, op8_bpe_round_trip, op9_secret_scan, op10_retrieval_packing)
+    for f in (
+        op1_media_columns, op2_quality_classifier, op3_jaccard_join, op4_nearest_neighbours, op5_language_id,
+        op6_token_counts, op7_personal_data, op8_bpe_round_trip, op9_secret_scan, op10_retrieval_packing,
+    )
 }
 ORACLE_SQL: dict[str, str] = {}
