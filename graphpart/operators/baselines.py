@@ -259,9 +259,9 @@ def _grow_and_refine(weight: dict[int, int], near: dict[int, dict[int, int]], k:
             for u, w in near[v].items():
                 have[label[u]] += w
             cur = label[v]
-            options = [(have[j] - have[cur], -load[j], -j) for j in have if j != cur and load[j] + weight[v] <= limit]
+            options = [(have[j] - have.get(cur, 0), -load[j], -j) for j in have if j != cur and load[j] + weight[v] <= limit]
             if load[cur] > limit:
-                options += [(have[j] - have[cur], -load[j], -j) for j in range(k) if j != cur and load[j] + weight[v] <= limit]
+                options += [(have.get(j, 0) - have.get(cur, 0), -load[j], -j) for j in range(k) if j != cur and load[j] + weight[v] <= limit]
             if options and (max(options)[0] > 0 or load[cur] > limit):
                 j = -max(options)[2]
                 load[cur] -= weight[v]

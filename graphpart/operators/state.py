@@ -71,9 +71,14 @@ def _water_level(loads: list[int], total: int) -> float:
     return 0.0
 
 
-def partition_loads(state: DataFrame, unit: str = "degree") -> DataFrame:
-    """(label, b, n) of (v, label, deg, wdeg)."""
-    return state.groupBy("label").agg(F.sum(load_of(unit)).alias("b"), F.count(F.lit(1)).alias("n"))
+def partition_loads(state: DataFrame, unit: str = "degree", label_set: list[int] | None = None) -> DataFrame:
+    """(label, b, n) of (v, label, deg, wdeg); with ``label_set``, labels without members too."""
+    loads = state.groupBy("label").agg(F.sum(load_of(unit)).alias("b"), F.count(F.lit(1)).alias("n"))
+    if label_set is None:
+        return loads
+    zero = F.lit(0).cast("long")
+    ids = state.sparkSession.createDataFrame([(i,) for i in label_set], "label int")
+    return ids.join(loads, "label", "left").select("label", F.coalesce("b", zero).alias("b"), F.coalesce("n", zero).alias("n"))
 
 
 def capacity(total: float, k: int, c: float = 1.05) -> float:

@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 from collections.abc import Callable
-from functools import partial
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -16,12 +15,14 @@ from graphpart.plans.graph_sql import GRAPH_SQL
 from graphpart.plans.oracle import Loop, smallworld_sql
 from graphpart.sources import graphs
 from graphpart.sources.tables import load
+from graphpart.workloads import experiments
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
 ORACLE: dict[str, str] = {}
 K, SEED = 8, 42
 PORTABLE = "portable"
+FULL = 16  # iterations at most of the queries that run to a halt
 
 
 def query(name: str, sql: str | None = None) -> Callable[[Query], Query]:
@@ -88,7 +89,7 @@ def _pieces(s: SparkSession, d: str) -> dict[str, DataFrame | float]:
     state = verts.join(labels, "v")
     total = verts.agg(F.sum("deg")).first()[0] or 0
     cap = st.capacity(total, K)
-    loads = st.partition_loads(state)
+    loads = st.partition_loads(state, label_set=list(range(K)))
     return {"arcs": arcs, "verts": verts, "labels": labels, "state": state, "cap": cap, "loads": loads}
 
 
@@ -104,7 +105,7 @@ query("score_weighted", _LOOP.sql("SELECT v, label, h AS score FROM h1"))(lambda
 query("score_balanced", _LOOP.sql("SELECT v, label, round(s, 9) AS score FROM s1"))(lambda s, d: _scored(_pieces(s, d)).select("v", "label", F.round("score", 9).alias("score")))
 query("best_label", _LOOP.sql("SELECT v, best AS label FROM best1"))(lambda s, d: scores.best_label(_scored(_pieces(s, d), "compact"), SEED, 1, PORTABLE).select("v", F.col("best").alias("label")))
 query("candidates", _LOOP.sql("SELECT v, cur, best FROM best1 WHERE best <> cur"))(lambda s, d: migrate.candidates(scores.best_label(_scored(_pieces(s, d), "compact"), SEED, 1, PORTABLE)).select("v", "cur", "best"))
-query("loads_degree", _LOOP.sql("SELECT label, CAST(sum(deg) AS BIGINT) AS b, count(*) AS n FROM lab0 JOIN verts USING (v) GROUP BY label"))(lambda s, d: _pieces(s, d)["loads"])
+query("loads_degree", _LOOP.sql("SELECT ids.label, CAST(coalesce(sum(deg), 0) AS BIGINT) AS b, count(verts.v) AS n FROM ids LEFT JOIN lab0 ON lab0.label = ids.label LEFT JOIN verts ON verts.v = lab0.v GROUP BY ids.label"))(lambda s, d: _pieces(s, d)["loads"])
 query("loads_vertices", _LOOP.sql("SELECT label, count(*) AS b, count(*) AS n FROM lab0 GROUP BY label"))(lambda s, d: st.partition_loads(_pieces(s, d)["state"], "vertices"))
 query("loads_weighted", _LOOP.sql("SELECT label, CAST(sum(wdeg) AS BIGINT) AS b, count(*) AS n FROM lab0 JOIN verts USING (v) GROUP BY label"))(lambda s, d: st.partition_loads(_pieces(s, d)["state"], "weighted_degree"))
 query("capacity_penalty", _LOOP.sql("SELECT label, round(CAST(b AS DOUBLE) / c, 9) AS pi FROM loads1 CROSS JOIN cap"))(lambda s, d: (p := _pieces(s, d)) and st.penalty(p["loads"], p["cap"]).select("label", F.round("pi", 9).alias("pi")))
@@ -180,9 +181,9 @@ ORACLE["plain_lpa_t3"] = _plain_sql(3)
 # -- the method to its halt, and its variants
 
 for _name in ("g_cust_supp", "g_events", "g_web", "g_doc", "g_conv"):
-    query(f"blp_full_{_name[2:]}")(lambda s, d, g=_name: partition(_graph(g)(s, d), K, directed=g in graphs.DIRECTED).history_frame(s).select("t", "phi", "rho", "score", "migrated", "messages"))
-query("blp_async_per_task")(lambda s, d: partition(_graph("g_web")(s, d), K, async_mode="per_task").history_frame(s).select("t", "phi", "rho", "migrated"))
-query("blp_batched")(lambda s, d: partition(_graph("g_web")(s, d), K, async_mode="batched").history_frame(s).select("t", "phi", "rho", "migrated"))
+    query(f"blp_full_{_name[2:]}")(lambda s, d, g=_name: partition(_graph(g)(s, d), K, directed=g in graphs.DIRECTED, max_iter=FULL).history_frame(s).select("t", "phi", "rho", "score", "migrated", "messages"))
+query("blp_async_per_task")(lambda s, d: partition(_graph("g_web")(s, d), K, async_mode="per_task", max_iter=FULL // 2).history_frame(s).select("t", "phi", "rho", "migrated"))
+query("blp_batched")(lambda s, d: partition(_graph("g_web")(s, d), K, async_mode="batched", max_iter=FULL // 2).history_frame(s).select("t", "phi", "rho", "migrated"))
 
 # -- change
 
@@ -218,7 +219,7 @@ query(
 )(lambda s, d: st.init_from(_old_labels(s, d), convert.vertex_stats(convert.to_weighted_undirected(_graph("g_events")(s, d))), "random", K, SEED, PORTABLE))
 query("new_vertices_water_fill")(lambda s, d: st.init_from(_old_labels(s, d), convert.vertex_stats(convert.to_weighted_undirected(_graph("g_events")(s, d))), "water_fill", K))
 query("adapt_t3_all", _NEW_LOOP.labels_sql())(lambda s, d: adapt.adapt_graph(_old_labels(s, d), _graph("g_events")(s, d), K, seed=SEED, provider=PORTABLE, halting=FixedIterations(3)).labels)
-query("adapt_affected")(lambda s, d: adapt.adapt_graph(_old_labels(s, d), _graph("g_events")(s, d), K, scope="affected", edges_old=_half(s, d)).history_frame(s).select("t", "phi", "rho", "migrated", "messages"))
+query("adapt_affected")(lambda s, d: adapt.adapt_graph(_old_labels(s, d), _graph("g_events")(s, d), K, scope="affected", edges_old=_half(s, d), max_iter=4).history_frame(s).select("t", "phi", "rho", "migrated", "messages"))
 
 _GROW = f"CASE WHEN {draw_sql(SEED, 0, 'grow', 'v')} / 4294967296.0 < {2 / (K + 2)!r} THEN {K} + {draw_sql(SEED, 0, 'pick', 'v')} % 2 ELSE label END"
 _SHRINK = f"CASE WHEN label IN (1, 5) THEN [0, 2, 3, 4, 6, 7][{draw_sql(SEED, 0, 'shrink', 'v')} % 6 + 1] ELSE label END"
@@ -368,7 +369,7 @@ query("event_sessions", "SELECT user_id, count(*) AS sessions FROM (SELECT user_
 query("props_json", "SELECT CAST(json_extract_string(props, '$.k') AS BIGINT) % 10 AS bucket, count(*) AS n FROM events GROUP BY 1")(
     lambda s, d: load(s, d, "events").groupBy((F.get_json_object("props", "$.k").cast("long") % 10).alias("bucket")).agg(F.count(F.lit(1)).alias("n"))
 )
-query("asof_label", _asof_sql := "SELECT e.event_id, (SELECT max_by(p.event_type, p.event_id) FROM events p WHERE p.user_id = e.user_id AND p.event_id < e.event_id AND p.event_type IN ('signup', 'purchase')) AS last FROM events e WHERE e.event_type = 'error'")(
+query("asof_label", "SELECT e.event_id, (SELECT max_by(p.event_type, p.event_id) FROM events p WHERE p.user_id = e.user_id AND p.event_id < e.event_id AND p.event_type IN ('signup', 'purchase')) AS last FROM events e WHERE e.event_type = 'error'")(
     lambda s, d: load(s, d, "events")
     .withColumn("last", F.last(F.when(F.col("event_type").isin("signup", "purchase"), F.col("event_type")), ignorenulls=True).over(Window.partitionBy("user_id").orderBy("event_id").rowsBetween(Window.unboundedPreceding, -1)))
     .where("event_type = 'error'")
@@ -394,4 +395,6 @@ def flagship(s: SparkSession, d: str) -> DataFrame:
 
 
 query("blp_flagship")(flagship)
-_ = partial
+
+for _name, _run in experiments.WORKLOADS.items():
+    query(_name)(_run)
