@@ -161,29 +161,39 @@ def run_loop(
     cap = st.capacity(total, k, c)
     if total and top["most"] > cap:
         warnings.warn(f"the largest vertex ({top['most']}) exceeds the capacity ({cap:.1f}): no labelling can keep the balance", stacklevel=3)
-    history, flows, hist, moved, messages, migrated = [], [], None, None, 0, None
-    n_cand, migrate_s = 0, 0.0
-    moves = None
-    t = 0
+    history, flows, messages, migrated = [], [], 0, None
+    hist = best = moves = None
+    n_cand, migrate_s, t = 0, 0.0, 0
     while True:
         began = time.time()
-        loads = {i: (0, 0) for i in label_set} | {r["label"]: (r["b"], r["n"]) for r in st.partition_loads(state, unit).collect()}
-        loads_df = spark.createDataFrame([(i, int(b), int(n)) for i, (b, n) in sorted(loads.items())], "label int, b long, n long")
-        if hist is None or hist_mode == "rebuild" or moves is None:
+        if hist is None or hist_mode == "rebuild":
             hist = durable(scores.build_hist(arcs, state))
         elif migrated:
             hist = durable(scores.apply_delta(hist, scores.hist_delta(arcs, moves)))
+        # one job: loads, and arcs inside a label
+        by_label = state.join(hist.select("v", "label", F.col("n").alias("inside")), ["v", "label"], "left").groupBy("label")
+        rows = by_label.agg(F.sum(st.load_of(unit)).alias("b"), F.count(F.lit(1)).alias("n"), F.sum("inside").alias("inside")).collect()
+        loads = {i: (0, 0) for i in label_set} | {r["label"]: (r["b"], r["n"]) for r in rows}
+        local = sum(r["inside"] or 0 for r in rows)
+        loads_df = spark.createDataFrame([(i, int(b), int(n)) for i, (b, n) in sorted(loads.items())], "label int, b long, n long")
         scored = scores.score_balanced(hist, state, loads_df, cap, candidate_set)
+        if best is not None:
+            best.unpersist()
         if async_mode == "per_task":
             from graphpart.operators.async_tasks import score_per_task
 
-            best = durable(score_per_task(scored, loads, cap, unit, seed, t + 1, async_update))
+            best = score_per_task(scored, loads, cap, unit, seed, t + 1, async_update).persist()
         else:
-            best = durable(scores.best_label(scored, seed, t + 1, provider))
-        own = hist.join(state.select("v", "label", "wdeg"), ["v", "label"])
-        now = best.agg(F.sum("s_cur").alias("score")).first()
-        local = own.agg(F.sum("n").alias("n")).first()["n"] or 0
-        score = now["score"] or 0.0
+            best = scores.best_label(scored, seed, t + 1, provider).persist()
+        # one job: best labels, their score, and what asks for each label
+        chosen = best
+        if active is not None:
+            chosen = best.join(active.withColumn("_on", F.lit(1)), "v", "left").withColumn("best", F.when(F.col("_on") == 1, F.col("best")).otherwise(F.col("cur"))).drop("_on")
+        if unit == "weighted_degree":
+            chosen = chosen.join(verts.select("v", "wdeg"), "v")
+        asks = F.col("best") != F.col("cur")
+        asked = {r["best"]: r for r in chosen.groupBy("best").agg(F.sum("s_cur").alias("s"), F.sum(F.when(asks, st.load_of(unit))).alias("m"), F.count_if(asks).alias("n")).collect()}
+        score = sum(r["s"] or 0.0 for r in asked.values())
         most = max(b for b, _ in loads.values())
         history.append({
             "t": t, "phi": local / n_arcs if n_arcs else 1.0, "rho": most * k / total if total else 1.0, "score": score, "candidates": n_cand, "migrated": migrated or 0,
@@ -193,20 +203,15 @@ def run_loop(
             break
         t += 1
         began = time.time()
-        cands = migrate.candidates(best)
-        if active is not None:
-            cands = cands.join(active, "v", "left_semi")
-        if unit == "weighted_degree":
-            cands = cands.join(verts.select("v", "wdeg"), "v")
         if async_mode == "batched":
-            new, n_cand = _batched(best, cands, state, loads, cap, unit, seed, t, provider, throttle, batches)
+            new, n_cand = _batched(chosen, migrate.candidates(chosen), loads, cap, unit, seed, t, provider, throttle, batches)
         else:
-            m = {r["label"]: r for r in migrate.candidate_loads(cands, unit).collect()}
-            p = {i: migrate.migration_probability(cap - loads[i][0], r["m"], throttle) for i, r in m.items() if i in loads}
-            n_cand = sum(r["n"] for r in m.values())
-            chosen = best if active is None else best.join(active.withColumn("_on", F.lit(1)), "v", "left").withColumn("best", F.when(F.col("_on") == 1, F.col("best")).otherwise(F.col("cur"))).drop("_on")
+            p = {i: migrate.migration_probability(cap - loads[i][0], r["m"], throttle) for i, r in asked.items() if r["n"]}
+            n_cand = sum(r["n"] for r in asked.values())
             new = migrate.migrate(chosen, p, seed, t, provider)
-        moves = durable(new.where("new <> cur").select("v", F.col("cur").alias("old"), "new", "deg"))
+        if moves is not None:
+            moves.unpersist()
+        moves = new.where("new <> cur").select("v", F.col("cur").alias("old"), "new", "deg").persist()
         got = moves.agg(F.count(F.lit(1)).alias("n"), F.sum("deg").alias("deg")).first()
         migrated, messages = got["n"], (got["deg"] or 0) + (n_arcs if t == 1 else 0)
         if record_flows:
@@ -220,7 +225,7 @@ def run_loop(
     return PartitionResult(state.select("v", "label"), history, k, cap, label_set, verts, flows, getattr(halting, "halted_at", None))
 
 
-def _batched(best, cands, state, loads, cap, unit, seed, t, provider, throttle, batches):
+def _batched(best, cands, loads, cap, unit, seed, t, provider, throttle, batches):
     """Hash batches inside an iteration: each batch's probabilities see the loads after the batches before."""
     load = st.load_of(unit) if unit != "weighted_degree" else F.col("wdeg")
     b = {i: x for i, (x, _) in loads.items()}
