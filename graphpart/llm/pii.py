@@ -25,7 +25,7 @@ from graphpart.llm.common import ID, TEXT, arrow_map, strings
 
 KINDS = ("email", "ip", "card", "phone")
 Span = tuple[int, int, int]  # kind, start, end
-LENGTH, STRIDE = 64, 32
+LENGTH, STRIDE, WINDOWS = 64, 32, 512
 EMBED, HIDDEN = 8, 12
 TAGS = 1 + 2 * len(KINDS)  # outside, then begin and inside of each kind
 
@@ -121,7 +121,7 @@ class Tagger:
             self.p["W" + d] = rng.normal(0, 0.3, (EMBED + HIDDEN, 4 * HIDDEN))
             self.p["c" + d] = np.r_[np.zeros(HIDDEN), np.ones(HIDDEN), np.zeros(2 * HIDDEN)]
 
-    def _lstm(self, x: np.ndarray, d: str) -> tuple[np.ndarray, list]:
+    def _lstm(self, x: np.ndarray, d: str, keep: bool) -> tuple[np.ndarray, list]:
         w, c0, steps = self.p["W" + d], self.p["c" + d], []
         pre = x @ w[:EMBED] + c0
         h = c = np.zeros((x.shape[1], HIDDEN))
@@ -132,14 +132,15 @@ class Tagger:
             i, f, o, g = s[:, :HIDDEN], s[:, HIDDEN : 2 * HIDDEN], s[:, 2 * HIDDEN :], np.tanh(z[:, 3 * HIDDEN :])
             was, c = c, f * c + i * g
             th = np.tanh(c)
-            steps.append((t, h, was, i, f, o, g, th))
+            if keep:
+                steps.append((t, h, was, i, f, o, g, th))
             h = o * th
             out[t] = h
         return out, steps
 
     def emissions(self, classes: np.ndarray, keep: bool = False):
         x = self.p["E"][classes]
-        (hf, sf), (hb, sb) = self._lstm(x, "F"), self._lstm(x, "B")
+        (hf, sf), (hb, sb) = self._lstm(x, "F", keep), self._lstm(x, "B", keep)
         both = np.concatenate([hf, hb], axis=2)
         e = both @ self.p["O"] + self.p["b"]
         return (e, x, both, sf, sb) if keep else e
@@ -304,15 +305,15 @@ def window_starts(anchors: list[int], n: int) -> list[int]:
 
 
 def find_spans(texts: list[str], tagger: Tagger) -> list[tuple[list[Span], list[Span]]]:
-    """(base spans, added spans) of each text; the windows of all texts are scored together, 2,048 at a time."""
+    """(base spans, added spans) of each text; the windows of all texts are scored together, WINDOWS at a time."""
     base, jobs = [], []
     for i, text in enumerate(texts):
         anchors = [m.start() for m in _ANCHOR.finditer(text)]
         base.append(base_spans(text) if anchors else [])
         jobs += [(i, s) for s in window_starts(anchors, len(text))]
     merged: dict[tuple[int, int], list[list[int]]] = {}
-    for lo in range(0, len(jobs), 2048):
-        part = jobs[lo : lo + 2048]
+    for lo in range(0, len(jobs), WINDOWS):
+        part = jobs[lo : lo + WINDOWS]
         classes = np.full((LENGTH, len(part)), 27 + _PUNCT.index("\n"), np.int64)
         for j, (i, s) in enumerate(part):
             c = char_classes(texts[i][s : s + LENGTH])

@@ -24,7 +24,7 @@ BITS = 18
 MASK = (1 << BITS) - 1
 GAIN = 16.0
 MAX_TRAIN_DOCS, MAX_TRAIN_CHARS = 6000, 30_000
-CACHE_WORDS = 400_000
+CACHE_WORDS = 250_000
 
 
 def shape_of(word: str) -> str:
