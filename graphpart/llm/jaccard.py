@@ -6,9 +6,10 @@ Shingles are 64-bit hashes, a text's set is a sorted array, and equal sets count
    share at least a known number of them, so a set that meets too few others' there links with nothing and rests.
 2. The full sets of the others are dealt out by hash. Where several sets meet, each is counted against the smallest
    of them: a count high enough proves the link, without any set having been moved. The same pass tells how
-   many of a set's shingles are its own alone; with over a quarter of those it links with nothing. And sets that meet
-   in the first quarter of both, which linked sets must, fall into the same neighbourhood.
-3. A neighbourhood whose sets are one class already is done, however many there are. In the others, sets go to tiles of
+   rare a set's shingles are; with over a quarter of its own alone it links with nothing.
+3. Dealt out again, sets that meet at one of the rarest quarter of both, which linked sets must, fall into the same
+   neighbourhood; a passage that many texts share is not among the rarest and joins none of them.
+4. A neighbourhood whose sets are one class already is done, however many there are. In the others, sets go to tiles of
    bounded size. In a tile, sets are ordered by size and compared within the band of sizes that 0.75 allows; hashed
    bitmaps bound the overlap from above by bit counts, and what passes is counted exactly on the sorted arrays. Pairs that
    are of one class by then need no comparison.
@@ -29,14 +30,14 @@ from itertools import groupby
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from graphpart.llm.common import ID, TEXT, arrow_map, durable, strings
 from graphpart.llm.components import connected
 
 WORDS = 5
-CACHE_WORDS = 400_000
+CACHE_WORDS = 250_000
 MOST_BROADCAST = 1_000_000  # rows of 24 bytes
 TILE_SETS = 1500
 _U = np.uint64
@@ -108,6 +109,40 @@ def _dealt(kind: int, elems: np.ndarray, sks: np.ndarray, marks: np.ndarray | No
     return _rows(kind, **cols)
 
 
+def _packed(kind: int, a: np.ndarray, b: np.ndarray, counts: np.ndarray, buckets: int) -> pa.RecordBatch:
+    """Counts of pairs (a, b) found by one task: a row for each bucket of a, not one for each pair."""
+    bucket = (a.astype(np.uint64) % _U(buckets)).astype(np.uint32)
+    order = np.argsort(bucket, kind="stable")
+    at = np.flatnonzero(np.r_[True, np.diff(bucket[order]) != 0]) if order.size else np.zeros(0, np.int64)
+    spans = list(zip(at.tolist(), [*at.tolist()[1:], order.size], strict=True))
+    cols = [np.ascontiguousarray(x[order].astype(t)).tobytes() for x, t in ((a, np.int64), (b, np.int64), (counts, np.int32))]
+    cut = lambda data, wide: [data[x * wide : y * wide] for x, y in spans]
+    return _rows(kind, bucket=bucket[order][at].astype(np.int32), elems=cut(cols[0], 8), sks=cut(cols[1], 8), marks=cut(cols[2], 4))
+
+
+def _totals(packed: DataFrame) -> DataFrame:
+    """(kind, sk: a, doc_id: b, n): packed counts dealt by a and summed; rows of other kinds as they are."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        parts: dict[int, tuple[list, list, list]] = {}
+        for batch in batches:
+            blob = np.asarray(batch.column("elems").is_valid())
+            if not blob.all():
+                yield batch.filter(pa.array(~blob))
+            for kind, *data in zip(*(batch.column(c).to_pylist() for c in ("kind", "elems", "sks", "marks")), strict=True):
+                if data[0] is not None:
+                    for to, x in zip(parts.setdefault(kind, ([], [], [])), data, strict=True):
+                        to.append(x)
+        for kind, (a, b, c) in parts.items():
+            x, y, n = np.frombuffer(b"".join(a), np.int64), np.frombuffer(b"".join(b), np.int64), np.frombuffer(b"".join(c), np.int32)
+            order = np.lexsort((y, x))
+            x, y, n = x[order], y[order], n[order]
+            new = np.flatnonzero(np.r_[True, (x[1:] != x[:-1]) | (y[1:] != y[:-1])])
+            yield _rows(kind, sk=x[new], doc_id=y[new], n=np.add.reduceat(n, new).astype(np.int32))
+
+    return durable(arrow_map(packed.repartition("bucket"), run, _ROW).select("kind", "doc_id", "sk", "n"))
+
+
 def _gathered(batches: Iterator[pa.RecordBatch], wide: int) -> tuple[list[pa.RecordBatch], np.ndarray, np.ndarray, np.ndarray]:
     """Rows that are no hashes, and the hashes, set keys and marks of the others, by hash, then key, each pair once."""
     rest, e, s, m = [], [], [], []
@@ -183,43 +218,74 @@ def first_pass(docs: DataFrame) -> DataFrame:
         yield from rest
         if elems.size:
             k, c = np.unique(sks[_groups(elems)[1] > 1], return_counts=True)
-            yield _rows(1, sk=k, n=c.astype(np.int32))
+            if k.size:
+                yield _packed(1, k, np.zeros(k.size, np.int64), c, buckets)
 
     dealt = arrow_map(docs.select(F.col(ID).cast("long").alias(ID), TEXT), deal, _ROW).repartition("bucket")
-    return durable(arrow_map(dealt, count, _ROW).select("kind", "doc_id", "sk", "n"))
+    return _totals(arrow_map(dealt, count, _ROW))
 
 
-def second_pass(docs: DataFrame, chosen: DataFrame, n_chosen: int) -> DataFrame:
-    """kind 2: (sk, n) shingles of its own; kind 3: (sk, doc_id: smallest set met, n: how often); kind 4: likewise, neighbours."""
+def _deal_sets(docs: DataFrame, chosen: DataFrame, n_chosen: int, mark: str | None) -> DataFrame:
+    """The full sets of the chosen texts, dealt by hash; each hash carries its set's key and, if asked, a mark of its set."""
     buckets = _buckets(docs)
 
     def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             elems, keys, marks = [], [], []
-            for text, k in zip(strings(batch, TEXT), batch.column("sk").to_pylist(), strict=True):
+            for text, k, m in zip(strings(batch, TEXT), batch.column("sk").to_pylist(), batch.column("mark").to_pylist(), strict=True):
                 s = shingle_set(text)
                 if s.size and set_key(s) == k:
                     elems.append(s)
                     keys.append(k)
-                    marks.append(np.arange(s.size) <= s.size - least_shared(s.size))
+                    marks.append(m)
             if elems:
-                yield _dealt(2, np.concatenate(elems), np.repeat(np.array(keys, np.int64), [x.size for x in elems]), np.concatenate(marks).astype(np.uint8), buckets, 8)
+                sizes = [x.size for x in elems]
+                marked = np.repeat(np.array(marks, np.uint8), sizes) if mark else None
+                yield _dealt(2, np.concatenate(elems), np.repeat(np.array(keys, np.int64), sizes), marked, buckets, 8)
+
+    side = chosen.select("sk", "rep", (F.col(mark) if mark else F.lit(0)).alias("mark"))
+    return arrow_map(_texts_of(docs, side, n_chosen).select(TEXT, "sk", "mark"), deal, _ROW).repartition("bucket")
+
+
+def _rarity(size: np.ndarray) -> np.ndarray:
+    """0 for a hash of one set alone, then by doublings of the number of sets."""
+    return np.floor(np.log2(size)).astype(np.int64)
+
+
+def _stars(kind: int, elems: np.ndarray, sks: np.ndarray, buckets: int) -> pa.RecordBatch:
+    """(a set, the smallest set it meets at a hash, at how many hashes)."""
+    first, size = _groups(elems)
+    at = np.flatnonzero((size > 1) & (first != np.arange(elems.size)))
+    pair, c = np.unique(np.stack([sks[first[at]], sks[at]], axis=1), axis=0, return_counts=True)
+    return _packed(kind, pair[:, 1], pair[:, 0], c, buckets)
+
+
+def second_pass(docs: DataFrame, chosen: DataFrame, n_chosen: int) -> DataFrame:
+    """kind 2: (sk, doc_id: rarity, n: shingles of that rarity); kind 3: (sk, doc_id: the smallest set met, n: how often)."""
+    buckets = _buckets(docs)
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        _, elems, sks, marks = _gathered(batches, 8)
+        _, elems, sks, _ = _gathered(batches, 8)
         if not elems.size:
             return
-        first, size = _groups(elems)
-        k, c = np.unique(sks[size == 1], return_counts=True)
-        yield _rows(2, sk=k, n=c.astype(np.int32))
-        for kind, e, s in ((3, elems, sks), (4, elems[marks == 1], sks[marks == 1])):
-            first, size = _groups(e)
-            at = np.flatnonzero((size > 1) & (first != np.arange(e.size)))
-            pair, c = np.unique(np.stack([s[first[at]], s[at]], axis=1), axis=0, return_counts=True)
-            yield _rows(kind, doc_id=pair[:, 0], sk=pair[:, 1], n=c.astype(np.int32))
+        pair, c = np.unique(np.stack([sks, _rarity(_groups(elems)[1])], axis=1), axis=0, return_counts=True)
+        yield _packed(2, pair[:, 0], pair[:, 1], c, buckets)
+        yield _stars(3, elems, sks, buckets)
+
+    return _totals(arrow_map(_deal_sets(docs, chosen, n_chosen, None), count, _ROW))
+
+
+def neighbour_pass(docs: DataFrame, chosen: DataFrame, n_chosen: int) -> DataFrame:
+    """(a, b): sets that meet at a hash among the rarest quarter of both (``most`` is the rarity that quarter ends in)."""
+    buckets = _buckets(docs)
+
+    def meet(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        _, elems, sks, most = _gathered(batches, 8)
+        if elems.size:
+            near = _rarity(_groups(elems)[1]) <= most.astype(np.int64) - 1  # 0 marks sets that link with nothing
+            yield _stars(4, elems[near], sks[near], buckets)
 
-    dealt = arrow_map(_texts_of(docs, chosen, n_chosen).select(TEXT, "sk"), deal, _ROW).repartition("bucket")
-    return durable(arrow_map(dealt, count, _ROW).select("kind", "doc_id", "sk", "n"))
+    return _totals(arrow_map(_deal_sets(docs, chosen, n_chosen, "most"), meet, _ROW)).select(F.col("doc_id").alias("a"), F.col("sk").alias("b"))
 
 
 def tile_links(sets: list[np.ndarray], classes: list[int], blocks: list[int]) -> list[tuple[int, int]]:
@@ -304,9 +370,14 @@ def jaccard_classes(docs: DataFrame) -> DataFrame:
         )
         links = durable(links)
         classes = connected(links)
-        hoods = connected(two.where("kind = 4").select(F.col("doc_id").alias("a"), F.col("sk").alias("b")))
-        own = two.where("kind = 2").groupBy("sk").agg(F.sum("n").alias("own"))
-        able = chosen.join(own, "sk", "left").where(F.col("n") - F.coalesce("own", F.lit(0)) >= F.ceil(3 * F.col("n") / 4)).drop("own", "n")
+        # the rarity in which the rarest quarter (and one) of a set ends; 0 if that is shingles of its own alone
+        up_to = F.sum("n").over(Window.partitionBy("sk").orderBy("rarity").rowsBetween(Window.unboundedPreceding, 0))
+        steps = two.where("kind = 2").groupBy("sk", F.col("doc_id").alias("rarity")).agg(F.sum("n").alias("n")).select("sk", "rarity", up_to.alias("up_to"))
+        ends = steps.join(size, "sk").where(F.col("up_to") >= F.col("n") - F.ceil(3 * F.col("n") / 4) + 1).groupBy("sk").agg(F.min("rarity").alias("end"))
+        marked = chosen.join(ends, "sk").select("sk", "rep", F.when(F.col("end") > 0, F.col("end") + 1).otherwise(0).cast("int").alias("most"))
+        marked = durable(marked)
+        able = marked.where("most > 0").select("sk", "rep")
+        hoods = connected(neighbour_pass(docs, marked, n_chosen))
         placed = able.join(hoods.select(F.col("node").alias("sk"), F.col("root").alias("hood")), "sk").join(classes.select(F.col("node").alias("sk"), F.col("root").alias("class")), "sk", "left")
         placed = durable(placed.withColumn("class", F.coalesce("class", "sk")))
         several = placed.groupBy("hood").agg(F.count(F.lit(1)).alias("members"), F.min("class").alias("lo"), F.max("class").alias("hi")).where("lo < hi").select("hood", "members")
