@@ -19,7 +19,7 @@ from __future__ import annotations
 
 import heapq
 from collections.abc import Iterator
-from itertools import groupby
+from itertools import batched, chain, groupby
 
 import numpy as np
 import pyarrow as pa
@@ -32,6 +32,7 @@ TOP = 20
 SAMPLE, MOST_LISTS, LIST_SIZE = 12_000, 4096, 200
 REPLICAS, SLACK = 4, 1.12
 BLOCK = 4000
+PENDING = 400_000  # pairs of 24 bytes
 
 
 def valid_vectors(table: DataFrame, id_col: str, vec_col: str) -> DataFrame:
@@ -183,8 +184,60 @@ def _queries(table: DataFrame, id_col: str, vec_col: str, every: int, dim: int)
     return arrow_map(rows, run, "id long, vec binary").distinct()
 
 
-def _best(score: np.ndarray, ids: np.ndarray) -> np.ndarray:
-    return np.lexsort((ids, -score))[:TOP]
+class _Nearest:
+    """The nearest of many queries, from parts that may name a vector twice; what waits is reduced before it outgrows the rest."""
+
+    def __init__(self) -> None:
+        self.at: dict[tuple[int, bytes], int] = {}
+        self.parts: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
+        self.pending = 0
+        self.least = np.zeros(0)
+
+    def bar(self, keys: list[tuple[int, bytes]]) -> np.ndarray:
+        """For each query a score that TOP vectors are known to reach; minus infinity if none is."""
+        at = np.array([self.at.get(k, -1) for k in keys], np.int64)
+        known = (at >= 0) & (at < self.least.size)
+        return np.where(known, self.least[np.where(known, at, 0)], -np.inf) if self.least.size else np.full(at.size, -np.inf)
+
+    def add(self, keys: list[tuple[int, bytes]], of: np.ndarray, ids: np.ndarray, scores: np.ndarray) -> None:
+        """Vectors ``ids`` with their scores for the queries keys[of]."""
+        at = np.array([self.at.setdefault(k, len(self.at)) for k in keys], np.int64)
+        self.parts.append((at[of], ids, scores))
+        self.pending += ids.size
+        if self.pending > max(PENDING // 4, 2 * TOP * len(self.at)):
+            self.reduce()
+
+    def full(self) -> bool:
+        return len(self.at) * TOP > PENDING // 2
+
+    def reduce(self) -> None:
+        q, ids, sc = (np.concatenate(x) for x in zip(*self.parts, strict=True))
+        order = np.lexsort((ids, q))
+        q, ids, sc = q[order], ids[order], sc[order]
+        new = np.ones(q.size, bool)
+        new[1:] = (q[1:] != q[:-1]) | (ids[1:] != ids[:-1])
+        q, ids, sc = q[new], ids[new], sc[new]
+        order = np.lexsort((ids, -sc, q))
+        q, ids, sc = q[order], ids[order], sc[order]
+        rank = np.arange(q.size) - np.searchsorted(q, q)
+        self.least = np.full(len(self.at), -np.inf)
+        self.least[q[rank == TOP - 1]] = sc[rank == TOP - 1]
+        keep = rank < TOP
+        self.parts = [(q[keep], ids[keep], sc[keep])]
+        self.pending = 0
+
+    def flush(self) -> pa.RecordBatch:
+        """One row of each query, nearest first; nothing is held after."""
+        keys, vecs = [k for k, _ in self.at], [v for _, v in self.at]
+        ids, sc = np.zeros(0, np.int64), np.zeros(0)
+        ends = np.zeros(len(keys) + 1, np.int32)
+        if self.parts:
+            self.reduce()
+            q, ids, sc = self.parts[0]
+            ends = np.searchsorted(q, np.arange(len(keys) + 1)).astype(np.int32)
+        self.__init__()
+        lists = [pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(x)) for x in (ids, sc)]
+        return pa.RecordBatch.from_arrays([pa.array(keys, pa.int64()), pa.array(vecs, pa.binary()), *lists], names=["query_id", "vec", "ids", "scores"])
 
 
 def nearest_neighbours(table: DataFrame, id_col: str = "vec_id", vec_col: str = "embedding", every: int = 20, goal: float = 0.97) -> DataFrame:
@@ -239,37 +292,48 @@ def nearest_neighbours(table: DataFrame, id_col: str = "vec_id", vec_col: str =
 
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         rows = (r for b in batches for r in zip(*(b.column(i).to_pylist() for i in range(6)), strict=True))
+        held = _Nearest()
         for _, block in groupby(rows, key=lambda r: r[:2]):
-            members: list[tuple] = []
-            x = ids = of = None
-            out: list[list] = [[], [], [], []]
-            for _, part in groupby(block, key=lambda r: r[2]):
-                if x is None and not members:
-                    members = list(part)
-                    if members[0][2]:
-                        break  # queries of an empty block
-                    x = _matrix([m[4] for m in members])
-                    of = np.repeat(np.arange(len(members)), [len(m[5]) for m in members])
-                    ids = np.array([i for m in members for i in m[5]], np.int64)
-                    continue
-                asked_here = list(part)
-                for lo in range(0, len(asked_here), 256):
-                    some = asked_here[lo : lo + 256]
-                    rough = _matrix([s[4] for s in some]) @ x.T
-                    for s, row in zip(some, rough, strict=True):
-                        near = np.argpartition(-row, TOP)[: TOP + 1] if row.size > TOP + 1 else np.arange(row.size)
-                        near = np.flatnonzero(row >= row[near].min() - 1e-9 * max(1.0, float(np.abs(row[near]).max())))
-                        exact = np.zeros(len(members))
-                        exact[near] = (x[near] * np.frombuffer(s[4], np.float64)).sum(axis=1)
-                        keep = np.isin(of, near) & (ids != s[3])
-                        sc, i = exact[of[keep]], ids[keep]
-                        best = _best(sc, i)
-                        for col, y in zip(out, (s[3], s[4], i[best].tolist(), sc[best].tolist()), strict=True):
-                            col.append(y)
-            yield pa.RecordBatch.from_arrays([pa.array(out[0], pa.int64()), pa.array(out[1], pa.binary()), pa.array(out[2], pa.list_(pa.int64())), pa.array(out[3], pa.list_(pa.float64()))], names=["query_id", "vec", "ids", "scores"])
-
-    found = arrow_map(both.repartition("list", "block").sortWithinPartitions("list", "block", "kind"), compare, "query_id long, vec binary, ids array<bigint>, scores array<double>")
-    pairs = F.array_distinct(F.flatten(F.collect_list(F.arrays_zip(F.transform("scores", lambda s: -s).alias("neg"), F.col("ids").alias("vec_id")))))
-    best = found.groupBy("query_id", "vec").agg(F.slice(F.array_sort(pairs), 1, TOP).alias("best"))
-    ranked = best.select("query_id", F.posexplode("best").alias("at", "b"))
-    return ranked.select("query_id", (F.col("at") + 1).cast("int").alias("rank"), F.col("b.vec_id").alias("vec_id"), (-F.col("b.neg")).alias("score"))
+            first = next(block)
+            if first[2]:
+                continue  # queries of an empty block
+            members, queries = [first], block
+            for r in block:
+                if r[2]:
+                    queries = chain([r], block)
+                    break
+                members.append(r)
+            x = _matrix([m[4] for m in members])
+            count = np.array([len(m[5]) for m in members])
+            start, ids = np.cumsum(count) - count, np.array([i for m in members for i in m[5]], np.int64)
+            for some in batched(queries, 256):
+                asked_here = _matrix([s[4] for s in some])
+                rough = asked_here @ x.T
+                last = len(members) - min(TOP + 1, len(members))
+                least = np.maximum(np.partition(rough, last, axis=1)[:, last], held.bar([s[3:5] for s in some]))
+                at, near = np.nonzero(rough >= (least - 1e-9 * np.maximum(1.0, np.abs(rough).max(axis=1)))[:, None])
+                exact = (x[near] * asked_here[at]).sum(axis=1)
+                n = count[near]
+                which = np.repeat(start[near] - (np.cumsum(n) - n), n) + np.arange(n.sum())
+                at, exact, found = np.repeat(at, n), np.repeat(exact, n), ids[which]
+                keep = found != np.array([s[3] for s in some])[at]
+                held.add([s[3:5] for s in some], at[keep], found[keep], exact[keep])
+                if held.full():
+                    yield held.flush()
+        yield held.flush()
+
+    def merge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        rows = (r for b in batches for r in zip(*(b.column(i).to_pylist() for i in range(4)), strict=True))
+        held = _Nearest()
+        for key, parts in groupby(rows, key=lambda r: r[:2]):
+            if held.full():
+                yield held.flush()
+            for r in parts:
+                held.add([key], np.zeros(len(r[2]), np.int64), np.array(r[2], np.int64), np.array(r[3], np.float64))
+        yield held.flush()
+
+    schema = "query_id long, vec binary, ids array<bigint>, scores array<double>"
+    found = arrow_map(both.repartition("list", "block").sortWithinPartitions("list", "block", "kind"), compare, schema)
+    best = arrow_map(found.repartition("query_id", "vec").sortWithinPartitions("query_id", "vec"), merge, schema)
+    ranked = best.select("query_id", F.posexplode(F.arrays_zip("ids", "scores")).alias("at", "b"))
+    return ranked.select("query_id", (F.col("at") + 1).cast("int").alias("rank"), F.col("b.ids").alias("vec_id"), F.col("b.scores").alias("score"))
