@@ -1,10 +1,17 @@
 """Lexical retrieval packing: each seed document's window is filled by its unused nearest neighbours from a BM25 index.
 
-The corpus is read as shards (blocks of a scan split, bounded in tokens), each with its own inverted index; nothing is
-shuffled and no shard depends on another, so a lost executor costs its splits alone. Within a shard, whole windows are
-first cut from documents longer than one; then the longest unused rest becomes the seed, its rarest shared terms query
-the index, and the best unused neighbours that fit are appended; what room is left takes a cut of the best one that
-doesn't. So all windows but a shard's last are full; the last is cut into powers of two, which need no padding.
+One index covers the whole corpus: document frequencies and the mean length are counted over all rows first, and the
+postings lie in shards that any number of tasks can read. Whole windows are cut from documents longer than one; then the
+longest unused rest becomes the seed, all its terms query all shards, and its unused neighbours follow best first, the
+last one cut to the room left. Seeds are asked for in batches: each gets the best of its neighbours that were unused as
+the batch began; where earlier windows of the batch took so many of them that the list ends before the window is full,
+the batch ends too and the seed is asked for again. So the windows are those of one index filled one by one
+(``pack_shard``), whatever the layout of the table. All windows but the last are full; that is cut into powers of two,
+which need no padding.
+
+Weights are whole numbers of 1 / UNIT, so their sums are exact in any order. The driver holds a few numbers for each
+document (its length, place and rest) and the lists of one batch, never texts or postings. Comparing all seeds with all
+documents takes time that grows with the square of the corpus; the README has figures.
 
 Edge cases: a null or empty text is the closing id alone; texts of any length are cut freely; repeated rows are packed
 as often as they stand there; extra columns are ignored; an empty table gives no rows.
@@ -12,107 +19,186 @@ as often as they stand there; extra columns are ignored; an empty table gives no
 
 from __future__ import annotations
 
+import gc
 import zlib
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
+from hashlib import blake2b
 
 import numpy as np
 import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
-from graphpart.llm.common import ID, TEXT, arrow_map, strings
-from graphpart.llm.tokens import word_vocabulary
+from graphpart.llm.common import ID, TEXT, arrow_map, durable, strings
+from graphpart.llm.tokens import WordVocabulary, word_vocabulary
 
 WINDOW, CLOSING = 4096, 2
-SHARD_TOKENS, SHARD_DOCS = 2_000_000, 20_000
-QUERY_TERMS, K1, B = 24, 1.2, 0.75
-Piece = tuple[int, int, int]  # document of the shard, start, length
+SHARD_TOKENS, SHARD_DOCS = 2_000_000, 10_000
+SEEDS, LISTED = 2048, 1 << 17  # seeds of a batch, entries of a batch's lists
+PIECES = 500_000
+K1, B = 1.2, 0.75
+UNIT = float(1 << 20)
+Piece = tuple[int, int, int]  # document, start, length
+
+
+def _weights(tf: np.ndarray, df: np.ndarray, sizes: np.ndarray, n: int, mean: float) -> np.ndarray:
+    """BM25 of a term in a document, in whole units."""
+    idf = np.log(1 + (n - df + 0.5) / (df + 0.5))
+    return np.rint(UNIT * idf * tf * (K1 + 1) / (tf + K1 * (1 - B + B * sizes / max(1.0, mean))))
+
+
+class Postings:
+    """Documents by term; terms sorted."""
+
+    def __init__(self, term: np.ndarray, at: np.ndarray, doc: np.ndarray, weight: np.ndarray, n: int) -> None:
+        self.term, self.at, self.doc, self.weight, self.n = term, at, doc, weight, n
+
+    def of(self, alive: np.ndarray) -> Postings:
+        """The same without the documents that aren't alive, renumbered."""
+        keep = alive[self.doc]
+        at = np.r_[0, np.cumsum(keep)][self.at]
+        return Postings(self.term, at, (np.cumsum(alive) - 1)[self.doc[keep]], self.weight[keep], int(alive.sum()))
+
+    def scores(self, queries: list[np.ndarray]) -> Iterator[tuple[int, np.ndarray]]:
+        """(first query, scores by query and document) for some queries at a time; frequent terms by a dense product."""
+        df = np.diff(self.at)
+        often = np.flatnonzero(df > max(8, self.n // 16))
+        column = np.full(df.size, -1)
+        column[often] = np.arange(often.size)
+        dense = np.zeros((often.size, self.n))
+        for c, t in enumerate(often.tolist()):
+            dense[c, self.doc[self.at[t] : self.at[t + 1]]] = self.weight[self.at[t] : self.at[t + 1]]
+        for first in range(0, len(queries), 64):
+            some = queries[first : first + 64]
+            asked = np.zeros((len(some), often.size))
+            rare = []
+            for i, q in enumerate(some):
+                t = np.searchsorted(self.term, q)
+                t = t[t < self.term.size] if self.term.size else t[:0]
+                t = t[self.term[t] == q[: t.size]]
+                asked[i, column[t[column[t] >= 0]]] = 1
+                rare.append(t[column[t] < 0])
+            out = asked @ dense
+            for i, t in enumerate(rare):
+                size = df[t]
+                end = np.cumsum(size)
+                if t.size and end[-1]:
+                    rows = np.repeat(self.at[t] - (end - size), size) + np.arange(int(end[-1]))
+                    out[i] += np.bincount(self.doc[rows], self.weight[rows], self.n)
+            yield first, out
 
 
 class Bm25Index:
-    """Postings of one shard: terms that stand in two documents at least; weights hold idf, frequency and length."""
+    """All documents in one index, without Spark."""
 
     def __init__(self, docs: list[np.ndarray]) -> None:
         sizes = np.array([d.size for d in docs], np.int64)
-        terms = np.concatenate(docs) if docs else np.zeros(0, np.int64)
-        key, tf = np.unique(terms << 24 | np.repeat(np.arange(len(docs)), sizes), return_counts=True)
-        term, doc = key >> 24, key & 0xFFFFFF
-        first = np.flatnonzero(np.r_[True, term[1:] != term[:-1]]) if term.size else np.zeros(0, np.int64)
-        df = np.diff(np.r_[first, term.size])
-        keep = np.repeat(df > 1, df)
-        self.doc, tf, df = doc[keep], tf[keep], df[df > 1]
-        self.idf = np.log(1 + (len(docs) - df + 0.5) / (df + 0.5))
-        self.at = np.r_[0, np.cumsum(df)]
-        mean = max(1.0, float(sizes.mean()) if len(docs) else 1.0)
-        self.weight = np.repeat(self.idf, df) * tf * (K1 + 1) / (tf + K1 * (1 - B + B * sizes[self.doc] / mean))
-        # terms of each document, rarest first
-        of = np.repeat(np.arange(df.size), df)
-        order = np.lexsort((np.repeat(df, df), self.doc))
-        self.terms, self.start = of[order], np.searchsorted(self.doc[order], np.arange(len(docs) + 1))
-        self.n = len(docs)
+        flat = np.concatenate(docs) if docs else np.zeros(0, np.int64)
+        names, number = np.unique(flat, return_inverse=True)
+        key, tf = np.unique(number << 32 | np.repeat(np.arange(len(docs)), sizes), return_counts=True)
+        term, doc = key >> 32, key & 0xFFFFFFFF
+        df = np.bincount(term, minlength=names.size)
+        weight = _weights(tf, df[term], sizes[doc], len(docs), float(sizes.mean()) if len(docs) else 1.0)
+        self.postings = Postings(names, np.r_[0, np.cumsum(df)], doc, weight, len(docs))
+        self.terms = [np.unique(d) for d in docs]
 
     def scores(self, doc: int) -> np.ndarray:
-        """BM25 of every document of the shard for the document's rarest shared terms."""
-        terms = self.terms[self.start[doc] : self.start[doc + 1]][:QUERY_TERMS]
-        if not terms.size:
-            return np.zeros(self.n)
-        size = self.at[terms + 1] - self.at[terms]
-        end = np.cumsum(size)
-        rows = np.repeat(self.at[terms] - (end - size), size) + np.arange(int(end[-1]))
-        return np.bincount(self.doc[rows], self.weight[rows], self.n)
+        """BM25 of every document for all terms of one."""
+        return next(self.postings.scores([self.terms[doc]]))[1][0]
 
 
-def pack_shard(lengths: np.ndarray, terms: list[np.ndarray], window: int = WINDOW) -> list[list[Piece]]:
-    """Sequences of pieces; every id of every document in one piece."""
-    out: list[list[Piece]] = []
-    start = np.zeros(len(lengths), np.int64)
+class Windows:
+    """The rests of documents, and the windows filled from them."""
+
+    def __init__(self, lengths: np.ndarray, window: int) -> None:
+        self.start = lengths // window * window
+        self.left = lengths - self.start
+        self.window = window
+        self.order = np.argsort(-self.left, kind="stable")
+        self.at = 0
+
+    def longest(self, most: int = 1) -> np.ndarray:
+        """The unused documents that come next as seeds."""
+        out: list[int] = []
+        i = self.at
+        while i < self.order.size and len(out) < most:
+            step = self.order[i : i + 4 * most]
+            live = np.flatnonzero(self.left[step] > 0)
+            if not out:
+                self.at = i + (int(live[0]) if live.size else step.size)
+            out += step[live].tolist()
+            i += step.size
+        return np.array(out[:most], np.int64)
+
+    def _take(self, d: int, most: int) -> Piece:
+        n = min(most, int(self.left[d]))
+        piece = (d, int(self.start[d]), n)
+        self.start[d] += n
+        self.left[d] -= n
+        return piece
+
+    def fill(self, seed: int, near: np.ndarray, whole: bool) -> tuple[list[Piece], int] | None:
+        """Pieces of the seed's window and the room left; None, and nothing taken, if a list that isn't whole is too short."""
+        near = near[(self.left[near] > 0) & (near != seed)]
+        room = self.window - int(self.left[seed])
+        if not whole and int(self.left[near].sum()) < room:
+            return None
+        pieces = [self._take(seed, self.window)]
+        for d in near.tolist():
+            if not room:
+                break
+            pieces.append(self._take(d, room))
+            room -= pieces[-1][2]
+        while room and (rest := self.longest()).size:
+            pieces.append(self._take(int(rest[0]), room))
+            room -= pieces[-1][2]
+        return pieces, room
+
+
+def _whole_windows(lengths: np.ndarray, window: int) -> Iterator[list[Piece]]:
     for d in np.flatnonzero(lengths >= window).tolist():
-        while lengths[d] - start[d] >= window:
-            out.append([(d, int(start[d]), window)])
-            start[d] += window
-    left = lengths - start
+        for s in range(0, int(lengths[d]) // window * window, window):
+            yield [(d, s, window)]
+
+
+Ask = Callable[[np.ndarray, np.ndarray, int], tuple[list[np.ndarray], np.ndarray]]
+
+
+def fill_windows(lengths: np.ndarray, ask: Ask, window: int) -> Iterator[list[Piece]]:
+    """Sequences of pieces. ``ask`` (seeds, alive, most) gives each seed's best alive documents, and whether these are all."""
+    yield from _whole_windows(lengths, window)
+    w = Windows(lengths, window)
+    last: list[Piece] = []
+    while w.longest().size:
+        seeds = w.longest(int(np.clip(int(w.left.sum()) // window // 2, 64, SEEDS)))
+        lists, whole = ask(seeds, w.left > 0, LISTED // seeds.size)
+        for seed, near, all_of in zip(seeds.tolist(), lists, whole.tolist(), strict=True):
+            if not w.left[seed]:
+                continue
+            found = w.fill(seed, near, all_of)
+            if found is None:
+                break
+            if found[1]:
+                last = found[0]
+            else:
+                yield found[0]
+    yield from powers_of_two(last)
+
+
+def pack_shard(lengths: np.ndarray, terms: list[np.ndarray], window: int = WINDOW) -> list[list[Piece]]:
+    """Sequences of pieces; every id of every document in one piece. One index, one seed after the other."""
     index = Bm25Index(terms)
-    order = np.argsort(-left, kind="stable")
-    at, last = 0, []
-    while True:
-        while at < order.size and not left[order[at]]:
-            at += 1
-        if at == order.size:
-            break
-        seed = int(order[at])
-        pieces, room = [(seed, int(start[seed]), int(left[seed]))], window - int(left[seed])
-        left[seed] = 0
-        score = index.scores(seed)
-        near = np.flatnonzero((score > 0) & (left > 0))
-        near = near[np.lexsort((near, -score[near]))]
-        cut = -1
-        for d in near.tolist():
-            if left[d] <= room:
-                pieces.append((d, int(start[d]), int(left[d])))
-                room -= int(left[d])
-                left[d] = 0
-                if not room:
-                    break
-            elif cut < 0:
-                cut = d
-        while room:  # no more neighbours: the best that didn't fit is cut, then the longest rests follow
-            if cut < 0 or not left[cut]:
-                while at < order.size and not left[order[at]]:
-                    at += 1
-                if at == order.size:
-                    break
-                cut = int(order[at])
-            take = min(room, int(left[cut]))
-            pieces.append((cut, int(start[cut]), take))
-            start[cut] += take
-            left[cut] -= take
-            room -= take
-            cut = -1
-        if room:
-            last = pieces
-        else:
-            out.append(pieces)
-    return out + powers_of_two(last)
+
+    def ask(seeds: np.ndarray, alive: np.ndarray, most: int) -> tuple[list[np.ndarray], np.ndarray]:
+        out = []
+        for seed in seeds.tolist():
+            score = index.scores(seed)
+            near = np.flatnonzero((score > 0) & alive)
+            out.append(near[np.lexsort((near, -score[near]))])
+        return out, np.ones(seeds.size, bool)
+
+    return list(fill_windows(np.asarray(lengths, np.int64), ask, window))
 
 
 def powers_of_two(pieces: list[Piece]) -> list[list[Piece]]:
@@ -134,48 +220,250 @@ def powers_of_two(pieces: list[Piece]) -> list[list[Piece]]:
     return out
 
 
-_COLS = [("start", pa.int64()), ("length", pa.int64()), ("ids_crc32", pa.int64()), ("doc_tokens", pa.int64()), ("sequence_id", pa.int64()), ("offset", pa.int64())]
+def _term_hashes(vocabulary: WordVocabulary, numbers: np.ndarray) -> np.ndarray:
+    """64-bit hashes of chunks by the ids they consist of, the same in every process."""
+    n = vocabulary.sizes()[numbers]
+    ids = vocabulary.ids(numbers).astype(np.uint64)
+    end = np.cumsum(n)
+    place = (np.arange(ids.size) - np.repeat(end - n, n)).astype(np.uint64)
+    x = (ids + (place + np.uint64(1)) * np.uint64(65536)) * np.uint64(0x9E3779B97F4A7C15)
+    for shift, by in ((30, 0xBF58476D1CE4E5B9), (27, 0x94D049BB133111EB)):
+        x = (x ^ (x >> np.uint64(shift))) * np.uint64(by)
+    total = np.r_[np.uint64(0), np.cumsum(x ^ (x >> np.uint64(31)), dtype=np.uint64)]
+    return (total[end] - total[end - n]).view(np.int64)
 
 
-def pack_documents(docs: DataFrame, path: str, window: int = WINDOW) -> DataFrame:
-    """(doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset), a row for each piece; a map, no shuffle."""
+def _squeeze(x: np.ndarray) -> bytes:
+    """Whole numbers under 2**31 as compressed differences, byte planes apart."""
+    return pa.compress(np.diff(x.astype("<i4"), prepend=np.int32(0)).view(np.uint8).reshape(-1, 4).T.tobytes(), codec="zstd", asbytes=True) if x.size else b""
+
+
+def _expand(data: bytes, n: int) -> np.ndarray:
+    if not n:
+        return np.zeros(0, np.int32)
+    planes = np.frombuffer(pa.decompress(data, decompressed_size=4 * n, codec="zstd", asbytes=True), np.uint8)
+    return np.cumsum(np.ascontiguousarray(planes.reshape(4, n).T).view("<i4").ravel(), dtype=np.int32)
+
+
+def _binary(*arrays: np.ndarray) -> list[pa.Array]:
+    return [pa.array([a.tobytes()], pa.binary()) for a in arrays]
+
+
+def _read_shards(docs: DataFrame, path: str) -> DataFrame:
+    """Rows of many documents each: ids, lengths and ids of tokens, hashes that break ties, and terms with frequencies."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         vocabulary = word_vocabulary(path)
         task = TaskContext.get()
-        sequence = (task.partitionId() if task else 0) << 40
-        keys: list = []
-        numbers: list[np.ndarray] = []
-        tokens = 0
-
-        def shard() -> Iterator[pa.RecordBatch]:
-            nonlocal sequence, tokens
-            data = [np.append(vocabulary.ids(n), np.uint16(CLOSING)).astype("<u4") for n in numbers]
-            cols: list[list] = [[] for _ in range(7)]
-            for pieces in pack_shard(np.array([d.size for d in data], np.int64), numbers, window):
-                offset = 0
-                for d, s, n in pieces:
-                    for col, x in zip(cols, (keys[d], s, n, zlib.crc32(data[d][s : s + n]), data[d].size, sequence, offset), strict=True):
-                        col.append(x)
-                    offset += n
-                sequence += 1
-            yield pa.RecordBatch.from_arrays([pa.array(cols[0], kind), *(pa.array(c, t) for c, (_, t) in zip(cols[1:], _COLS, strict=True))], names=[ID, *(n for n, _ in _COLS)])
-            keys.clear()
-            numbers.clear()
-            tokens = 0
-            vocabulary.trim()
-
+        number = (task.partitionId() if task else 0) << 24
+        keys, texts, numbers, tokens = [], [], [], 0
         kind = None
+
+        def shard() -> pa.RecordBatch:
+            data = [np.append(vocabulary.ids(n), np.uint16(CLOSING)) for n in numbers]
+            sizes = np.array([n.size for n in numbers], np.int64)
+            flat = np.concatenate(numbers)
+            chunk, inverse = np.unique(flat, return_inverse=True)
+            name, of_chunk = np.unique(_term_hashes(vocabulary, chunk) if chunk.size else np.zeros(0, np.int64), return_inverse=True)
+            key, tf = np.unique(np.repeat(np.arange(len(numbers)), sizes) << 32 | of_chunk[inverse], return_counts=True)
+            start = np.searchsorted(key, np.arange(len(numbers) + 1) << 32)
+            cols = _binary(np.array([d.size for d in data], "<i4"), np.frombuffer(pa.compress(np.concatenate(data).astype("<u2").tobytes(), codec="zstd", asbytes=True), np.uint8), np.array(texts, "<i8"), sizes.astype("<i4"), name, np.bincount(key & 0xFFFFFFFF, minlength=name.size).astype("<i4"), start)
+            cols += [pa.array([_squeeze(x)], pa.binary()) for x in (key & 0xFFFFFFFF, tf)]
+            return pa.RecordBatch.from_arrays([pa.array([number], pa.int64()), pa.array([keys], pa.list_(kind)), *cols], names=["shard", "keys", *_SHARD])
+
         for batch in batches:
             kind = batch.column(0).type
             for key, text in zip(batch.column(0).to_pylist(), strings(batch, TEXT), strict=True):
                 n = vocabulary.numbers(text)
                 keys.append(key)
+                texts.append(int.from_bytes(blake2b(f"{key}\0{text}".encode("utf-8", "surrogatepass"), digest_size=8).digest(), "little", signed=True))
                 numbers.append(n)
                 tokens += int(vocabulary.sizes()[n].sum()) + 1
                 if tokens >= SHARD_TOKENS or len(keys) >= SHARD_DOCS:
-                    yield from shard()
+                    yield shard()
+                    number, keys, texts, numbers, tokens = number + 1, [], [], [], 0
+                    vocabulary.trim()
         if keys:
-            yield from shard()
+            yield shard()
+
+    return arrow_map(docs.select(ID, TEXT), run, f"shard long, keys array<{docs.schema[ID].dataType.simpleString()}>, " + ", ".join(f"{c} binary" for c in _SHARD))
+
+
+_SHARD = ["lengths", "tokens", "ties", "sizes", "name", "df", "start", "term", "tf"]
+_INDEX = "shard long, name binary, at binary, doc binary, weight binary, number binary"
+
+
+def _array(batch: pa.RecordBatch | pa.Table, name: str, kind: str, i: int = 0) -> np.ndarray:
+    return np.frombuffer(batch.column(name)[i].as_py(), kind)
+
+
+def _postings(batch: pa.RecordBatch, i: int) -> tuple[np.ndarray, ...]:
+    """Terms, where their postings start, and the documents of a shard of the index."""
+    name = _array(batch, "name", "<i8", i)
+    at = _expand(batch.column("at")[i].as_py(), name.size + 1).astype(np.int64)
+    return name, at, _expand(batch.column("doc")[i].as_py(), int(at[-1]))
+
+
+def _index(read: DataFrame, n: int, mean: float, numbers: dict[int, np.ndarray]) -> DataFrame:
+    """The shards' postings, weighed by frequencies in the whole corpus; terms of one document are left out."""
+    spark = read.sparkSession
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for i in range(batch.num_rows):
+                name, df = _array(batch, "name", "<i8", i), _array(batch, "df", "<i4", i)
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(name.size, batch.column("shard")[i].as_py())), pa.array(name), pa.array(df)], names=["shard", "name", "df"])
+
+    local = arrow_map(read.select("shard", "name", "df"), count, "shard long, name long, df int")
+    everywhere = local.groupBy("name").agg(F.sum("df").alias("df"), F.collect_list("shard").alias("shards")).where("df > 1")  # a term is once in a shard
+    known = everywhere.select(F.explode("shards").alias("shard"), "name", "df")
+    shared = spark.sparkContext.broadcast(numbers)
+
+    def build(left: pa.Table, right: pa.Table) -> pa.Table:
+        if not left.num_rows:
+            return pa.table({c.split()[0]: pa.array([], pa.int64() if c.startswith("shard") else pa.binary()) for c in _INDEX.split(", ")})
+        shard = left.column("shard")[0].as_py()
+        names, df = np.asarray(right.column("name")), np.asarray(right.column("df"))
+        order = np.argsort(names)
+        names, df = names[order], df[order]
+        local_name, start = _array(left, "name", "<i8"), _array(left, "start", "<i8")
+        place = np.full(local_name.size, -1)
+        place[np.searchsorted(local_name, names)] = np.arange(names.size)
+        term = place[_expand(left.column("term")[0].as_py(), int(start[-1]))]
+        doc, tf, sizes = np.repeat(np.arange(start.size - 1), np.diff(start)), _expand(left.column("tf")[0].as_py(), int(start[-1])), _array(left, "sizes", "<i4")
+        doc, tf, term = doc[term >= 0], tf[term >= 0], term[term >= 0]
+        order = np.argsort(term, kind="stable")
+        doc, tf, term = doc[order], tf[order], term[order]
+        weight = _weights(tf, df[term], sizes[doc], n, mean)
+        at = np.r_[0, np.cumsum(np.bincount(term, minlength=names.size))]
+        return pa.table([pa.array([shard], pa.int64()), *_binary(names), *(pa.array([_squeeze(x)], pa.binary()) for x in (at, doc, weight)), *_binary(shared.value[shard])], names=[c.split()[0] for c in _INDEX.split(", ")])
+
+    tasks = 4 * spark.sparkContext.defaultParallelism
+    forward = read.select("shard", "name", "start", "term", "tf", "sizes").repartition(tasks, "shard")
+    return durable(forward.groupBy("shard").cogroup(known.repartition(tasks, "shard").groupBy("shard")).applyInArrow(build, _INDEX))
+
+
+def _best(q: np.ndarray, doc: np.ndarray, score: np.ndarray, most: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """The best of each query, ties to the smaller number."""
+    order = np.lexsort((doc, -score, q))
+    q, doc, score = q[order], doc[order], score[order]
+    keep = np.arange(q.size) - np.searchsorted(q, q) < most
+    return q[keep], doc[keep], score[keep]
+
+
+def _asker(index: DataFrame) -> Ask:
+    """Lists of seeds over all shards: their terms are fetched, then every shard is asked for its best."""
+    sc = index.sparkSession.sparkContext
+
+    def ask(seeds: np.ndarray, alive: np.ndarray, most: int) -> tuple[list[np.ndarray], np.ndarray]:
+        wanted = sc.broadcast((np.sort(seeds), np.argsort(seeds)))
+
+        def fetch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            by_number, position = wanted.value
+            for batch in batches:
+                for i in range(batch.num_rows):
+                    number, (name, at, doc) = _array(batch, "number", "<i8", i), _postings(batch, i)
+                    here = np.searchsorted(by_number, number).clip(max=by_number.size - 1)
+                    here = np.where(by_number[here] == number, position[here], -1)
+                    rows = np.flatnonzero(here[doc] >= 0)
+                    term = np.searchsorted(at, rows, side="right") - 1
+                    of = here[doc[rows]]
+                    order = np.argsort(of, kind="stable")
+                    of, names = of[order], name[term[order]]
+                    which, first = np.unique(of, return_index=True)
+                    yield pa.RecordBatch.from_arrays([pa.array(which, pa.int64()), pa.array([x.tobytes() for x in np.split(names, first[1:])] if which.size else [], pa.binary())], names=["q", "terms"])
+
+        queries = [np.zeros(0, np.int64)] * seeds.size
+        for r in arrow_map(index.select("number", "at", "doc", "name"), fetch, "q long, terms binary").collect():
+            queries[r["q"]] = np.frombuffer(r["terms"], "<i8")
+        wanted.destroy()
+        told = sc.broadcast((queries, np.packbits(alive), seeds))
+
+        def search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            queries, bits, own = told.value
+            live = np.unpackbits(bits).astype(bool)
+            held = (np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0))
+            for batch in batches:
+                for i in range(batch.num_rows):
+                    number = _array(batch, "number", "<i8", i)
+                    here = live[number]
+                    number = number[here]
+                    if not number.size:
+                        continue
+                    name, at, doc = _postings(batch, i)
+                    weight = _expand(batch.column("weight")[i].as_py(), doc.size).astype(np.float64)
+                    postings = Postings(name, at, doc, weight, here.size).of(here)
+                    parts = [held]
+                    for first, score in postings.scores(queries):
+                        if number.size > most + 2:  # the seed itself may be among them
+                            least = np.maximum(0.5, np.partition(score, number.size - most - 2, axis=1)[:, number.size - most - 2])
+                        else:
+                            least = np.full(len(score), 0.5)
+                        q, d = np.nonzero(score >= least[:, None])
+                        other = number[d] != own[first + q]
+                        parts.append((first + q[other], number[d[other]], score[q[other], d[other]]))
+                    held = _best(*(np.concatenate(x) for x in zip(*parts, strict=True)), most + 1)
+            yield pa.RecordBatch.from_arrays([pa.array([x.tobytes()], pa.binary()) for x in (held[0].astype("<i4"), held[1].astype("<i4"), held[2])], names=["q", "doc", "score"])
+
+        rows = arrow_map(index.select("name", "at", "doc", "weight", "number"), search, "q binary, doc binary, score binary").collect()
+        told.destroy()
+        q, doc, score = (np.concatenate([np.frombuffer(r[c], k) for r in rows]) for c, k in (("q", "<i4"), ("doc", "<i4"), ("score", "<f8")))
+        q, doc, score = _best(q, doc.astype(np.int64), score, most + 1)  # one more tells whether that is all
+        ends = np.searchsorted(q, np.arange(seeds.size + 1))
+        return [doc[a : min(b, a + most)] for a, b in zip(ends[:-1].tolist(), ends[1:].tolist(), strict=True)], np.diff(ends) <= most
+
+    return ask
+
+
+def pack_documents(docs: DataFrame, path: str, window: int = WINDOW) -> DataFrame:
+    """(doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset), a row for each piece."""
+    spark = docs.sparkSession
+    kind = docs.schema[ID].dataType.simpleString()
+    schema = f"{ID} {kind}, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
+    read = durable(_read_shards(docs, path))
+    rows = read.select("shard", "lengths", "ties", "sizes").collect()  # 16 bytes a document
+    if not rows:
+        return spark.createDataFrame([], schema)
+    shard = np.repeat([r["shard"] for r in rows], [len(r["ties"]) // 8 for r in rows])
+    lengths, ties, sizes = (np.concatenate([np.frombuffer(r[c], k) for r in rows]) for c, k in (("lengths", "<i4"), ("ties", "<i8"), ("sizes", "<i4")))
+    within = np.concatenate([np.arange(len(r["ties"]) // 8) for r in rows])
+    order = np.lexsort((lengths, ties))  # equal hashes are equal rows
+    number = np.empty(order.size, np.int64)
+    number[order] = np.arange(order.size)
+    of_shard = {s: number[shard == s] for s in np.unique(shard).tolist()}
+    index = _index(read, order.size, float(sizes.mean()), of_shard)
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()  # the exchanges behind the index are done with; Spark deletes their files
+    shard, within, lengths = shard[order], within[order], lengths[order].astype(np.int64)
+    written: list[DataFrame] = []
+    held: list[tuple[int, int, int, int, int]] = []
+
+    def write() -> None:
+        d, *rest = np.array(held, np.int64).T
+        table = pa.table([pa.array(x) for x in (shard[d], within[d], *rest)], names=["shard", "doc", "start", "length", "sequence_id", "offset"])
+        written.append(durable(spark.createDataFrame(table)))
+        held.clear()
+
+    for sequence, pieces in enumerate(fill_windows(lengths, _asker(index), window)):
+        offset = 0
+        for d, s, n in pieces:
+            held.append((d, s, n, sequence, offset))
+            offset += n
+        if len(held) >= PIECES:
+            write()
+    if held:
+        write()
+    placed = written[0]
+    for more in written[1:]:
+        placed = placed.union(more)
+
+    def cut(left: pa.Table, right: pa.Table) -> pa.Table:
+        lengths, tokens = _array(left, "lengths", "<i4"), left.column("tokens")[0].as_py()
+        tokens = np.frombuffer(pa.decompress(tokens, decompressed_size=2 * int(lengths.sum()), codec="zstd", asbytes=True), "<u2")
+        first = np.cumsum(lengths) - lengths
+        doc, start, length = (np.asarray(right.column(c)) for c in ("doc", "start", "length"))
+        crc = [zlib.crc32(tokens[a : a + n].astype("<u4")) for a, n in zip((first[doc] + start).tolist(), length.tolist(), strict=True)]
+        keys = left.column("keys").combine_chunks().flatten().take(pa.array(doc))
+        return pa.table([keys, right.column("start"), right.column("length"), pa.array(crc, pa.int64()), pa.array(lengths[doc].astype(np.int64)), right.column("sequence_id"), right.column("offset")], names=[c.split()[0] for c in schema.split(", ")])
 
-    return arrow_map(docs.select(ID, TEXT), run, f"{ID} {docs.schema[ID].dataType.simpleString()}, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long")
+    return read.select("shard", "keys", "lengths", "tokens").groupBy("shard").cogroup(placed.groupBy("shard")).applyInArrow(cut, schema)

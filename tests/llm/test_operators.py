@@ -153,3 +153,23 @@ def test_queries_are_registered(name):
     from graphpart.llm.queries import QUERIES
 
     assert sorted(int(q[2:].split("_")[0]) for q in QUERIES) == list(range(1, 11))
+
+
+def test_packing_is_one_index_over_all_partitions(spark, monkeypatch):
+    rng = np.random.default_rng(4)
+    words = [f"w{i}" for i in range(300)]
+    rows = [(i, " ".join(words[j] for j in np.minimum(299, rng.geometric(0.02, rng.integers(1, 400))))) for i in range(240)] + [(7, None), (8, "")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    path = tokenizer_path("word_bpe_49k.json")
+    vocabulary = word_vocabulary(path)
+    ties = [hashlib.blake2b(f"{k}\0{t or ''}".encode(), digest_size=8).digest() for k, t in rows]
+    order = sorted(range(len(rows)), key=lambda i: int.from_bytes(ties[i], "little", signed=True))
+    numbers = [vocabulary.numbers(rows[i][1] or "") for i in order]
+    lengths = np.array([int(vocabulary.sizes()[n].sum()) + 1 for n in numbers])
+    want = {(s, tuple((rows[order[d]][0], a, n) for d, a, n in p)) for s, p in enumerate(packing.pack_shard(lengths, numbers, 512))}
+    monkeypatch.setattr(packing, "LISTED", 64 * 40)
+    for parts in (1, 5):
+        got: dict[int, list] = {}
+        for r in packing.pack_documents(docs.repartition(parts), path, 512).collect():
+            got.setdefault(r.sequence_id, []).append((r.offset, r.doc_id, r.start, r.length))
+        assert {(s, tuple(x[1:] for x in sorted(p))) for s, p in got.items()} == want

@@ -204,3 +204,9 @@ def test_graph_search_finds_near_lists():
 
 def test_crc_of_ids_is_little_endian():
     assert zlib.crc32(np.array([1, 2], np.uint16).astype("<u4")) == zlib.crc32(b"\x01\0\0\0\x02\0\0\0")
+
+
+def test_a_seed_is_scored_by_all_its_terms():
+    shared, pairs = np.arange(1000, 1010), [np.array([2 * i, 2 * i + 1]) for i in range(30)]
+    docs = [np.concatenate([*pairs, shared]), *pairs, *[np.concatenate([shared, [5000 + i]]) for i in range(6)]]
+    assert (packing.Bm25Index(docs).scores(0)[-6:] > 0).all()
