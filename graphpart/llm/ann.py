@@ -5,7 +5,9 @@ distance. Centroids come from balanced k-means on a bounded sample (at most SAMP
 vector goes to the list of its nearest centroid, boundary vectors also to further lists about as near, unless a list chosen
 before is nearer to the further centroid than the vector is. A query finds near centroids by best-first search in
 a graph of them, held in memory, and reads the lists whose distance is within a ratio of the nearest one's; the
-smallest ratio that reaches the recall asked for on the sample is taken. Lists are split into blocks of bounded size.
+smallest ratio that reaches the recall asked for on the sample is taken. Where these lists hold too few vectors for a result, the
+ratio is of the distance at which the nearest lists hold enough; a query that is short even so (ids that repeat with other
+vectors) reads all lists. Lists are split into blocks of bounded size.
 
 Equal vectors are one entry with their smallest ids, as many as any result can need, so a vector that a third of the
 rows share is one row of one list. Scores are exact doubles on the original vectors.
@@ -136,6 +138,16 @@ class CentroidGraph:
         found.sort()
         return np.array([j for x, j in found if x <= best * ratio + 1e-12], np.int64)
 
+    def enough(self, q: np.ndarray, ratio: float, held: np.ndarray, need: int = TOP + 1) -> np.ndarray:
+        """As ``search``; if those lists hold under ``need`` vectors, all within ``ratio`` of the distance at which the nearest lists do."""
+        found = self.search(q, ratio)
+        if held[found].sum() >= need:
+            return found
+        d = np.sqrt(((self.c - q) ** 2).sum(axis=1))
+        order = np.argsort(d, kind="stable")
+        last = int(np.searchsorted(np.cumsum(held[order]), need))
+        return order if last == order.size else order[d[order] <= d[order[last]] * ratio + 1e-12]
+
 
 def lists_of(x: np.ndarray, graph: CentroidGraph) -> list[list[int]]:
     """Posting lists of each (lifted) vector: the nearest, and further ones by the closure rule."""
@@ -267,29 +279,32 @@ def nearest_neighbours(table: DataFrame, id_col: str = "vec_id", vec_col: str =
                 vecs, ids = part.column("vec").to_pylist(), part.column("ids").to_pylist()
                 lists = lists_of(_lift(_matrix(vecs), most), g)
                 at = [i for i, ls in enumerate(lists) for _ in ls]
-                yield pa.RecordBatch.from_arrays([pa.array([j for ls in lists for j in ls], pa.int32()), pa.array([vecs[i] for i in at], pa.binary()), pa.array([ids[i] for i in at], pa.list_(pa.int64()))], names=["list", "vec", "ids"])
-
-    posted = durable(arrow_map(entries, post, "list int, vec binary, ids array<bigint>"))
-    blocks = {r["list"]: -(-r["count"] // BLOCK) for r in posted.groupBy("list").count().collect()}  # at most MOST_LISTS rows
+                own = [not n for ls in lists for n in range(len(ls))]
+                yield pa.RecordBatch.from_arrays([pa.array([j for ls in lists for j in ls], pa.int32()), pa.array([vecs[i] for i in at], pa.binary()), pa.array([ids[i] for i in at], pa.list_(pa.int64())), pa.array(own, pa.bool_())], names=["list", "vec", "ids", "own"])
+
+    posted = durable(arrow_map(entries, post, "list int, vec binary, ids array<bigint>, own boolean"))
+    sizes = posted.groupBy("list").agg(F.count(F.lit(1)).alias("count"), F.count_if("own").alias("own")).collect()  # at most MOST_LISTS rows
+    blocks = {r["list"]: -(-r["count"] // BLOCK) for r in sizes}
+    held_in = np.zeros(len(graph.c), np.int64)  # a vector counts in its nearest list alone
+    for r in sizes:
+        held_in[r["list"]] = r["own"]
     table_of = np.array([blocks.get(i, 0) for i in range(len(graph.c))], np.int64)
     n_blocks = F.element_at(F.lit([max(1, int(b)) for b in table_of]), F.col("list") + 1)
     lists = posted.select("list", F.pmod(F.xxhash64("vec"), n_blocks).cast("int").alias("block"), F.lit(0).alias("kind"), F.lit(None).cast("long").alias("id"), "vec", "ids")
     asked = _queries(table, id_col, vec_col, every, sample.shape[1])
 
-    def ask(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def ask(batches: Iterator[pa.RecordBatch], everywhere: bool = False) -> Iterator[pa.RecordBatch]:
         g, r, _ = shared.value
         for batch in batches:
             cols: list[list] = [[], [], [], []]
             for key, q in zip(batch.column("id").to_pylist(), batch.column("vec").to_pylist(), strict=True):
-                for j in g.search(np.append(np.frombuffer(q, np.float64), 0.0), r).tolist():
+                for j in range(len(g.c)) if everywhere else g.enough(np.append(np.frombuffer(q, np.float64), 0.0), r, held_in).tolist():
                     for b in range(int(table_of[j])):
                         for col, x in zip(cols, (j, b, key, q), strict=True):
                             col.append(x)
             k = len(cols[0])
             yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int32()), pa.array(cols[1], pa.int32()), pa.array(np.ones(k, np.int32)), pa.array(cols[2], pa.int64()), pa.array(cols[3], pa.binary()), pa.nulls(k, pa.list_(pa.int64()))], names=["list", "block", "kind", "id", "vec", "ids"])
 
-    both = lists.union(arrow_map(asked, ask, "list int, block int, kind int, id long, vec binary, ids array<bigint>"))
-
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         rows = (r for b in batches for r in zip(*(b.column(i).to_pylist() for i in range(6)), strict=True))
         held = _Nearest()
@@ -333,7 +348,18 @@ def nearest_neighbours(table: DataFrame, id_col: str = "vec_id", vec_col: str =
         yield held.flush()
 
     schema = "query_id long, vec binary, ids array<bigint>, scores array<double>"
-    found = arrow_map(both.repartition("list", "block").sortWithinPartitions("list", "block", "kind"), compare, schema)
-    best = arrow_map(found.repartition("query_id", "vec").sortWithinPartitions("query_id", "vec"), merge, schema)
+
+    def answers(queries: DataFrame, everywhere: bool) -> DataFrame:
+        both = lists.union(arrow_map(queries, lambda batches: ask(batches, everywhere), "list int, block int, kind int, id long, vec binary, ids array<bigint>"))
+        found = arrow_map(both.repartition("list", "block").sortWithinPartitions("list", "block", "kind"), compare, schema)
+        return arrow_map(found.repartition("query_id", "vec").sortWithinPartitions("query_id", "vec"), merge, schema)
+
+    best = answers(asked, False)
+    if len(graph.c) > 1:
+        best = durable(best)
+        done = best.where(F.size("ids") >= TOP)
+        short = durable(asked.join(done.select(F.col("query_id").alias("id"), "vec"), ["id", "vec"], "left_anti").select("id", "vec"))
+        if not short.isEmpty():
+            best = done.union(answers(short, True))
     ranked = best.select("query_id", F.posexplode(F.arrays_zip("ids", "scores")).alias("at", "b"))
     return ranked.select("query_id", (F.col("at") + 1).cast("int").alias("rank"), F.col("b.ids").alias("vec_id"), F.col("b.scores").alias("score"))

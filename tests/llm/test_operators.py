@@ -173,3 +173,27 @@ def test_packing_is_one_index_over_all_partitions(spark, monkeypatch):
         for r in packing.pack_documents(docs.repartition(parts), path, 512).collect():
             got.setdefault(r.sequence_id, []).append((r.offset, r.doc_id, r.start, r.length))
         assert {(s, tuple(x[1:] for x in sorted(p))) for s, p in got.items()} == want
+
+
+def test_outliers_and_tight_clusters_get_all_their_rows(spark):
+    rng = np.random.default_rng(6)
+    m = rng.normal(size=(1600, 8))
+    m[:, 0] = np.abs(m[:, 0]) + 4
+    m[40:45] = -np.eye(8)[0] + 1e-4 * rng.normal(size=(5, 8))  # a cluster of five
+    m[60] = -np.eye(8)[1] - np.eye(8)[2]  # alone
+    m /= np.sqrt((m * m).sum(axis=1))[:, None]
+    table = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(m)], "vec_id long, embedding array<double>")
+    got: dict[int, list] = {}
+    for r in ann.nearest_neighbours(table).collect():
+        got.setdefault(r.query_id, []).append(r.vec_id)
+    assert sorted(got) == list(range(0, 1600, 20)) and {len(v) for v in got.values()} == {20}
+    assert set(got[40]) >= {41, 42, 43, 44}
+
+
+def test_ids_with_many_vectors_read_all_lists(spark):
+    rng = np.random.default_rng(7)
+    m = rng.normal(size=(1600, 8)) * 0.01 + np.repeat(np.eye(8)[:2], 800, axis=0)
+    rows = [(20 if i < 800 else i, v.tolist()) for i, v in enumerate(m)]
+    found = ann.nearest_neighbours(spark.createDataFrame(rows, "vec_id long, embedding array<double>"))
+    assert {r["count"] for r in found.groupBy("query_id", "rank").count().where("query_id <> 20").collect()} == {1}
+    assert found.where("query_id = 20").groupBy("rank").count().collect().__len__() == 20
