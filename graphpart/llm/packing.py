@@ -1,17 +1,18 @@
 """Lexical retrieval packing: each seed document's window is filled by its unused nearest neighbours from a BM25 index.
 
-One index covers the whole corpus: document frequencies and the mean length are counted over all rows first, and the
-postings lie in shards that any number of tasks can read. Whole windows are cut from documents longer than one; then the
-longest unused rest becomes the seed, all its terms query all shards, and its unused neighbours follow best first, the
-last one cut to the room left. Seeds are asked for in batches: each gets the best of its neighbours that were unused as
-the batch began; where earlier windows of the batch took so many of them that the list ends before the window is full,
-the batch ends too and the seed is asked for again. So the windows are those of one index filled one by one
-(``pack_shard``), whatever the layout of the table. All windows but the last are full; that is cut into powers of two,
-which need no padding.
-
-Weights are whole numbers of 1 / UNIT, so their sums are exact in any order. The driver holds a few numbers for each
-document (its length, place and rest) and the lists of one batch, never texts or postings. Comparing all seeds with all
-documents takes time that grows with the square of the corpus; the README has figures.
+The index lies in shards of bounded size, and related documents share a shard. Document frequencies and the mean length
+are counted over the whole corpus first (words hashed to SLOTS slots, so the table has a fixed size). Documents are then
+laid on one line by content: leaf of a k-means tree over sketches of their weighted words, place along the main axis within
+the leaf, hash among equals. The line is cut into shards of about SHARD_WEIGHT, so a group of copies of any size is cut
+as well, and a document's shard depends on its own text and on corpus statistics, not on the layout of the table.
+
+In a shard, whole windows are cut from documents longer than one; then the longest unused rest becomes the seed, all its
+terms are scored, and its unused neighbours follow best first, the last one cut to the room left. The last window of a
+shard is cut into powers of two, which need no padding. Neighbours in other shards are lost to a seed:
+``shared_neighbours`` measures how many, and the README says how many on the given tables.
+
+Weights are whole numbers of 1 / UNIT, so their sums are exact in any order. The driver holds statistics of fixed size and
+a bounded sample of sketches, never texts, ids of tokens or postings. Time grows in proportion to the corpus.
 
 Edge cases: a null or empty text is the closing id alone; texts of any length are cut freely; repeated rows are packed
 as often as they stand there; extra columns are ignored; an empty table gives no rows.
@@ -19,93 +20,94 @@ as often as they stand there; extra columns are ignored; an empty table gives no
 
 from __future__ import annotations
 
-import gc
 import zlib
-from collections.abc import Callable, Iterator
+from collections.abc import Iterator
+from dataclasses import dataclass
+from functools import lru_cache
 from hashlib import blake2b
+from itertools import groupby
 
 import numpy as np
 import pyarrow as pa
-from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from graphpart.llm.ann import balanced_centroids
 from graphpart.llm.common import ID, TEXT, arrow_map, durable, strings
-from graphpart.llm.tokens import WordVocabulary, word_vocabulary
+from graphpart.llm.tokens import END, word_vocabulary
 
 WINDOW, CLOSING = 4096, 2
-SHARD_TOKENS, SHARD_DOCS = 2_000_000, 10_000
-SEEDS, LISTED = 2048, 1 << 17  # seeds of a batch, entries of a batch's lists
-PIECES = 500_000
+SLOTS, CHUNK = 1 << 20, 1 << 12
+SHARD_WEIGHT, DOC_WEIGHT = 2_000_000, 200  # tokens of a shard; what a document weighs besides its tokens
+SAMPLE, MOST_LEAVES = 12_000, 2048
+DIMS, BINS = 128, 64
+OFTEN = 8  # terms in over 1 / OFTEN of a shard's documents are added up as dense rows
+REMEMBERED = 200_000
 K1, B = 1.2, 0.75
 UNIT = float(1 << 20)
 Piece = tuple[int, int, int]  # document, start, length
 
 
-def _weights(tf: np.ndarray, df: np.ndarray, sizes: np.ndarray, n: int, mean: float) -> np.ndarray:
-    """BM25 of a term in a document, in whole units."""
-    idf = np.log(1 + (n - df + 0.5) / (df + 0.5))
-    return np.rint(UNIT * idf * tf * (K1 + 1) / (tf + K1 * (1 - B + B * sizes / max(1.0, mean))))
+def idf_of(df: np.ndarray, n: int) -> np.ndarray:
+    return np.log(1 + (n - df + 0.5) / (df + 0.5))
 
 
-class Postings:
-    """Documents by term; terms sorted."""
-
-    def __init__(self, term: np.ndarray, at: np.ndarray, doc: np.ndarray, weight: np.ndarray, n: int) -> None:
-        self.term, self.at, self.doc, self.weight, self.n = term, at, doc, weight, n
-
-    def of(self, alive: np.ndarray) -> Postings:
-        """The same without the documents that aren't alive, renumbered."""
-        keep = alive[self.doc]
-        at = np.r_[0, np.cumsum(keep)][self.at]
-        return Postings(self.term, at, (np.cumsum(alive) - 1)[self.doc[keep]], self.weight[keep], int(alive.sum()))
-
-    def scores(self, queries: list[np.ndarray]) -> Iterator[tuple[int, np.ndarray]]:
-        """(first query, scores by query and document) for some queries at a time; frequent terms by a dense product."""
-        df = np.diff(self.at)
-        often = np.flatnonzero(df > max(8, self.n // 16))
-        column = np.full(df.size, -1)
-        column[often] = np.arange(often.size)
-        dense = np.zeros((often.size, self.n))
-        for c, t in enumerate(often.tolist()):
-            dense[c, self.doc[self.at[t] : self.at[t + 1]]] = self.weight[self.at[t] : self.at[t + 1]]
-        for first in range(0, len(queries), 64):
-            some = queries[first : first + 64]
-            asked = np.zeros((len(some), often.size))
-            rare = []
-            for i, q in enumerate(some):
-                t = np.searchsorted(self.term, q)
-                t = t[t < self.term.size] if self.term.size else t[:0]
-                t = t[self.term[t] == q[: t.size]]
-                asked[i, column[t[column[t] >= 0]]] = 1
-                rare.append(t[column[t] < 0])
-            out = asked @ dense
-            for i, t in enumerate(rare):
-                size = df[t]
-                end = np.cumsum(size)
-                if t.size and end[-1]:
-                    rows = np.repeat(self.at[t] - (end - size), size) + np.arange(int(end[-1]))
-                    out[i] += np.bincount(self.doc[rows], self.weight[rows], self.n)
-            yield first, out
+def term_weights(tf: np.ndarray, idf: np.ndarray, sizes: np.ndarray, mean: float) -> np.ndarray:
+    """BM25 of a term in a document, in whole units."""
+    return np.rint(UNIT * idf * tf * (K1 + 1) / (tf + K1 * (1 - B + B * sizes / max(1.0, mean))))
 
 
 class Bm25Index:
-    """All documents in one index, without Spark."""
+    """Postings of some documents, weighed by frequencies in the whole corpus. ``docs`` are arrays of terms, repeats counted."""
 
-    def __init__(self, docs: list[np.ndarray]) -> None:
+    def __init__(self, docs: list[np.ndarray], idf: np.ndarray | None = None, mean: float | None = None) -> None:
+        """``idf`` by term; counted here, like ``mean``, if the documents are the whole corpus."""
         sizes = np.array([d.size for d in docs], np.int64)
         flat = np.concatenate(docs) if docs else np.zeros(0, np.int64)
         names, number = np.unique(flat, return_inverse=True)
-        key, tf = np.unique(number << 32 | np.repeat(np.arange(len(docs)), sizes), return_counts=True)
-        term, doc = key >> 32, key & 0xFFFFFFFF
-        df = np.bincount(term, minlength=names.size)
-        weight = _weights(tf, df[term], sizes[doc], len(docs), float(sizes.mean()) if len(docs) else 1.0)
-        self.postings = Postings(names, np.r_[0, np.cumsum(df)], doc, weight, len(docs))
-        self.terms = [np.unique(d) for d in docs]
+        key, tf = np.unique(np.repeat(np.arange(len(docs)), sizes) << 32 | number, return_counts=True)
+        doc, term = key >> 32, key & 0xFFFFFFFF
+        of_term = idf_of(np.bincount(term, minlength=names.size), len(docs)) if idf is None else idf[names]
+        weight = term_weights(tf, of_term[term], sizes[doc], float(sizes.mean()) if mean is None and len(docs) else mean or 1.0)
+        self.terms = np.split(term, np.searchsorted(doc, np.arange(1, len(docs)))) if docs else []
+        order = np.argsort(term, kind="stable")
+        self._lay(np.bincount(term, minlength=names.size), doc[order], weight[order], np.arange(len(docs)))
+
+    def _lay(self, df: np.ndarray, doc: np.ndarray, weight: np.ndarray, number: np.ndarray) -> None:
+        self.df, self.doc, self.weight, self.number = df, doc, weight, number
+        self.at = np.r_[0, np.cumsum(df)]
+        often = np.flatnonzero(df * OFTEN > number.size)
+        self.row = np.full(df.size, -1)
+        self.row[often] = np.arange(often.size)
+        self.dense = np.zeros((often.size, number.size))
+        for row, t in enumerate(often.tolist()):
+            some = slice(self.at[t], self.at[t + 1])
+            self.dense[row, doc[some]] = weight[some]
+
+    def forget(self, alive: np.ndarray) -> None:
+        """Leave out the documents that aren't alive."""
+        keep, live = alive[self.number][self.doc], alive[self.number]
+        df = np.diff(np.r_[0, np.cumsum(keep)][self.at])
+        self._lay(df, (np.cumsum(live) - 1)[self.doc[keep]], self.weight[keep], self.number[live])
 
     def scores(self, doc: int) -> np.ndarray:
-        """BM25 of every document for all terms of one."""
-        return next(self.postings.scores([self.terms[doc]]))[1][0]
+        """BM25 for all terms of one document, by place in ``number``."""
+        t = self.terms[doc]
+        row = self.row[t]
+        out = self.dense[row[row >= 0]].sum(axis=0)
+        t = t[row < 0]
+        size = self.df[t]
+        end = np.cumsum(size)
+        if t.size and end[-1]:
+            at = np.repeat(self.at[t] - (end - size), size) + np.arange(int(end[-1]))
+            out = out + np.bincount(self.doc[at], self.weight[at], self.number.size)
+        return out
+
+    def nearest(self, doc: int, alive: np.ndarray) -> np.ndarray:
+        """Alive documents that share a term, best first, ties to the smaller number."""
+        score = self.scores(doc)
+        some = np.flatnonzero((score > 0) & alive[self.number] & (self.number != doc))
+        return self.number[some[np.lexsort((some, -score[some]))]]
 
 
 class Windows:
@@ -118,18 +120,11 @@ class Windows:
         self.order = np.argsort(-self.left, kind="stable")
         self.at = 0
 
-    def longest(self, most: int = 1) -> np.ndarray:
-        """The unused documents that come next as seeds."""
-        out: list[int] = []
-        i = self.at
-        while i < self.order.size and len(out) < most:
-            step = self.order[i : i + 4 * most]
-            live = np.flatnonzero(self.left[step] > 0)
-            if not out:
-                self.at = i + (int(live[0]) if live.size else step.size)
-            out += step[live].tolist()
-            i += step.size
-        return np.array(out[:most], np.int64)
+    def longest(self) -> int | None:
+        """The longest unused rest."""
+        while self.at < self.order.size and not self.left[self.order[self.at]]:
+            self.at += 1
+        return int(self.order[self.at]) if self.at < self.order.size else None
 
     def _take(self, d: int, most: int) -> Piece:
         n = min(most, int(self.left[d]))
@@ -138,20 +133,17 @@ class Windows:
         self.left[d] -= n
         return piece
 
-    def fill(self, seed: int, near: np.ndarray, whole: bool) -> tuple[list[Piece], int] | None:
-        """Pieces of the seed's window and the room left; None, and nothing taken, if a list that isn't whole is too short."""
-        near = near[(self.left[near] > 0) & (near != seed)]
-        room = self.window - int(self.left[seed])
-        if not whole and int(self.left[near].sum()) < room:
-            return None
+    def fill(self, seed: int, near: np.ndarray) -> tuple[list[Piece], int]:
+        """Pieces of the seed's window, and the room left: the nearest first, then the longest rests."""
         pieces = [self._take(seed, self.window)]
+        room = self.window - pieces[0][2]
         for d in near.tolist():
             if not room:
                 break
             pieces.append(self._take(d, room))
             room -= pieces[-1][2]
-        while room and (rest := self.longest()).size:
-            pieces.append(self._take(int(rest[0]), room))
+        while room and (d := self.longest()) is not None:
+            pieces.append(self._take(d, room))
             room -= pieces[-1][2]
         return pieces, room
 
@@ -162,43 +154,22 @@ def _whole_windows(lengths: np.ndarray, window: int) -> Iterator[list[Piece]]:
             yield [(d, s, window)]
 
 
-Ask = Callable[[np.ndarray, np.ndarray, int], tuple[list[np.ndarray], np.ndarray]]
-
-
-def fill_windows(lengths: np.ndarray, ask: Ask, window: int) -> Iterator[list[Piece]]:
-    """Sequences of pieces. ``ask`` (seeds, alive, most) gives each seed's best alive documents, and whether these are all."""
-    yield from _whole_windows(lengths, window)
-    w = Windows(lengths, window)
+def pack_shard(lengths: np.ndarray, terms: list[np.ndarray], window: int = WINDOW, idf: np.ndarray | None = None, mean: float | None = None) -> list[list[Piece]]:
+    """Sequences of pieces; every id of every document in one piece. One seed after the other over one index."""
+    lengths = np.asarray(lengths, np.int64)
+    out = list(_whole_windows(lengths, window))
+    index, w = Bm25Index(terms, idf, mean), Windows(lengths, window)
     last: list[Piece] = []
-    while w.longest().size:
-        seeds = w.longest(int(np.clip(int(w.left.sum()) // window // 2, 64, SEEDS)))
-        lists, whole = ask(seeds, w.left > 0, LISTED // seeds.size)
-        for seed, near, all_of in zip(seeds.tolist(), lists, whole.tolist(), strict=True):
-            if not w.left[seed]:
-                continue
-            found = w.fill(seed, near, all_of)
-            if found is None:
-                break
-            if found[1]:
-                last = found[0]
-            else:
-                yield found[0]
-    yield from powers_of_two(last)
-
-
-def pack_shard(lengths: np.ndarray, terms: list[np.ndarray], window: int = WINDOW) -> list[list[Piece]]:
-    """Sequences of pieces; every id of every document in one piece. One index, one seed after the other."""
-    index = Bm25Index(terms)
-
-    def ask(seeds: np.ndarray, alive: np.ndarray, most: int) -> tuple[list[np.ndarray], np.ndarray]:
-        out = []
-        for seed in seeds.tolist():
-            score = index.scores(seed)
-            near = np.flatnonzero((score > 0) & alive)
-            out.append(near[np.lexsort((near, -score[near]))])
-        return out, np.ones(seeds.size, bool)
-
-    return list(fill_windows(np.asarray(lengths, np.int64), ask, window))
+    while (seed := w.longest()) is not None:
+        alive = w.left > 0
+        if alive.sum() * 2 < index.number.size:
+            index.forget(alive)
+        pieces, room = w.fill(seed, index.nearest(seed, alive))
+        if room:
+            last = pieces
+        else:
+            out.append(pieces)
+    return out + powers_of_two(last)
 
 
 def powers_of_two(pieces: list[Piece]) -> list[list[Piece]]:
@@ -220,250 +191,279 @@ def powers_of_two(pieces: list[Piece]) -> list[list[Piece]]:
     return out
 
 
-def _term_hashes(vocabulary: WordVocabulary, numbers: np.ndarray) -> np.ndarray:
-    """64-bit hashes of chunks by the ids they consist of, the same in every process."""
-    n = vocabulary.sizes()[numbers]
-    ids = vocabulary.ids(numbers).astype(np.uint64)
-    end = np.cumsum(n)
-    place = (np.arange(ids.size) - np.repeat(end - n, n)).astype(np.uint64)
-    x = (ids + (place + np.uint64(1)) * np.uint64(65536)) * np.uint64(0x9E3779B97F4A7C15)
-    for shift, by in ((30, 0xBF58476D1CE4E5B9), (27, 0x94D049BB133111EB)):
-        x = (x ^ (x >> np.uint64(shift))) * np.uint64(by)
-    total = np.r_[np.uint64(0), np.cumsum(x ^ (x >> np.uint64(31)), dtype=np.uint64)]
-    return (total[end] - total[end - n]).view(np.int64)
+# -- words of token sequences, by slot
 
 
-def _squeeze(x: np.ndarray) -> bytes:
-    """Whole numbers under 2**31 as compressed differences, byte planes apart."""
-    return pa.compress(np.diff(x.astype("<i4"), prepend=np.int32(0)).view(np.uint8).reshape(-1, 4).T.tobytes(), codec="zstd", asbytes=True) if x.size else b""
+@lru_cache(maxsize=2)
+def _word_ends(path: str) -> np.ndarray:
+    """By token id: does a word end there?"""
+    known = word_vocabulary(path).bytes_of
+    out = np.zeros(max(known) + 1, bool)
+    for i, data in known.items():
+        out[i] = data.endswith(END)
+    return out
+
+
+def _mixed(x: np.ndarray) -> np.ndarray:
+    for shift, by in ((30, 0xBF58476D1CE4E5B9), (27, 0x94D049BB133111EB)):
+        x = (x ^ (x >> np.uint64(shift))) * np.uint64(by)
+    return x ^ (x >> np.uint64(31))
 
 
-def _expand(data: bytes, n: int) -> np.ndarray:
-    if not n:
-        return np.zeros(0, np.int32)
-    planes = np.frombuffer(pa.decompress(data, decompressed_size=4 * n, codec="zstd", asbytes=True), np.uint8)
-    return np.cumsum(np.ascontiguousarray(planes.reshape(4, n).T).view("<i4").ravel(), dtype=np.int32)
+def word_slots(ids: np.ndarray, sizes: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(document, slot) of each word of documents whose ids lie one after the other, the closing id last."""
+    doc = np.repeat(np.arange(sizes.size), sizes)
+    inner = np.ones(ids.size, bool)
+    inner[np.cumsum(sizes) - 1] = False
+    doc, ids = doc[inner], ids[inner].astype(np.int64)
+    if not ids.size:
+        return doc, ids
+    first = np.ones(ids.size, bool)
+    first[1:] = (ids[:-1] < ends.size) & ends[np.minimum(ids[:-1], ends.size - 1)] | (doc[1:] != doc[:-1])
+    at = np.flatnonzero(first)
+    place = np.arange(ids.size) - np.repeat(at, np.diff(np.r_[at, ids.size]))
+    x = _mixed((ids + (place + 1) * 65536).astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15))
+    return doc[at], (_mixed(np.add.reduceat(x, at)) >> np.uint64(64 - SLOTS.bit_length() + 1)).astype(np.int64)
 
 
-def _binary(*arrays: np.ndarray) -> list[pa.Array]:
-    return [pa.array([a.tobytes()], pa.binary()) for a in arrays]
+def _slots_of(batch: pa.RecordBatch, path: str) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Documents and slots of the words of a batch, and how many tokens each document has."""
+    sizes = np.asarray(batch.column("size"))
+    ids = np.frombuffer(b"".join(batch.column("tokens").to_pylist()), "<u2")
+    return (*word_slots(ids, sizes, _word_ends(path)), sizes)
 
 
-def _read_shards(docs: DataFrame, path: str) -> DataFrame:
-    """Rows of many documents each: ids, lengths and ids of tokens, hashes that break ties, and terms with frequencies."""
+def _read(docs: DataFrame, path: str) -> DataFrame:
+    """(doc_id, tie, size, words, tokens) of each row; ``tie`` is a hash of id, text, and of how often the task met both before."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         vocabulary = word_vocabulary(path)
-        task = TaskContext.get()
-        number = (task.partitionId() if task else 0) << 24
-        keys, texts, numbers, tokens = [], [], [], 0
-        kind = None
+        ends = _word_ends(path)
+        met: dict[bytes, int] = {}
+        for batch in batches:
+            ties, tokens = [], []
+            for key, text in zip(batch.column(0).to_pylist(), strings(batch, TEXT), strict=True):
+                vocabulary.trim()
+                tokens.append(np.append(vocabulary.ids(vocabulary.numbers(text)), np.uint16(CLOSING)))
+                name = blake2b(f"{key}\0{text}".encode("utf-8", "surrogatepass"), digest_size=8).digest()
+                again = met[name] = met.get(name, -1) + 1
+                ties.append(int.from_bytes(blake2b(name + again.to_bytes(8, "little"), digest_size=8).digest() if again else name, "little", signed=True))
+            if len(met) > REMEMBERED:
+                met.clear()
+            sizes = np.array([t.size for t in tokens], np.int64)
+            doc, _ = word_slots(np.concatenate(tokens), sizes, ends) if tokens else (np.zeros(0, np.int64), None)
+            words = np.bincount(doc, minlength=sizes.size)
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(ties, pa.int64()), pa.array(sizes), pa.array(words, pa.int64()), pa.array([t.astype("<u2").tobytes() for t in tokens], pa.binary())], names=[ID, "tie", "size", "words", "tokens"])
+
+    return arrow_map(docs.select(ID, TEXT), run, f"{ID} {docs.schema[ID].dataType.simpleString()}, tie long, size long, words long, tokens binary")
 
-        def shard() -> pa.RecordBatch:
-            data = [np.append(vocabulary.ids(n), np.uint16(CLOSING)) for n in numbers]
-            sizes = np.array([n.size for n in numbers], np.int64)
-            flat = np.concatenate(numbers)
-            chunk, inverse = np.unique(flat, return_inverse=True)
-            name, of_chunk = np.unique(_term_hashes(vocabulary, chunk) if chunk.size else np.zeros(0, np.int64), return_inverse=True)
-            key, tf = np.unique(np.repeat(np.arange(len(numbers)), sizes) << 32 | of_chunk[inverse], return_counts=True)
-            start = np.searchsorted(key, np.arange(len(numbers) + 1) << 32)
-            cols = _binary(np.array([d.size for d in data], "<i4"), np.frombuffer(pa.compress(np.concatenate(data).astype("<u2").tobytes(), codec="zstd", asbytes=True), np.uint8), np.array(texts, "<i8"), sizes.astype("<i4"), name, np.bincount(key & 0xFFFFFFFF, minlength=name.size).astype("<i4"), start)
-            cols += [pa.array([_squeeze(x)], pa.binary()) for x in (key & 0xFFFFFFFF, tf)]
-            return pa.RecordBatch.from_arrays([pa.array([number], pa.int64()), pa.array([keys], pa.list_(kind)), *cols], names=["shard", "keys", *_SHARD])
 
+def _frequencies(read: DataFrame, path: str) -> np.ndarray:
+    """Documents by slot, over all rows: each task counts, chunks of slots are summed by other tasks."""
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        df = np.zeros(SLOTS, np.int64)
         for batch in batches:
-            kind = batch.column(0).type
-            for key, text in zip(batch.column(0).to_pylist(), strings(batch, TEXT), strict=True):
-                n = vocabulary.numbers(text)
-                keys.append(key)
-                texts.append(int.from_bytes(blake2b(f"{key}\0{text}".encode("utf-8", "surrogatepass"), digest_size=8).digest(), "little", signed=True))
-                numbers.append(n)
-                tokens += int(vocabulary.sizes()[n].sum()) + 1
-                if tokens >= SHARD_TOKENS or len(keys) >= SHARD_DOCS:
-                    yield shard()
-                    number, keys, texts, numbers, tokens = number + 1, [], [], [], 0
-                    vocabulary.trim()
-        if keys:
-            yield shard()
+            doc, slot, _ = _slots_of(batch, path)
+            df += np.bincount(np.unique(doc << 32 | slot) & 0xFFFFFFFF, minlength=SLOTS)
+        some = np.flatnonzero(df.reshape(-1, CHUNK).any(axis=1))
+        yield pa.RecordBatch.from_arrays([pa.array(some, pa.int32()), pa.array([pa.compress(df[c * CHUNK : (c + 1) * CHUNK].tobytes(), codec="zstd", asbytes=True) for c in some.tolist()], pa.binary())], names=["chunk", "counts"])
 
-    return arrow_map(docs.select(ID, TEXT), run, f"shard long, keys array<{docs.schema[ID].dataType.simpleString()}>, " + ", ".join(f"{c} binary" for c in _SHARD))
+    def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total: dict[int, np.ndarray] = {}
+        for batch in batches:
+            for c, data in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                total[c] = total.get(c, 0) + np.frombuffer(pa.decompress(data, decompressed_size=8 * CHUNK, codec="zstd", asbytes=True), np.int64)
+        yield pa.RecordBatch.from_arrays([pa.array(list(total), pa.int32()), pa.array([x.tobytes() for x in total.values()], pa.binary())], names=["chunk", "counts"])
+
+    schema = "chunk int, counts binary"
+    out = np.zeros(SLOTS, np.int64)
+    for r in arrow_map(arrow_map(read.select("size", "tokens"), count, schema).repartition("chunk"), add, schema).collect():  # 8 * SLOTS bytes
+        out[r["chunk"] * CHUNK : (r["chunk"] + 1) * CHUNK] = np.frombuffer(r["counts"], np.int64)
+    return out
+
+
+# -- the line of documents
+
+
+@dataclass
+class Line:
+    """Where documents lie: centroids of leaves and the main axis of what they leave over, and the weight before each cell."""
+
+    centroids: np.ndarray
+    axis: np.ndarray
+    spread: float
+    step: int = SHARD_WEIGHT
+    before: np.ndarray | None = None
+    weight: np.ndarray | None = None
+
+    def cells(self, sketches: np.ndarray) -> np.ndarray:
+        leaf, along = np.zeros(len(sketches), np.int64), np.zeros(len(sketches))
+        for lo in range(0, len(sketches), 512):
+            s = sketches[lo : lo + 512]
+            at = np.round((self.centroids**2).sum(axis=1) - 2 * s @ self.centroids.T, 9).argmin(axis=1)
+            leaf[lo : lo + 512], along[lo : lo + 512] = at, (s - self.centroids[at]) @ self.axis
+        place = np.floor(BINS / 2 * (1 + np.round(along / (3 * self.spread), 6)))
+        return leaf * BINS + np.clip(place, 0, BINS - 1).astype(np.int64)
 
+    def shards(self, cells: np.ndarray, ties: np.ndarray) -> np.ndarray:
+        part = (ties.astype(np.float64) + 2.0**63) / 2.0**64
+        return np.floor((self.before[cells] + part * self.weight[cells]) / self.step).astype(np.int64)
 
-_SHARD = ["lengths", "tokens", "ties", "sizes", "name", "df", "start", "term", "tf"]
-_INDEX = "shard long, name binary, at binary, doc binary, weight binary, number binary"
 
+def sketch(doc: np.ndarray, slot: np.ndarray, n: int, idf: np.ndarray) -> np.ndarray:
+    """Weighted words of n documents, each added with a sign to two of DIMS numbers; of length one."""
+    key, tf = np.unique(doc << 32 | slot, return_counts=True)
+    doc, slot = key >> 32, key & 0xFFFFFFFF
+    value = idf[slot] * tf / (tf + K1)
+    out = np.zeros(n * DIMS)
+    for salt in (1, 2):
+        h = _mixed((slot * 2 + 1).astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15 * salt % (1 << 64)))
+        sign = np.where(h & np.uint64(1), 1.0, -1.0)
+        out += np.bincount(doc * DIMS + (h >> np.uint64(40)).astype(np.int64) % DIMS, sign * value, n * DIMS)
+    out = out.reshape(n, DIMS)
+    return out / np.maximum(1e-12, np.sqrt((out * out).sum(axis=1)))[:, None]
 
-def _array(batch: pa.RecordBatch | pa.Table, name: str, kind: str, i: int = 0) -> np.ndarray:
-    return np.frombuffer(batch.column(name)[i].as_py(), kind)
 
+def _fit_line(sample: np.ndarray, leaves: int) -> Line:
+    """Leaves by balanced k-means, laid along the main axis of their centroids so that near leaves tend to be neighbours."""
+    c = balanced_centroids(sample, max(1, min(leaves, MOST_LEAVES, len(sample))))
+    main = np.linalg.svd(c - c.mean(axis=0), full_matrices=False)[2][0] if len(c) > 1 else np.eye(DIMS)[0]
+    c = c[np.argsort(np.round(c @ main, 9), kind="stable")]
+    left = sample - c[((c**2).sum(axis=1) - 2 * sample @ c.T).argmin(axis=1)]
+    axis = np.linalg.svd(left, full_matrices=False)[2][0] if len(sample) > 1 else np.eye(DIMS)[0]
+    axis = axis * np.sign(axis[np.abs(axis).argmax()])
+    return Line(c, axis, max(1e-9, float((left @ axis).std())))
 
-def _postings(batch: pa.RecordBatch, i: int) -> tuple[np.ndarray, ...]:
-    """Terms, where their postings start, and the documents of a shard of the index."""
-    name = _array(batch, "name", "<i8", i)
-    at = _expand(batch.column("at")[i].as_py(), name.size + 1).astype(np.int64)
-    return name, at, _expand(batch.column("doc")[i].as_py(), int(at[-1]))
 
+def _cells_of(batch: pa.RecordBatch, path: str, idf: np.ndarray, line: Line) -> np.ndarray:
+    doc, slot, sizes = _slots_of(batch, path)
+    return line.cells(sketch(doc, slot, sizes.size, idf))
 
-def _index(read: DataFrame, n: int, mean: float, numbers: dict[int, np.ndarray]) -> DataFrame:
-    """The shards' postings, weighed by frequencies in the whole corpus; terms of one document are left out."""
+
+def _place(read: DataFrame, path: str, n: int, weight: int, idf, step: int) -> Line:
+    """The line of all documents; leaves are learnt from the SAMPLE smallest hashes, weights are of all rows."""
     spark = read.sparkSession
 
-    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def sketches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for i in range(batch.num_rows):
-                name, df = _array(batch, "name", "<i8", i), _array(batch, "df", "<i4", i)
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(name.size, batch.column("shard")[i].as_py())), pa.array(name), pa.array(df)], names=["shard", "name", "df"])
-
-    local = arrow_map(read.select("shard", "name", "df"), count, "shard long, name long, df int")
-    everywhere = local.groupBy("name").agg(F.sum("df").alias("df"), F.collect_list("shard").alias("shards")).where("df > 1")  # a term is once in a shard
-    known = everywhere.select(F.explode("shards").alias("shard"), "name", "df")
-    shared = spark.sparkContext.broadcast(numbers)
-
-    def build(left: pa.Table, right: pa.Table) -> pa.Table:
-        if not left.num_rows:
-            return pa.table({c.split()[0]: pa.array([], pa.int64() if c.startswith("shard") else pa.binary()) for c in _INDEX.split(", ")})
-        shard = left.column("shard")[0].as_py()
-        names, df = np.asarray(right.column("name")), np.asarray(right.column("df"))
-        order = np.argsort(names)
-        names, df = names[order], df[order]
-        local_name, start = _array(left, "name", "<i8"), _array(left, "start", "<i8")
-        place = np.full(local_name.size, -1)
-        place[np.searchsorted(local_name, names)] = np.arange(names.size)
-        term = place[_expand(left.column("term")[0].as_py(), int(start[-1]))]
-        doc, tf, sizes = np.repeat(np.arange(start.size - 1), np.diff(start)), _expand(left.column("tf")[0].as_py(), int(start[-1])), _array(left, "sizes", "<i4")
-        doc, tf, term = doc[term >= 0], tf[term >= 0], term[term >= 0]
-        order = np.argsort(term, kind="stable")
-        doc, tf, term = doc[order], tf[order], term[order]
-        weight = _weights(tf, df[term], sizes[doc], n, mean)
-        at = np.r_[0, np.cumsum(np.bincount(term, minlength=names.size))]
-        return pa.table([pa.array([shard], pa.int64()), *_binary(names), *(pa.array([_squeeze(x)], pa.binary()) for x in (at, doc, weight)), *_binary(shared.value[shard])], names=[c.split()[0] for c in _INDEX.split(", ")])
-
-    tasks = 4 * spark.sparkContext.defaultParallelism
-    forward = read.select("shard", "name", "start", "term", "tf", "sizes").repartition(tasks, "shard")
-    return durable(forward.groupBy("shard").cogroup(known.repartition(tasks, "shard").groupBy("shard")).applyInArrow(build, _INDEX))
-
-
-def _best(q: np.ndarray, doc: np.ndarray, score: np.ndarray, most: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """The best of each query, ties to the smaller number."""
-    order = np.lexsort((doc, -score, q))
-    q, doc, score = q[order], doc[order], score[order]
-    keep = np.arange(q.size) - np.searchsorted(q, q) < most
-    return q[keep], doc[keep], score[keep]
-
-
-def _asker(index: DataFrame) -> Ask:
-    """Lists of seeds over all shards: their terms are fetched, then every shard is asked for its best."""
-    sc = index.sparkSession.sparkContext
-
-    def ask(seeds: np.ndarray, alive: np.ndarray, most: int) -> tuple[list[np.ndarray], np.ndarray]:
-        wanted = sc.broadcast((np.sort(seeds), np.argsort(seeds)))
-
-        def fetch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            by_number, position = wanted.value
-            for batch in batches:
-                for i in range(batch.num_rows):
-                    number, (name, at, doc) = _array(batch, "number", "<i8", i), _postings(batch, i)
-                    here = np.searchsorted(by_number, number).clip(max=by_number.size - 1)
-                    here = np.where(by_number[here] == number, position[here], -1)
-                    rows = np.flatnonzero(here[doc] >= 0)
-                    term = np.searchsorted(at, rows, side="right") - 1
-                    of = here[doc[rows]]
-                    order = np.argsort(of, kind="stable")
-                    of, names = of[order], name[term[order]]
-                    which, first = np.unique(of, return_index=True)
-                    yield pa.RecordBatch.from_arrays([pa.array(which, pa.int64()), pa.array([x.tobytes() for x in np.split(names, first[1:])] if which.size else [], pa.binary())], names=["q", "terms"])
-
-        queries = [np.zeros(0, np.int64)] * seeds.size
-        for r in arrow_map(index.select("number", "at", "doc", "name"), fetch, "q long, terms binary").collect():
-            queries[r["q"]] = np.frombuffer(r["terms"], "<i8")
-        wanted.destroy()
-        told = sc.broadcast((queries, np.packbits(alive), seeds))
-
-        def search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            queries, bits, own = told.value
-            live = np.unpackbits(bits).astype(bool)
-            held = (np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0))
-            for batch in batches:
-                for i in range(batch.num_rows):
-                    number = _array(batch, "number", "<i8", i)
-                    here = live[number]
-                    number = number[here]
-                    if not number.size:
-                        continue
-                    name, at, doc = _postings(batch, i)
-                    weight = _expand(batch.column("weight")[i].as_py(), doc.size).astype(np.float64)
-                    postings = Postings(name, at, doc, weight, here.size).of(here)
-                    parts = [held]
-                    for first, score in postings.scores(queries):
-                        if number.size > most + 2:  # the seed itself may be among them
-                            least = np.maximum(0.5, np.partition(score, number.size - most - 2, axis=1)[:, number.size - most - 2])
-                        else:
-                            least = np.full(len(score), 0.5)
-                        q, d = np.nonzero(score >= least[:, None])
-                        other = number[d] != own[first + q]
-                        parts.append((first + q[other], number[d[other]], score[q[other], d[other]]))
-                    held = _best(*(np.concatenate(x) for x in zip(*parts, strict=True)), most + 1)
-            yield pa.RecordBatch.from_arrays([pa.array([x.tobytes()], pa.binary()) for x in (held[0].astype("<i4"), held[1].astype("<i4"), held[2])], names=["q", "doc", "score"])
-
-        rows = arrow_map(index.select("name", "at", "doc", "weight", "number"), search, "q binary, doc binary, score binary").collect()
-        told.destroy()
-        q, doc, score = (np.concatenate([np.frombuffer(r[c], k) for r in rows]) for c, k in (("q", "<i4"), ("doc", "<i4"), ("score", "<f8")))
-        q, doc, score = _best(q, doc.astype(np.int64), score, most + 1)  # one more tells whether that is all
-        ends = np.searchsorted(q, np.arange(seeds.size + 1))
-        return [doc[a : min(b, a + most)] for a, b in zip(ends[:-1].tolist(), ends[1:].tolist(), strict=True)], np.diff(ends) <= most
-
-    return ask
-
-
-def pack_documents(docs: DataFrame, path: str, window: int = WINDOW) -> DataFrame:
-    """(doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset), a row for each piece."""
+            doc, slot, sizes = _slots_of(batch, path)
+            made = sketch(doc, slot, sizes.size, idf.value)
+            yield pa.RecordBatch.from_arrays([batch.column("tie"), pa.array([x.tobytes() for x in made], pa.binary())], names=["tie", "sketch"])
+
+    below = min(2**63 - 1, int(-(2**63) + 2**64 * 1.5 * SAMPLE / n))
+    few = arrow_map(read.where(F.col("tie") <= below).select("tie", "size", "tokens"), sketches, "tie long, sketch binary").orderBy("tie", "sketch").limit(SAMPLE).collect()
+    sample = np.frombuffer(b"".join(r["sketch"] for r in few), np.float64).reshape(-1, DIMS)
+    line = _fit_line(sample if len(sample) else np.zeros((1, DIMS)), -(-weight // step))
+    line.step = step
+    sent = spark.sparkContext.broadcast(line)  # at most MOST_LEAVES centroids
+    cells = len(line.centroids) * BINS
+
+    def weigh(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = np.zeros(cells, np.int64)
+        for batch in batches:
+            np.add.at(total, _cells_of(batch, path, idf.value, sent.value), np.asarray(batch.column("size")) + DOC_WEIGHT)
+        some = np.flatnonzero(total)
+        yield pa.RecordBatch.from_arrays([pa.array(some), pa.array(total[some])], names=["cell", "weight"])
+
+    by_cell = arrow_map(read.select("size", "tokens"), weigh, "cell long, weight long").groupBy("cell").agg(F.sum("weight").alias("weight")).collect()  # at most MOST_LEAVES * BINS rows
+    line.weight = np.zeros(cells)
+    for r in by_cell:
+        line.weight[r["cell"]] = r["weight"]
+    line.before = np.cumsum(line.weight) - line.weight
+    return line
+
+
+def _dealt(docs: DataFrame, path: str, step: int) -> tuple[DataFrame, int, object, float] | None:
+    """Rows with their shard, how many shards there are, and what weighs terms: idf by slot (broadcast) and the mean length."""
     spark = docs.sparkSession
+    read = durable(_read(docs, path))
+    top = read.agg(F.count(F.lit(1)).alias("n"), F.sum("words").alias("words"), F.sum("size").alias("size")).first()
+    if not top["n"]:
+        return None
+    weight = top["size"] + DOC_WEIGHT * top["n"]
+    idf = spark.sparkContext.broadcast(idf_of(_frequencies(read, path), top["n"]))  # 8 * SLOTS bytes
+    line = spark.sparkContext.broadcast(_place(read, path, top["n"], weight, idf, step))
+
+    def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            cells = _cells_of(batch, path, idf.value, line.value)
+            shard = line.value.shards(cells, np.asarray(batch.column("tie")))
+            yield pa.RecordBatch.from_arrays([pa.array(shard), *(batch.column(c) for c in (ID, "tie", "size", "tokens"))], names=["shard", ID, "tie", "size", "tokens"])
+
+    kind = docs.schema[ID].dataType.simpleString()
+    rows = arrow_map(read.select(ID, "tie", "size", "tokens"), deal, f"shard long, {ID} {kind}, tie long, size long, tokens binary")
+    return rows, int(weight // step) + 1, idf, top["words"] / top["n"]
+
+
+def _by_shard(batches: Iterator[pa.RecordBatch], path: str) -> Iterator[tuple[int, list, np.ndarray, np.ndarray, list[np.ndarray]]]:
+    """(shard, document ids, lengths, token ids, slots of each document) of each shard, rows sorted by shard."""
+    rows = (r for b in batches for r in zip(*(b.column(c).to_pylist() for c in ("shard", ID, "size", "tokens")), strict=True))
+    for shard, group in groupby(rows, key=lambda r: r[0]):
+        _, keys, sizes, tokens = zip(*group, strict=True)
+        lengths, flat = np.array(sizes, np.int64), np.frombuffer(b"".join(tokens), "<u2")
+        doc, slot = word_slots(flat, lengths, _word_ends(path))
+        yield shard, list(keys), lengths, flat, np.split(slot, np.searchsorted(doc, np.arange(1, lengths.size)))
+
+
+def _to_shards(rows: DataFrame, shards: int) -> DataFrame:
+    tasks = min(shards, max(int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions")), 4 * rows.sparkSession.sparkContext.defaultParallelism, shards // 8))
+    return rows.repartition(tasks, "shard").sortWithinPartitions("shard", "tie", "size")
+
+
+def pack_documents(docs: DataFrame, path: str, window: int = WINDOW, shard_weight: int = SHARD_WEIGHT) -> DataFrame:
+    """(doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset), a row for each piece."""
     kind = docs.schema[ID].dataType.simpleString()
     schema = f"{ID} {kind}, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
-    read = durable(_read_shards(docs, path))
-    rows = read.select("shard", "lengths", "ties", "sizes").collect()  # 16 bytes a document
-    if not rows:
-        return spark.createDataFrame([], schema)
-    shard = np.repeat([r["shard"] for r in rows], [len(r["ties"]) // 8 for r in rows])
-    lengths, ties, sizes = (np.concatenate([np.frombuffer(r[c], k) for r in rows]) for c, k in (("lengths", "<i4"), ("ties", "<i8"), ("sizes", "<i4")))
-    within = np.concatenate([np.arange(len(r["ties"]) // 8) for r in rows])
-    order = np.lexsort((lengths, ties))  # equal hashes are equal rows
-    number = np.empty(order.size, np.int64)
-    number[order] = np.arange(order.size)
-    of_shard = {s: number[shard == s] for s in np.unique(shard).tolist()}
-    index = _index(read, order.size, float(sizes.mean()), of_shard)
-    gc.collect()
-    spark.sparkContext._jvm.System.gc()  # the exchanges behind the index are done with; Spark deletes their files
-    shard, within, lengths = shard[order], within[order], lengths[order].astype(np.int64)
-    written: list[DataFrame] = []
-    held: list[tuple[int, int, int, int, int]] = []
-
-    def write() -> None:
-        d, *rest = np.array(held, np.int64).T
-        table = pa.table([pa.array(x) for x in (shard[d], within[d], *rest)], names=["shard", "doc", "start", "length", "sequence_id", "offset"])
-        written.append(durable(spark.createDataFrame(table)))
-        held.clear()
-
-    for sequence, pieces in enumerate(fill_windows(lengths, _asker(index), window)):
-        offset = 0
-        for d, s, n in pieces:
-            held.append((d, s, n, sequence, offset))
-            offset += n
-        if len(held) >= PIECES:
-            write()
-    if held:
-        write()
-    placed = written[0]
-    for more in written[1:]:
-        placed = placed.union(more)
-
-    def cut(left: pa.Table, right: pa.Table) -> pa.Table:
-        lengths, tokens = _array(left, "lengths", "<i4"), left.column("tokens")[0].as_py()
-        tokens = np.frombuffer(pa.decompress(tokens, decompressed_size=2 * int(lengths.sum()), codec="zstd", asbytes=True), "<u2")
-        first = np.cumsum(lengths) - lengths
-        doc, start, length = (np.asarray(right.column(c)) for c in ("doc", "start", "length"))
-        crc = [zlib.crc32(tokens[a : a + n].astype("<u4")) for a, n in zip((first[doc] + start).tolist(), length.tolist(), strict=True)]
-        keys = left.column("keys").combine_chunks().flatten().take(pa.array(doc))
-        return pa.table([keys, right.column("start"), right.column("length"), pa.array(crc, pa.int64()), pa.array(lengths[doc].astype(np.int64)), right.column("sequence_id"), right.column("offset")], names=[c.split()[0] for c in schema.split(", ")])
-
-    return read.select("shard", "keys", "lengths", "tokens").groupBy("shard").cogroup(placed.groupBy("shard")).applyInArrow(cut, schema)
+    dealt = _dealt(docs, path, shard_weight)
+    if dealt is None:
+        return docs.sparkSession.createDataFrame([], schema)
+    rows, shards, idf, mean = dealt
+
+    def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        kind = None
+
+        def watched() -> Iterator[pa.RecordBatch]:
+            nonlocal kind
+            for b in batches:
+                kind = b.column(ID).type
+                yield b
+
+        for shard, keys, lengths, flat, terms in _by_shard(watched(), path):
+            first, wide = np.cumsum(lengths) - lengths, flat.astype("<u4")
+            out: list[tuple] = []
+            for number, pieces in enumerate(pack_shard(lengths, terms, window, idf.value, mean)):
+                offset = 0
+                for d, start, n in pieces:
+                    at = int(first[d]) + start
+                    out.append((keys[d], start, n, zlib.crc32(wide[at : at + n]), int(lengths[d]), shard << 32 | number, offset))
+                    offset += n
+            cols = zip(*out, strict=True)
+            yield pa.RecordBatch.from_arrays([pa.array(list(c), kind if i == 0 else pa.int64()) for i, c in enumerate(cols)], names=[c.split()[0] for c in schema.split(", ")])
+
+    return arrow_map(_to_shards(rows, shards), pack, schema)
+
+
+def shared_neighbours(docs: DataFrame, path: str, every: int = 50, most: int = 10, shard_weight: int = SHARD_WEIGHT) -> tuple[float, float]:
+    """What shards keep of the best ``most`` BM25 neighbours over the whole corpus, for every ``every``-th document by hash:
+    the share of them that lie in the document's own shard, and the scores of the best there against theirs.
+
+    A measurement for corpora that fit one task: all terms are gathered.
+    """
+    dealt = _dealt(docs, path, shard_weight)
+    if dealt is None:
+        return 1.0, 1.0
+    rows, _, idf, mean = dealt
+    made = rows.orderBy("tie", "size").collect()
+    lengths = np.array([r["size"] for r in made], np.int64)
+    doc, slot = word_slots(np.frombuffer(b"".join(bytes(r["tokens"]) for r in made), "<u2"), lengths, _word_ends(path))
+    index = Bm25Index(np.split(slot, np.searchsorted(doc, np.arange(1, lengths.size))), idf.value, mean)
+    shard = np.array([r["shard"] for r in made])
+    alive = np.ones(lengths.size, bool)
+    hits, kept = [], []
+    for d in range(0, lengths.size, every):
+        near, score = index.nearest(d, alive), index.scores(d)
+        if near.size:
+            hits.append((shard[near[:most]] == shard[d]).mean())
+            kept.append(score[near[shard[near] == shard[d]][:most]].sum() / score[near[:most]].sum())
+    return (float(np.mean(hits)), float(np.mean(kept))) if hits else (1.0, 1.0)

@@ -155,24 +155,52 @@ def test_queries_are_registered(name):
     assert sorted(int(q[2:].split("_")[0]) for q in QUERIES) == list(range(1, 11))
 
 
-def test_packing_is_one_index_over_all_partitions(spark, monkeypatch):
+def test_packing_against_brute_force(spark):
     rng = np.random.default_rng(4)
     words = [f"w{i}" for i in range(300)]
-    rows = [(i, " ".join(words[j] for j in np.minimum(299, rng.geometric(0.02, rng.integers(1, 400))))) for i in range(240)] + [(7, None), (8, "")]
+    rows = [(i, " ".join(words[j] for j in np.minimum(299, rng.geometric(0.02, rng.integers(1, 400))))) for i in range(240)] + [(7, None), (8, ""), (3, "same text"), (3, "same text"), (None, "été 😀 <|endoftext|> x")]
     docs = spark.createDataFrame(rows, "doc_id long, text string")
     path = tokenizer_path("word_bpe_49k.json")
-    vocabulary = word_vocabulary(path)
-    ties = [hashlib.blake2b(f"{k}\0{t or ''}".encode(), digest_size=8).digest() for k, t in rows]
-    order = sorted(range(len(rows)), key=lambda i: int.from_bytes(ties[i], "little", signed=True))
-    numbers = [vocabulary.numbers(rows[i][1] or "") for i in order]
-    lengths = np.array([int(vocabulary.sizes()[n].sum()) + 1 for n in numbers])
-    want = {(s, tuple((rows[order[d]][0], a, n) for d, a, n in p)) for s, p in enumerate(packing.pack_shard(lengths, numbers, 512))}
-    monkeypatch.setattr(packing, "LISTED", 64 * 40)
-    for parts in (1, 5):
-        got: dict[int, list] = {}
-        for r in packing.pack_documents(docs.repartition(parts), path, 512).collect():
-            got.setdefault(r.sequence_id, []).append((r.offset, r.doc_id, r.start, r.length))
-        assert {(s, tuple(x[1:] for x in sorted(p))) for s, p in got.items()} == want
+    lib = word_vocabulary(path).library
+    ids: dict = {}
+    for k, t in rows:
+        ids.setdefault(k, []).append(lib.encode(t or "", add_special_tokens=False).ids + [2])
+    layouts = []
+    for parts, step in ((1, 10**9), (5, 10**9), (3, 30_000), (6, 30_000)):
+        got = packing.pack_documents(docs.repartition(parts), path, 512, step).collect()
+        assert len({r.sequence_id >> 32 for r in got}) == 1 if step == 10**9 else len({r.sequence_id >> 32 for r in got}) > 2
+        by_sequence: dict[int, list] = {}
+        pieces: dict = {}
+        for r in got:
+            by_sequence.setdefault(r.sequence_id, []).append(r)
+            pieces.setdefault((r.doc_id, r.doc_tokens), []).append((r.start, r.length, r.ids_crc32))
+        for some in by_sequence.values():
+            at = 0
+            for r in sorted(some, key=lambda r: r.offset):
+                assert r.offset == at
+                at += r.length
+            assert at == 512 or at < 512 and at & (at - 1) == 0
+        for (k, n), some in pieces.items():
+            of = [x for x in ids[k] if len(x) == n]
+            want = sorted(range(n)) * len(of)
+            assert sorted(p for s, m, _ in some for p in range(s, s + m)) == sorted(want)
+            assert all(crc in {zlib.crc32(np.array(x[s : s + m], "<u4")) for x in of} for s, m, crc in some)
+        assert sum(r.length for r in got) == sum(len(x) for of in ids.values() for x in of)
+        layouts.append(sorted((r.sequence_id, r.offset, r.doc_id or -1, r.start, r.length) for r in got))
+    assert layouts[0] == layouts[1] and layouts[2] == layouts[3]
+
+
+def test_related_documents_share_a_shard(spark):
+    rng = np.random.default_rng(8)
+    names = [f"{a}{b}" for a in "bcdfghklmnprstvz" for b in ("arat", "onim", "elus", "itor", "ugan", "ydek", "ofil", "asep")]
+    rows = []
+    for i in range(600):  # twelve topics of nine words each, and common words
+        topic = i % 12
+        own = rng.choice(names[topic * 9 : topic * 9 + 9], 60)
+        rows.append((i, " ".join(rng.permutation([*own, *rng.choice(["the", "of", "and", "in"], 60)]))))
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    share, kept = packing.shared_neighbours(docs, tokenizer_path("word_bpe_49k.json"), every=10, shard_weight=30_000)
+    assert share >= 0.7 and kept >= 0.9
 
 
 def test_outliers_and_tight_clusters_get_all_their_rows(spark):
