@@ -2,7 +2,7 @@
 
 The index lies in shards of bounded size, and related documents share a shard. Document frequencies and the mean length
 are counted over the whole corpus first (words hashed to SLOTS slots, so the table has a fixed size). Documents are then
-laid on one line by content: leaf of a k-means tree over sketches of their weighted words, place along the main axis within
+laid on one line by content: leaf of k-means over sketches of their weighted words (learnt from a bounded sample), place along the main axis within
 the leaf, hash among equals. The line is cut into shards of about SHARD_WEIGHT, so a group of copies of any size is cut
 as well, and a document's shard depends on its own text and on corpus statistics, not on the layout of the table.
 
@@ -34,9 +34,10 @@ from pyspark.sql import functions as F
 
 from graphpart.llm.ann import balanced_centroids
 from graphpart.llm.common import ID, TEXT, arrow_map, durable, strings
-from graphpart.llm.tokens import END, word_vocabulary
+from graphpart.llm.tokens import END, WordVocabulary, word_vocabulary
 
 WINDOW, CLOSING = 4096, 2
+_CLOSING = np.array([CLOSING], np.uint16)
 SLOTS, CHUNK = 1 << 20, 1 << 12
 SHARD_WEIGHT, DOC_WEIGHT = 2_000_000, 200  # tokens of a shard; what a document weighs besides its tokens
 SAMPLE, MOST_LEAVES = 12_000, 2048
@@ -103,11 +104,17 @@ class Bm25Index:
             out = out + np.bincount(self.doc[at], self.weight[at], self.number.size)
         return out
 
-    def nearest(self, doc: int, alive: np.ndarray) -> np.ndarray:
-        """Alive documents that share a term, best first, ties to the smaller number."""
+    def nearest(self, doc: int, alive: np.ndarray, first: int = 64) -> Iterator[int]:
+        """Alive documents that share a term, best first, ties to the smaller number; the ``first`` are told before the rest is sorted."""
         score = self.scores(doc)
         some = np.flatnonzero((score > 0) & alive[self.number] & (self.number != doc))
-        return self.number[some[np.lexsort((some, -score[some]))]]
+        value = score[some]
+        best = np.ones(some.size, bool)
+        if some.size > 2 * first:
+            best = value >= np.partition(value, some.size - first)[some.size - first]
+        for part in (best, ~best):
+            at, v = some[part], value[part]
+            yield from self.number[at[np.lexsort((at, -v))]].tolist()
 
 
 class Windows:
@@ -133,15 +140,15 @@ class Windows:
         self.left[d] -= n
         return piece
 
-    def fill(self, seed: int, near: np.ndarray) -> tuple[list[Piece], int]:
+    def fill(self, seed: int, near: Iterator[int]) -> tuple[list[Piece], int]:
         """Pieces of the seed's window, and the room left: the nearest first, then the longest rests."""
         pieces = [self._take(seed, self.window)]
         room = self.window - pieces[0][2]
-        for d in near.tolist():
-            if not room:
-                break
+        for d in near if room else ():
             pieces.append(self._take(d, room))
             room -= pieces[-1][2]
+            if not room:
+                break
         while room and (d := self.longest()) is not None:
             pieces.append(self._take(d, room))
             room -= pieces[-1][2]
@@ -198,7 +205,7 @@ def powers_of_two(pieces: list[Piece]) -> list[list[Piece]]:
 def _word_ends(path: str) -> np.ndarray:
     """By token id: does a word end there?"""
     known = word_vocabulary(path).bytes_of
-    out = np.zeros(max(known) + 1, bool)
+    out = np.zeros(1 << 16, bool)
     for i, data in known.items():
         out[i] = data.endswith(END)
     return out
@@ -210,77 +217,35 @@ def _mixed(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(31))
 
 
+_OF_ID = _mixed(np.arange(1 << 16, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15) + np.uint64(1))
+_OF_PLACE = _mixed(np.arange(1 << 8, dtype=np.uint64) + np.uint64(77)) | np.uint64(1)
+
+
 def word_slots(ids: np.ndarray, sizes: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """(document, slot) of each word of documents whose ids lie one after the other, the closing id last."""
-    doc = np.repeat(np.arange(sizes.size), sizes)
-    inner = np.ones(ids.size, bool)
-    inner[np.cumsum(sizes) - 1] = False
-    doc, ids = doc[inner], ids[inner].astype(np.int64)
     if not ids.size:
-        return doc, ids
-    first = np.ones(ids.size, bool)
-    first[1:] = (ids[:-1] < ends.size) & ends[np.minimum(ids[:-1], ends.size - 1)] | (doc[1:] != doc[:-1])
-    at = np.flatnonzero(first)
-    place = np.arange(ids.size) - np.repeat(at, np.diff(np.r_[at, ids.size]))
-    x = _mixed((ids + (place + 1) * 65536).astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15))
-    return doc[at], (_mixed(np.add.reduceat(x, at)) >> np.uint64(64 - SLOTS.bit_length() + 1)).astype(np.int64)
-
-
-def _slots_of(batch: pa.RecordBatch, path: str) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Documents and slots of the words of a batch, and how many tokens each document has."""
-    sizes = np.asarray(batch.column("size"))
-    ids = np.frombuffer(b"".join(batch.column("tokens").to_pylist()), "<u2")
-    return (*word_slots(ids, sizes, _word_ends(path)), sizes)
-
-
-def _read(docs: DataFrame, path: str) -> DataFrame:
-    """(doc_id, tie, size, words, tokens) of each row; ``tie`` is a hash of id, text, and of how often the task met both before."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        vocabulary = word_vocabulary(path)
-        ends = _word_ends(path)
-        met: dict[bytes, int] = {}
-        for batch in batches:
-            ties, tokens = [], []
-            for key, text in zip(batch.column(0).to_pylist(), strings(batch, TEXT), strict=True):
-                vocabulary.trim()
-                tokens.append(np.append(vocabulary.ids(vocabulary.numbers(text)), np.uint16(CLOSING)))
-                name = blake2b(f"{key}\0{text}".encode("utf-8", "surrogatepass"), digest_size=8).digest()
-                again = met[name] = met.get(name, -1) + 1
-                ties.append(int.from_bytes(blake2b(name + again.to_bytes(8, "little"), digest_size=8).digest() if again else name, "little", signed=True))
-            if len(met) > REMEMBERED:
-                met.clear()
-            sizes = np.array([t.size for t in tokens], np.int64)
-            doc, _ = word_slots(np.concatenate(tokens), sizes, ends) if tokens else (np.zeros(0, np.int64), None)
-            words = np.bincount(doc, minlength=sizes.size)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(ties, pa.int64()), pa.array(sizes), pa.array(words, pa.int64()), pa.array([t.astype("<u2").tobytes() for t in tokens], pa.binary())], names=[ID, "tie", "size", "words", "tokens"])
-
-    return arrow_map(docs.select(ID, TEXT), run, f"{ID} {docs.schema[ID].dataType.simpleString()}, tie long, size long, words long, tokens binary")
-
-
-def _frequencies(read: DataFrame, path: str) -> np.ndarray:
-    """Documents by slot, over all rows: each task counts, chunks of slots are summed by other tasks."""
-
-    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        df = np.zeros(SLOTS, np.int64)
-        for batch in batches:
-            doc, slot, _ = _slots_of(batch, path)
-            df += np.bincount(np.unique(doc << 32 | slot) & 0xFFFFFFFF, minlength=SLOTS)
-        some = np.flatnonzero(df.reshape(-1, CHUNK).any(axis=1))
-        yield pa.RecordBatch.from_arrays([pa.array(some, pa.int32()), pa.array([pa.compress(df[c * CHUNK : (c + 1) * CHUNK].tobytes(), codec="zstd", asbytes=True) for c in some.tolist()], pa.binary())], names=["chunk", "counts"])
-
-    def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total: dict[int, np.ndarray] = {}
-        for batch in batches:
-            for c, data in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                total[c] = total.get(c, 0) + np.frombuffer(pa.decompress(data, decompressed_size=8 * CHUNK, codec="zstd", asbytes=True), np.int64)
-        yield pa.RecordBatch.from_arrays([pa.array(list(total), pa.int32()), pa.array([x.tobytes() for x in total.values()], pa.binary())], names=["chunk", "counts"])
-
-    schema = "chunk int, counts binary"
-    out = np.zeros(SLOTS, np.int64)
-    for r in arrow_map(arrow_map(read.select("size", "tokens"), count, schema).repartition("chunk"), add, schema).collect():  # 8 * SLOTS bytes
-        out[r["chunk"] * CHUNK : (r["chunk"] + 1) * CHUNK] = np.frombuffer(r["counts"], np.int64)
-    return out
+        return np.zeros(0, np.int64), np.zeros(0, np.int64)
+    last = np.cumsum(sizes) - 1
+    stop = ends[ids]
+    stop[last] = True
+    stop[last[sizes > 1] - 1] = True
+    end = np.flatnonzero(stop)
+    at = np.r_[0, end[:-1] + 1]
+    place = np.arange(ids.size) - np.repeat(at, end + 1 - at)
+    x = np.add.reduceat(_OF_ID[ids] * _OF_PLACE[np.minimum(place, 255)], at)
+    closing = np.zeros(ids.size, bool)
+    closing[last] = True
+    word = ~closing[at]  # the closing id is no word
+    return np.repeat(np.arange(sizes.size), sizes)[at[word]], (_mixed(x[word]) >> np.uint64(64 - SLOTS.bit_length() + 1)).astype(np.int64)
+
+
+def term_counts(doc: np.ndarray, slot: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(document, slot, how often), by document, then slot."""
+    bits = SLOTS.bit_length() - 1
+    key = doc << bits | slot
+    key, tf = np.unique(key.astype(np.uint32) if not doc.size or doc[-1] < 1 << (32 - bits) else key, return_counts=True)
+    key = key.astype(np.int64)
+    return key >> bits, key & (SLOTS - 1), tf
 
 
 # -- the line of documents
@@ -288,14 +253,11 @@ def _frequencies(read: DataFrame, path: str) -> np.ndarray:
 
 @dataclass
 class Line:
-    """Where documents lie: centroids of leaves and the main axis of what they leave over, and the weight before each cell."""
+    """Where documents lie: centroids of leaves in their order, and the main axis of what they leave over."""
 
     centroids: np.ndarray
     axis: np.ndarray
     spread: float
-    step: int = SHARD_WEIGHT
-    before: np.ndarray | None = None
-    weight: np.ndarray | None = None
 
     def cells(self, sketches: np.ndarray) -> np.ndarray:
         leaf, along = np.zeros(len(sketches), np.int64), np.zeros(len(sketches))
@@ -306,19 +268,13 @@ class Line:
         place = np.floor(BINS / 2 * (1 + np.round(along / (3 * self.spread), 6)))
         return leaf * BINS + np.clip(place, 0, BINS - 1).astype(np.int64)
 
-    def shards(self, cells: np.ndarray, ties: np.ndarray) -> np.ndarray:
-        part = (ties.astype(np.float64) + 2.0**63) / 2.0**64
-        return np.floor((self.before[cells] + part * self.weight[cells]) / self.step).astype(np.int64)
-
 
-def sketch(doc: np.ndarray, slot: np.ndarray, n: int, idf: np.ndarray) -> np.ndarray:
-    """Weighted words of n documents, each added with a sign to two of DIMS numbers; of length one."""
-    key, tf = np.unique(doc << 32 | slot, return_counts=True)
-    doc, slot = key >> 32, key & 0xFFFFFFFF
+def sketch(doc: np.ndarray, slot: np.ndarray, tf: np.ndarray, n: int, idf: np.ndarray) -> np.ndarray:
+    """Weighted terms of n documents, each added with a sign to two of DIMS numbers; of length one."""
     value = idf[slot] * tf / (tf + K1)
     out = np.zeros(n * DIMS)
     for salt in (1, 2):
-        h = _mixed((slot * 2 + 1).astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15 * salt % (1 << 64)))
+        h = _mixed((slot * 2 + salt).astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15))
         sign = np.where(h & np.uint64(1), 1.0, -1.0)
         out += np.bincount(doc * DIMS + (h >> np.uint64(40)).astype(np.int64) % DIMS, sign * value, n * DIMS)
     out = out.reshape(n, DIMS)
@@ -336,69 +292,140 @@ def _fit_line(sample: np.ndarray, leaves: int) -> Line:
     return Line(c, axis, max(1e-9, float((left @ axis).std())))
 
 
-def _cells_of(batch: pa.RecordBatch, path: str, idf: np.ndarray, line: Line) -> np.ndarray:
-    doc, slot, sizes = _slots_of(batch, path)
-    return line.cells(sketch(doc, slot, sizes.size, idf))
+def _encoded(batch: pa.RecordBatch, vocabulary: WordVocabulary) -> tuple[list[str], np.ndarray, np.ndarray]:
+    """Texts, ids of all tokens, and how many each text has, the closing id included."""
+    texts, tokens = strings(batch, TEXT), []
+    for text in texts:
+        vocabulary.trim()
+        tokens += [vocabulary.ids(vocabulary.numbers(text)), _CLOSING]
+    sizes = np.array([t.size for t in tokens[::2]], np.int64) + 1
+    return texts, np.concatenate(tokens) if tokens else np.zeros(0, np.uint16), sizes
 
 
-def _place(read: DataFrame, path: str, n: int, weight: int, idf, step: int) -> Line:
-    """The line of all documents; leaves are learnt from the SAMPLE smallest hashes, weights are of all rows."""
-    spark = read.sparkSession
+def _learn(docs: DataFrame, path: str, n: int, step: int) -> tuple[Line, np.ndarray]:
+    """The line, and the idf by slot that its sketches are weighed by, from the SAMPLE documents of the smallest hashes."""
+    below = min(2**63 - 1, int(-(2**63) + 2**64 * 1.3 * SAMPLE / n))
 
-    def sketches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        vocabulary, ends = word_vocabulary(path), _word_ends(path)
         for batch in batches:
-            doc, slot, sizes = _slots_of(batch, path)
-            made = sketch(doc, slot, sizes.size, idf.value)
-            yield pa.RecordBatch.from_arrays([batch.column("tie"), pa.array([x.tobytes() for x in made], pa.binary())], names=["tie", "sketch"])
-
-    below = min(2**63 - 1, int(-(2**63) + 2**64 * 1.5 * SAMPLE / n))
-    few = arrow_map(read.where(F.col("tie") <= below).select("tie", "size", "tokens"), sketches, "tie long, sketch binary").orderBy("tie", "sketch").limit(SAMPLE).collect()
-    sample = np.frombuffer(b"".join(r["sketch"] for r in few), np.float64).reshape(-1, DIMS)
-    line = _fit_line(sample if len(sample) else np.zeros((1, DIMS)), -(-weight // step))
-    line.step = step
-    sent = spark.sparkContext.broadcast(line)  # at most MOST_LEAVES centroids
-    cells = len(line.centroids) * BINS
-
-    def weigh(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total = np.zeros(cells, np.int64)
+            _, ids, sizes = _encoded(batch, vocabulary)
+            doc, slot, tf = term_counts(*word_slots(ids, sizes, ends))
+            at = np.searchsorted(doc, np.arange(sizes.size + 1)).tolist()
+            terms = [slot[x:y].astype("<i4").tobytes() for x, y in zip(at[:-1], at[1:], strict=True)]
+            counts = [np.minimum(tf[x:y], 65535).astype("<u2").tobytes() for x, y in zip(at[:-1], at[1:], strict=True)]
+            yield pa.RecordBatch.from_arrays([batch.column("_hash"), pa.array(sizes), pa.array(terms, pa.binary()), pa.array(counts, pa.binary())], names=["hash", "size", "terms", "counts"])
+
+    hashed = docs.select(F.xxhash64(ID, TEXT).alias("_hash"), TEXT).where(F.col("_hash") <= below)
+    few = durable(arrow_map(hashed, read, "hash long, size long, terms binary, counts binary").orderBy("hash", "terms").limit(SAMPLE))
+    tokens = few.agg(F.sum("size")).first()[0] or 0
+    df, total = np.zeros(SLOTS, np.int64), 0
+    for r in few.select("terms").toLocalIterator():
+        df[np.frombuffer(r["terms"], "<i4")] += 1
+        total += 1
+    idf = idf_of(df, total)
+    sent = docs.sparkSession.sparkContext.broadcast(idf)  # 8 * SLOTS bytes
+
+    def draw(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            np.add.at(total, _cells_of(batch, path, idf.value, sent.value), np.asarray(batch.column("size")) + DOC_WEIGHT)
-        some = np.flatnonzero(total)
-        yield pa.RecordBatch.from_arrays([pa.array(some), pa.array(total[some])], names=["cell", "weight"])
+            terms, counts = ([np.frombuffer(x, kind) for x in batch.column(c).to_pylist()] for c, kind in (("terms", "<i4"), ("counts", "<u2")))
+            doc = np.repeat(np.arange(len(terms)), [t.size for t in terms])
+            made = sketch(doc, np.concatenate(terms).astype(np.int64), np.concatenate(counts).astype(np.int64), len(terms), sent.value)
+            yield pa.RecordBatch.from_arrays([batch.column("hash"), pa.array([x.tobytes() for x in made], pa.binary())], names=["hash", "sketch"])
 
-    by_cell = arrow_map(read.select("size", "tokens"), weigh, "cell long, weight long").groupBy("cell").agg(F.sum("weight").alias("weight")).collect()  # at most MOST_LEAVES * BINS rows
-    line.weight = np.zeros(cells)
-    for r in by_cell:
-        line.weight[r["cell"]] = r["weight"]
-    line.before = np.cumsum(line.weight) - line.weight
-    return line
+    drawn = arrow_map(few.select("hash", "terms", "counts"), draw, "hash long, sketch binary").orderBy("hash", "sketch").collect()  # at most SAMPLE rows of 8 * DIMS bytes
+    sample = np.frombuffer(b"".join(r["sketch"] for r in drawn), np.float64).reshape(-1, DIMS)
+    weight = (tokens / max(1, total) + DOC_WEIGHT) * n
+    return _fit_line(sample if len(sample) else np.zeros((1, DIMS)), int(weight // step) + 1), idf
 
 
-def _dealt(docs: DataFrame, path: str, step: int) -> tuple[DataFrame, int, object, float] | None:
-    """Rows with their shard, how many shards there are, and what weighs terms: idf by slot (broadcast) and the mean length."""
-    spark = docs.sparkSession
-    read = durable(_read(docs, path))
-    top = read.agg(F.count(F.lit(1)).alias("n"), F.sum("words").alias("words"), F.sum("size").alias("size")).first()
-    if not top["n"]:
-        return None
-    weight = top["size"] + DOC_WEIGHT * top["n"]
-    idf = spark.sparkContext.broadcast(idf_of(_frequencies(read, path), top["n"]))  # 8 * SLOTS bytes
-    line = spark.sparkContext.broadcast(_place(read, path, top["n"], weight, idf, step))
+_SCHEMA = "tie long, size long, words long, cell long, data binary"
+
 
-    def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def _read(docs: DataFrame, path: str, line, idf) -> DataFrame:
+    """A row for each document: ``tie`` (a hash of id, text, and of how often the task met both before), how many tokens and
+    words, its cell on the line, token ids. Cells below 0 are chunks of a task's counts of documents by slot.
+    """
+    kind = docs.schema[ID].dataType
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        vocabulary, ends = word_vocabulary(path), _word_ends(path)
+        met: dict[bytes, int] = {}
+        df, of_id = np.zeros(SLOTS, np.int64), None
         for batch in batches:
-            cells = _cells_of(batch, path, idf.value, line.value)
-            shard = line.value.shards(cells, np.asarray(batch.column("tie")))
-            yield pa.RecordBatch.from_arrays([pa.array(shard), *(batch.column(c) for c in (ID, "tie", "size", "tokens"))], names=["shard", ID, "tie", "size", "tokens"])
+            of_id = batch.column(0).type
+            texts, ids, sizes = _encoded(batch, vocabulary)
+            ties = []
+            for key, text in zip(batch.column(0).to_pylist(), texts, strict=True):
+                name = blake2b(f"{key}\0{text}".encode("utf-8", "surrogatepass"), digest_size=8).digest()
+                again = met[name] = met.get(name, -1) + 1
+                ties.append(int.from_bytes(blake2b(name + again.to_bytes(8, "little"), digest_size=8).digest() if again else name, "little", signed=True))
+            if len(met) > REMEMBERED:
+                met.clear()
+            doc, slot = word_slots(ids, sizes, ends)
+            words = np.bincount(doc, minlength=sizes.size)
+            doc, slot, tf = term_counts(doc, slot)
+            df += np.bincount(slot, minlength=SLOTS) if slot.size > SLOTS // 8 else 0
+            if slot.size <= SLOTS // 8:
+                np.add.at(df, slot, 1)
+            cells = line.value.cells(sketch(doc, slot, tf, sizes.size, idf.value))
+            at = (2 * np.r_[0, np.cumsum(sizes)]).tolist()
+            data = ids.astype("<u2").tobytes()
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(ties, pa.int64()), pa.array(sizes), pa.array(words, pa.int64()), pa.array(cells), pa.array([data[x:y] for x, y in zip(at[:-1], at[1:], strict=True)], pa.binary())], names=_NAMES)
+        if of_id is not None:
+            some = np.flatnonzero(df.reshape(-1, CHUNK).any(axis=1))
+            counts = [pa.compress(df[c * CHUNK : (c + 1) * CHUNK].tobytes(), codec="zstd", asbytes=True) for c in some.tolist()]
+            none = pa.nulls(some.size, pa.int64())
+            yield pa.RecordBatch.from_arrays([pa.nulls(some.size, of_id), none, none, none, pa.array(-1 - some), pa.array(counts, pa.binary())], names=_NAMES)
 
-    kind = docs.schema[ID].dataType.simpleString()
-    rows = arrow_map(read.select(ID, "tie", "size", "tokens"), deal, f"shard long, {ID} {kind}, tie long, size long, tokens binary")
-    return rows, int(weight // step) + 1, idf, top["words"] / top["n"]
+    return arrow_map(docs.select(ID, TEXT), run, f"{ID} {kind.simpleString()}, {_SCHEMA}")
+
+
+_NAMES = [ID, *(c.split()[0] for c in _SCHEMA.split(", "))]
+
+
+def _frequencies(read: DataFrame) -> np.ndarray:
+    """Documents by slot, over all rows: the tasks' chunks summed by other tasks."""
+
+    def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total: dict[int, np.ndarray] = {}
+        for batch in batches:
+            for c, data in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                total[c] = total.get(c, 0) + np.frombuffer(pa.decompress(data, decompressed_size=8 * CHUNK, codec="zstd", asbytes=True), np.int64)
+        yield pa.RecordBatch.from_arrays([pa.array(list(total), pa.int64()), pa.array([x.tobytes() for x in total.values()], pa.binary())], names=["cell", "data"])
+
+    out = np.zeros(SLOTS, np.int64)
+    for r in arrow_map(read.where("cell < 0").select("cell", "data").repartition("cell"), add, "cell long, data binary").collect():  # 8 * SLOTS bytes
+        at = (-1 - r["cell"]) * CHUNK
+        out[at : at + CHUNK] = np.frombuffer(r["data"], np.int64)
+    return out
+
+
+def _dealt(docs: DataFrame, path: str, step: int) -> tuple[DataFrame, int, object, float] | None:
+    """Rows with their shard, how many shards there are, and what weighs terms: idf by slot (broadcast) and the mean length."""
+    sc = docs.sparkSession.sparkContext
+    n = docs.count()
+    if not n:
+        return None
+    line, rough = _learn(docs, path, n, step)
+    read = durable(_read(docs, path, sc.broadcast(line), sc.broadcast(rough)))  # at most MOST_LEAVES centroids; 8 * SLOTS bytes
+    idf = sc.broadcast(idf_of(_frequencies(read), n))
+    rows = read.where("cell >= 0")
+    by_cell = rows.groupBy("cell").agg(F.sum(F.col("size") + DOC_WEIGHT).alias("weight"), F.sum("words").alias("words")).orderBy("cell").collect()  # at most MOST_LEAVES * BINS rows
+    places, at = [], 0
+    for r in by_cell:
+        places.append((r["cell"], at, r["weight"]))
+        at += r["weight"]
+    cells = F.broadcast(docs.sparkSession.createDataFrame(places, "cell long, before long, weight long"))
+    # where a hash lies between the least and the greatest, as a share of its cell's weight
+    along = F.col("before") + (F.col("tie").cast("double") / F.lit(2.0**64) + 0.5) * F.col("weight")
+    dealt = rows.join(cells, "cell").select(F.floor(along / step).cast("long").alias("shard"), ID, "tie", "size", "data")
+    return dealt, int(at // step) + 1, idf, sum(r["words"] for r in by_cell) / n
 
 
 def _by_shard(batches: Iterator[pa.RecordBatch], path: str) -> Iterator[tuple[int, list, np.ndarray, np.ndarray, list[np.ndarray]]]:
     """(shard, document ids, lengths, token ids, slots of each document) of each shard, rows sorted by shard."""
-    rows = (r for b in batches for r in zip(*(b.column(c).to_pylist() for c in ("shard", ID, "size", "tokens")), strict=True))
+    rows = (r for b in batches for r in zip(*(b.column(c).to_pylist() for c in ("shard", ID, "size", "data")), strict=True))
     for shard, group in groupby(rows, key=lambda r: r[0]):
         _, keys, sizes, tokens = zip(*group, strict=True)
         lengths, flat = np.array(sizes, np.int64), np.frombuffer(b"".join(tokens), "<u2")
@@ -456,13 +483,13 @@ def shared_neighbours(docs: DataFrame, path: str, every: int = 50, most: int = 1
     rows, _, idf, mean = dealt
     made = rows.orderBy("tie", "size").collect()
     lengths = np.array([r["size"] for r in made], np.int64)
-    doc, slot = word_slots(np.frombuffer(b"".join(bytes(r["tokens"]) for r in made), "<u2"), lengths, _word_ends(path))
+    doc, slot = word_slots(np.frombuffer(b"".join(bytes(r["data"]) for r in made), "<u2"), lengths, _word_ends(path))
     index = Bm25Index(np.split(slot, np.searchsorted(doc, np.arange(1, lengths.size))), idf.value, mean)
     shard = np.array([r["shard"] for r in made])
     alive = np.ones(lengths.size, bool)
     hits, kept = [], []
     for d in range(0, lengths.size, every):
-        near, score = index.nearest(d, alive), index.scores(d)
+        near, score = np.fromiter(index.nearest(d, alive), np.int64), index.scores(d)
         if near.size:
             hits.append((shard[near[:most]] == shard[d]).mean())
             kept.append(score[near[shard[near] == shard[d]][:most]].sum() / score[near[:most]].sum())

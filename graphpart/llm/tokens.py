@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame
 from graphpart.llm.common import ID, TEXT, arrow_map, strings
 
 END = b"\xff"  # marks a word's end; never part of UTF-8
-MOST_CHUNKS, MOST_IDS, LONG_CHUNK = 500_000, 4_000_000, 256
+MOST_CHUNKS, MOST_IDS, LONG_CHUNK = 800_000, 6_000_000, 256
 #: The white space of Unicode; letters and numbers below U+0100.
 SPACES = "\t\n\x0b\x0c\r \x85\xa0\u1680\u2000\u2001\u2002\u2003\u2004\u2005\u2006\u2007\u2008\u2009\u200a\u2028\u2029\u202f\u205f\u3000"
 LETTERS, NUMBERS = "a-zA-Z\xaa\xb5\xba\xc0-\xd6\xd8-\xf6\xf8-\xff", "0-9\xb2\xb3\xb9\xbc-\xbe"
