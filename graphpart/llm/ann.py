@@ -1,7 +1,8 @@
 """Approximate nearest neighbours by largest inner product, over balanced posting lists.
 
-Vectors get one coordinate more, so that all have the length of the longest: then the largest inner product is the least
-distance. Centroids come from balanced k-means on a bounded sample (at most SAMPLE vectors, smallest hashes first). Every
+Vectors are scaled by the table's largest component and get one coordinate more, so that all have the length of the longest:
+then the largest inner product is the least distance. The number of lists grows with the table (a list for LIST_SIZE
+vectors, up to MOST_LISTS); centroids come from balanced k-means on a sample of at least SAMPLE vectors and four for each list, smallest hashes first. Every
 vector goes to the list of its nearest centroid, boundary vectors also to further lists about as near, unless a list chosen
 before is nearer to the further centroid than the vector is. A query finds near centroids by best-first search in
 a graph of them, held in memory, and reads the lists whose distance is within a ratio of the nearest one's; the
@@ -12,7 +13,7 @@ vectors) reads all lists. Lists are split into blocks of bounded size.
 Equal vectors are one entry with their smallest ids, as many as any result can need, so a vector that a third of the
 rows share is one row of one list. Scores are exact doubles on the original vectors.
 
-Edge cases: vectors that are null, zero, hold null or non-finite components, or have not the table's most frequent length take no part,
+A product beyond the range of doubles is infinite, as double precision has it. Edge cases: vectors that are null, zero, hold null or non-finite components, or have not the table's most frequent length take no part,
 nor do rows without an id; a repeated id with one vector counts once; ties go to the smaller id; with no more than TOP
 candidates all are returned; extra columns are ignored; an empty table gives no rows.
 """
@@ -31,12 +32,19 @@ from pyspark.sql import functions as F
 from graphpart.llm.common import arrow_map, durable
 
 TOP = 20
-SAMPLE, MOST_LISTS, LIST_SIZE = 12_000, 4096, 200
+SAMPLE, MOST_LISTS, LIST_SIZE = 12_000, 16_384, 200
+ROWS = 1024  # vectors compared with all centroids at a time
 REPLICAS, SLACK = 4, 1.12
 BLOCK = 4000
 PENDING = 400_000  # pairs of 24 bytes
 
 
+def _components(batch: pa.RecordBatch, dim: int) -> tuple[np.ndarray, np.ndarray]:
+    """The vectors of a batch, and which take part: all components there and finite (null reads as NaN), some not zero."""
+    m = batch.column("v").flatten().to_numpy(zero_copy_only=False).astype(np.float64).reshape(-1, dim) + 0.0  # one zero
+    return m, np.isfinite(m).all(axis=1) & (m != 0).any(axis=1)
+
+
 def valid_vectors(table: DataFrame, id_col: str, vec_col: str) -> DataFrame:
     """(vec, ids): distinct valid vectors as bytes of doubles, with their TOP + 1 smallest ids."""
     v = F.transform(F.col(vec_col), lambda x: x.cast("double"))
@@ -49,10 +57,7 @@ def valid_vectors(table: DataFrame, id_col: str, vec_col: str) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: dict[bytes, list[int]] = {}
         for batch in batches:
-            flat = batch.column("v").flatten()
-            m = np.nan_to_num(flat.to_numpy(zero_copy_only=False).astype(np.float64), nan=np.inf).reshape(-1, dim)  # null as infinite
-            ok = np.isfinite(m).all(axis=1) & (m != 0).any(axis=1)
-            m = m + 0.0  # one zero
+            m, ok = _components(batch, dim)
             for i, key in zip(np.flatnonzero(ok).tolist(), batch.column("id").filter(pa.array(ok)).to_pylist(), strict=True):
                 ids = held.setdefault(m[i].tobytes(), [])
                 if len(ids) <= TOP:
@@ -87,10 +92,12 @@ def balanced_centroids(x: np.ndarray, k: int, rounds: int = 12, seed: int = 3) -
     c = x[rng.choice(len(x), k, replace=False)].copy()
     price = np.zeros(k)
     for _ in range(rounds):
-        d = _distances(x, c) ** 2
-        at = (d + price).argmin(axis=1)
+        at, near = np.empty(len(x), np.int64), np.empty(len(x))
+        for lo in range(0, len(x), ROWS):
+            d = _distances(x[lo : lo + ROWS], c) ** 2
+            at[lo : lo + ROWS], near[lo : lo + ROWS] = (d + price).argmin(axis=1), d.min(axis=1)
         size = np.bincount(at, minlength=k)
-        price = np.maximum(0, price + 0.1 * d.min(axis=1).mean() * (size * k / len(x) - 1))
+        price = np.maximum(0, price + 0.1 * near.mean() * (size * k / len(x) - 1))
         total = np.zeros_like(c)
         np.add.at(total, at, x)
         c = np.where(size[:, None] > 0, total / np.maximum(size, 1)[:, None], x[rng.choice(len(x), k)])
@@ -102,9 +109,7 @@ class CentroidGraph:
 
     def __init__(self, c: np.ndarray, degree: int = 16) -> None:
         self.c = c
-        d = _distances(c, c)
-        self.between = d
-        near = np.argsort(d, axis=1, kind="stable")[:, 1 : degree + 1]
+        near = np.concatenate([self._nearest(lo, degree) for lo in range(0, len(c), ROWS)])
         sets = [set(row.tolist()) for row in near]
         for i, row in enumerate(near.tolist()):
             for j in row:
@@ -116,6 +121,11 @@ class CentroidGraph:
         self.near = [np.array(sorted(s), np.int64) for s in sets]
         self.entry = int(((c - c.mean(axis=0)) ** 2).sum(axis=1).argmin())
 
+    def _nearest(self, lo: int, degree: int) -> np.ndarray:
+        d = _distances(self.c[lo : lo + ROWS], self.c)
+        d[np.arange(len(d)), np.arange(lo, lo + len(d))] = np.inf
+        return np.argsort(d, axis=1, kind="stable")[:, : min(degree, len(self.c) - 1)]
+
     def search(self, q: np.ndarray, ratio: float, width: int = 32) -> np.ndarray:
         """Centroids within ``ratio`` of the nearest distance, nearest first; ``width`` further ones are looked at before it ends."""
         seen = np.zeros(len(self.c), bool)
@@ -151,17 +161,20 @@ class CentroidGraph:
 
 def lists_of(x: np.ndarray, graph: CentroidGraph) -> list[list[int]]:
     """Posting lists of each (lifted) vector: the nearest, and further ones by the closure rule."""
-    d = _distances(x, graph.c)
-    near = np.argsort(d, axis=1, kind="stable")[:, : REPLICAS * 2]
     out = []
-    for row, order in zip(d, near.tolist(), strict=True):
-        chosen = [order[0]]
-        for j in order[1:]:
-            if len(chosen) == REPLICAS or row[j] > SLACK * row[order[0]]:
-                break
-            if all(graph.between[i, j] >= row[j] for i in chosen):
-                chosen.append(j)
-        out.append(chosen)
+    for lo in range(0, len(x), ROWS):
+        d = _distances(x[lo : lo + ROWS], graph.c)
+        most = min(REPLICAS * 2, d.shape[1])
+        near = np.argpartition(d, most - 1, axis=1)[:, :most]
+        near = np.take_along_axis(near, np.lexsort((near, np.take_along_axis(d, near, axis=1)), axis=1), axis=1)
+        for row, order in zip(d, near.tolist(), strict=True):
+            chosen = [order[0]]
+            for j in order[1:]:
+                if len(chosen) == REPLICAS or row[j] > SLACK * row[order[0]]:
+                    break
+                if (((graph.c[chosen] - graph.c[j]) ** 2).sum(axis=1) >= row[j] ** 2).all():
+                    chosen.append(j)
+            out.append(chosen)
     return out
 
 
@@ -169,15 +182,18 @@ def tuned_ratio(x: np.ndarray, graph: CentroidGraph, goal: float, queries: int =
     """The smallest ratio of a ladder at which the sample's own neighbours are found in the lists read."""
     flat = x[:, :-1]
     pick = np.linspace(0, len(x) - 1, min(queries, len(x))).astype(int)
-    member = np.zeros((len(x), len(graph.c)), bool)
-    for i, lists in enumerate(lists_of(x, graph)):
-        member[i, lists] = True
+    member = lists_of(x, graph)
     score = flat[pick] @ flat.T
     score[np.arange(pick.size), pick] = -np.inf
     want = np.argsort(-score, axis=1, kind="stable")[:, : min(TOP, len(x) - 1)]
+    if not want.size:
+        return 1.0
     for ratio in [1.0 + 0.02 * i for i in range(51)]:
-        hit = np.mean([member[w][:, graph.search(np.append(flat[p], 0.0), ratio)].any(axis=1).mean() for p, w in zip(pick, want, strict=True)]) if want.size else 1.0
-        if hit >= goal:
+        hits = []
+        for p, near in zip(pick, want.tolist(), strict=True):
+            read = set(graph.search(np.append(flat[p], 0.0), ratio).tolist())
+            hits.append(np.mean([not read.isdisjoint(member[w]) for w in near]))
+        if np.mean(hits) >= goal:
             return ratio
     return 1e9
 
@@ -189,8 +205,7 @@ def _queries(table: DataFrame, id_col: str, vec_col: str, every: int, dim: int)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            m = np.nan_to_num(batch.column("v").flatten().to_numpy(zero_copy_only=False).astype(np.float64), nan=np.inf).reshape(-1, dim) + 0.0
-            ok = np.isfinite(m).all(axis=1) & (m != 0).any(axis=1)
+            m, ok = _components(batch, dim)
             yield pa.RecordBatch.from_arrays([batch.column("id").filter(pa.array(ok)), pa.array([row.tobytes() for row in m[ok]], pa.binary())], names=["id", "vec"])
 
     return arrow_map(rows, run, "id long, vec binary").distinct()
@@ -252,7 +267,7 @@ class _Nearest:
         return pa.RecordBatch.from_arrays([pa.array(keys, pa.int64()), pa.array(vecs, pa.binary()), *lists], names=["query_id", "vec", "ids", "scores"])
 
 
-def nearest_neighbours(table: DataFrame, id_col: str = "vec_id", vec_col: str = "embedding", every: int = 20, goal: float = 0.97) -> DataFrame:
+def nearest_neighbours(table: DataFrame, id_col: str = "vec_id", vec_col: str = "embedding", every: int = 20, goal: float = 0.95) -> DataFrame:
     """(query_id, rank, vec_id, score): the TOP nearest of each query (id divisible by ``every``) among all other rows."""
     spark = table.sparkSession
     entries = durable(valid_vectors(table, id_col, vec_col))
@@ -260,24 +275,29 @@ def nearest_neighbours(table: DataFrame, id_col: str = "vec_id", vec_col: str =
     empty = spark.createDataFrame([], "query_id long, rank int, vec_id long, score double")
     if not n:
         return empty
-    sample = _matrix([r["vec"] for r in entries.select("vec").orderBy(F.xxhash64("vec"), "vec").limit(SAMPLE).collect()])
+    k = max(1, min(MOST_LISTS, n // LIST_SIZE))
+    sample = _matrix([r["vec"] for r in entries.select("vec").orderBy(F.xxhash64("vec"), "vec").limit(max(SAMPLE, 4 * k)).collect()])
+
+    def greatest(of) -> float:
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            most = max((float(of(_matrix(b.column(0).to_pylist()))) for b in batches if b.num_rows), default=0.0)
+            yield pa.RecordBatch.from_arrays([pa.array([most])], names=["most"])
 
-    def norms(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        most = max((float((_matrix(b.column(0).to_pylist()) ** 2).sum(axis=1).max()) for b in batches if b.num_rows), default=0.0)
-        yield pa.RecordBatch.from_arrays([pa.array([most])], names=["most"])
+        return arrow_map(entries.select("vec"), run, "most double").agg(F.max("most")).first()[0]
 
-    longest = arrow_map(entries.select("vec"), norms, "most double").agg(F.max("most")).first()[0] * (1 + 1e-12)
-    lifted = _lift(sample, longest)
-    graph = CentroidGraph(balanced_centroids(lifted, max(1, min(MOST_LISTS, n // LIST_SIZE, len(sample) // 4))))
+    scale = greatest(lambda x: np.abs(x).max())
+    longest = greatest(lambda x: ((x / scale) ** 2).sum(axis=1).max()) * (1 + 1e-12)
+    lifted = _lift(sample / scale, longest)
+    graph = CentroidGraph(balanced_centroids(lifted, max(1, min(k, len(sample) // 4))))
     ratio = tuned_ratio(lifted, graph, goal)
-    shared = spark.sparkContext.broadcast((graph, ratio, longest))  # at most MOST_LISTS centroids
+    shared = spark.sparkContext.broadcast((graph, ratio, longest))  # at most MOST_LISTS centroids and their neighbours
 
     def post(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         g, _, most = shared.value
         for batch in batches:
             for part in (batch.slice(i, 1024) for i in range(0, batch.num_rows, 1024)):
                 vecs, ids = part.column("vec").to_pylist(), part.column("ids").to_pylist()
-                lists = lists_of(_lift(_matrix(vecs), most), g)
+                lists = lists_of(_lift(_matrix(vecs) / scale, most), g)
                 at = [i for i, ls in enumerate(lists) for _ in ls]
                 own = [not n for ls in lists for n in range(len(ls))]
                 yield pa.RecordBatch.from_arrays([pa.array([j for ls in lists for j in ls], pa.int32()), pa.array([vecs[i] for i in at], pa.binary()), pa.array([ids[i] for i in at], pa.list_(pa.int64())), pa.array(own, pa.bool_())], names=["list", "vec", "ids", "own"])
@@ -298,7 +318,7 @@ def nearest_neighbours(table: DataFrame, id_col: str = "vec_id", vec_col: str =
         for batch in batches:
             cols: list[list] = [[], [], [], []]
             for key, q in zip(batch.column("id").to_pylist(), batch.column("vec").to_pylist(), strict=True):
-                for j in range(len(g.c)) if everywhere else g.enough(np.append(np.frombuffer(q, np.float64), 0.0), r, held_in).tolist():
+                for j in range(len(g.c)) if everywhere else g.enough(np.append(np.frombuffer(q, np.float64) / scale, 0.0), r, held_in).tolist():
                     for b in range(int(table_of[j])):
                         for col, x in zip(cols, (j, b, key, q), strict=True):
                             col.append(x)
@@ -323,11 +343,13 @@ def nearest_neighbours(table: DataFrame, id_col: str = "vec_id", vec_col: str =
             start, ids = np.cumsum(count) - count, np.array([i for m in members for i in m[5]], np.int64)
             for some in batched(queries, 256):
                 asked_here = _matrix([s[4] for s in some])
-                rough = asked_here @ x.T
+                own = np.abs(asked_here).max(axis=1)
+                rough = (asked_here / own[:, None]) @ (x / scale).T  # of whatever lengths, these are finite
                 last = len(members) - min(TOP + 1, len(members))
-                least = np.maximum(np.partition(rough, last, axis=1)[:, last], held.bar([s[3:5] for s in some]))
-                at, near = np.nonzero(rough >= (least - 1e-9 * np.maximum(1.0, np.abs(rough).max(axis=1)))[:, None])
-                exact = (x[near] * asked_here[at]).sum(axis=1)
+                least = np.maximum(np.partition(rough, last, axis=1)[:, last], held.bar([s[3:5] for s in some]) / own / scale)
+                at, near = np.nonzero(rough >= (least - 1e-9)[:, None])
+                with np.errstate(over="ignore"):
+                    exact = (x[near] * asked_here[at]).sum(axis=1)
                 n = count[near]
                 which = np.repeat(start[near] - (np.cumsum(n) - n), n) + np.arange(n.sum())
                 at, exact, found = np.repeat(at, n), np.repeat(exact, n), ids[which]

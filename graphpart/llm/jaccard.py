@@ -32,6 +32,7 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import LongType, StructField, StructType
 
 from graphpart.llm.common import ID, TEXT, arrow_map, durable, strings
 from graphpart.llm.components import connected
@@ -352,6 +353,11 @@ def tile_pass(docs: DataFrame, rest: DataFrame, n_rest: int) -> DataFrame:
 
 def jaccard_classes(docs: DataFrame) -> DataFrame:
     """(doc_id, n_shingles, component_id): the smallest doc_id reachable by links of similarity 0.75 or more."""
+    return keyed_classes(docs).drop("sk", "class")
+
+
+def keyed_classes(docs: DataFrame) -> DataFrame:
+    """As ``jaccard_classes``, with the key of each row's set (sk) and the smallest such key of its class (class)."""
     one = first_pass(docs)
     rows = one.where("kind = 0").select("doc_id", "sk", "n")
     sets = durable(rows.groupBy("sk").agg(F.min("doc_id").alias("rep"), F.min("n").alias("n")))
@@ -359,7 +365,7 @@ def jaccard_classes(docs: DataFrame) -> DataFrame:
     need = F.floor(F.ceil(3 * F.col("n") / 4) / 8) + 1
     chosen = durable(sets.where("n > 0").join(met, "sk").where(F.col("met") >= need).select("sk", "rep", "n"))
     n_chosen = chosen.count()
-    named = rows.where("n = 0").select(F.col("doc_id").alias(ID), F.lit(0).cast("long").alias("n_shingles"), F.col("doc_id").alias("component_id"))
+    named = rows.where("n = 0").select(F.col("doc_id").alias(ID), F.lit(0).cast("long").alias("n_shingles"), F.col("doc_id").alias("component_id"), "sk", F.col("sk").alias("class"))
     names = None
     if n_chosen:
         two = second_pass(docs, chosen, n_chosen)
@@ -386,27 +392,47 @@ def jaccard_classes(docs: DataFrame) -> DataFrame:
         if n_rest:
             classes = connected(links.union(tile_pass(docs, rest, n_rest)))
         linked = classes.join(sets.select(F.col("sk").alias("node"), "rep"), "node")
-        names = durable(linked.join(linked.groupBy("root").agg(F.min("rep").alias("component")), "root").select(F.col("node").alias("sk"), "component"))
+        names = durable(linked.join(linked.groupBy("root").agg(F.min("rep").alias("component")), "root").select(F.col("node").alias("sk"), F.col("root").alias("class"), "component"))
     full = rows.where("n > 0").join(sets.select("sk", "rep"), "sk")
     if names is not None:
         full = full.join(names, "sk", "left")
-    component = F.coalesce("component", "rep") if names is not None else F.col("rep")
-    return full.select(F.col("doc_id").alias(ID), F.col("n").cast("long").alias("n_shingles"), component.alias("component_id")).union(named)
+        # of a class whose rows all lack an id, ``component`` is null, and so are the ids of its sets
+        component, cls = F.coalesce("component", "rep"), F.coalesce("class", "sk")
+    else:
+        component, cls = F.col("rep"), F.col("sk")
+    return full.select(F.col("doc_id").alias(ID), F.col("n").cast("long").alias("n_shingles"), component.alias("component_id"), "sk", cls.alias("class")).union(named)
 
 
 def keep_one_of_each(docs: DataFrame) -> DataFrame:
-    """One row of each class of ``docs``, all columns: that of the smallest id; of rows that repeat an id and text, one.
+    """One row of each class of ``docs``, all columns: one of the smallest id (rows without an id come last) and, where that id
+    stands with several texts of the class, of the smallest set key. Rows with an empty set are classes of their own and stay.
 
-    Rows with an empty set are classes of their own and stay; rows without an id stay, as no class can name them.
+    Rows are told apart by id and set: an id that stands with unrelated texts loses none of them, and copies without an
+    id go like others. Sets are made again only for ids that stand in several rows.
     """
-    classes = durable(jaccard_classes(docs))
-    drop = durable(classes.where(F.col(ID) > F.col("component_id")).select(F.col(ID).alias("_drop")).distinct())
-    side = F.broadcast(drop) if drop.count() <= MOST_BROADCAST else drop
-    kept = docs.join(side, F.col(ID) == F.col("_drop"), "left_anti")
-    again = durable(classes.where((F.col(ID) == F.col("component_id")) & (F.col("n_shingles") > 0)).groupBy(ID).count().where("count > 1").select(F.col(ID).alias("_again")))
-    n_again = again.count()
-    if not n_again:
-        return kept
-    side = F.broadcast(again) if n_again <= MOST_BROADCAST else again
-    once = kept.join(side, F.col(ID) == F.col("_again"), "left_semi").dropDuplicates([ID])
-    return kept.join(side, F.col(ID) == F.col("_again"), "left_anti").unionByName(once)
+    names = docs.columns
+    plain = docs.toDF(*(f"c{i}" for i in range(len(names))))  # no name of the table can clash with one of these here
+    id_col, text_col = f"c{names.index(ID)}", f"c{names.index(TEXT)}"
+    classes = durable(keyed_classes(docs).select("doc_id", "n_shingles", "sk", "class"))
+    lead = classes.where("n_shingles > 0").groupBy("class").agg(F.min(F.struct(F.col("doc_id").isNull().alias("no"), "doc_id", "sk")).alias("m")).select("class", F.col("m.doc_id").alias("lead_id"), F.col("m.sk").alias("lead_set"))
+    several = durable(classes.groupBy("doc_id").count().where("count > 1 OR doc_id IS NULL").select(F.col("doc_id").alias("several_id")))
+    gone = durable(classes.where("n_shingles > 0").join(lead, "class").where(~F.col("doc_id").eqNullSafe(F.col("lead_id"))).select(F.col("doc_id").alias("gone_id")).where("gone_id IS NOT NULL").distinct())
+    n_several, n_gone = several.count(), gone.count()
+    side = lambda df, n: F.broadcast(df) if n <= MOST_BROADCAST else df
+    key = F.col(id_col).cast("long")
+    if not n_several:
+        return plain.join(side(gone, n_gone), key == F.col("gone_id"), "left_anti").toDF(*names)
+    again = key.eqNullSafe(F.col("several_id"))
+    once = plain.join(side(several, n_several), again, "left_anti").join(side(gone, n_gone), key == F.col("gone_id"), "left_anti")
+
+    def tell(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            sets = [shingle_set(t) for t in strings(batch, text_col)]
+            keys = pa.array([set_key(s) if s.size else None for s in sets], pa.int64())
+            yield pa.RecordBatch.from_arrays([*batch.columns, keys], names=[*batch.schema.names, "set_key"])
+
+    told = arrow_map(plain.join(side(several, n_several), again, "left_semi"), tell, StructType([*plain.schema.fields, StructField("set_key", LongType())]))
+    chosen = durable(lead.join(several, F.col("lead_id").eqNullSafe(F.col("several_id")), "left_semi").select("lead_id", "lead_set"))
+    of_chosen = key.eqNullSafe(F.col("lead_id")) & (F.col("set_key") == F.col("lead_set"))
+    kept = told.join(side(chosen, chosen.count()), of_chosen, "left_semi").dropDuplicates([id_col, "set_key"])
+    return once.unionByName(told.where("set_key IS NULL").unionByName(kept).drop("set_key")).toDF(*names)

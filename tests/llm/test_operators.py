@@ -107,9 +107,40 @@ def test_classes_equal_brute_force(spark, odd_docs):
     docs = spark.createDataFrame(rows, "doc_id long, text string")
     got = sorted((tuple(r) for r in jaccard.jaccard_classes(docs).select("doc_id", "n_shingles", "component_id").collect()), key=str)
     assert got == brute_classes(rows)
-    kept = [r.doc_id for r in jaccard.keep_one_of_each(docs).collect()]
-    classes = {(c if c is not None else k) if n else (k, "empty") for k, n, c in got}
-    assert len(kept) == len(classes) and kept.count(5) == 1
+    assert sorted(map(str, kept_texts(docs))) == sorted(map(str, kept_by_hand(rows)))
+
+
+def shingles(text):
+    w = re.findall(r"[^\x20\x09-\x0D]+", re.sub("[A-Z]", lambda m: m[0].lower(), text or ""))
+    return frozenset(tuple(w[i : i + 5]) for i in range(len(w) - 4)) if len(w) >= 5 else frozenset([tuple(w)] if w else [])
+
+
+def kept_texts(docs):
+    return [(r.doc_id, shingles(r.text)) if r.text and r.text.strip() else (r.doc_id, None) for r in jaccard.keep_one_of_each(docs).collect()]
+
+
+def kept_by_hand(rows):
+    """The least id of each class, and its set; where an id has several sets of a class, the one of the least key."""
+    sets = [shingles(t) for _, t in rows]
+    uf = components.UnionFind()
+    for i in range(len(rows)):
+        uf.setdefault(i, i)
+        for j in range(i):
+            if sets[i] and 100 * len(sets[i] & sets[j]) >= 75 * len(sets[i] | sets[j]):
+                uf.union(i, j)
+    best = {}
+    for i, (k, t) in enumerate(rows):
+        if sets[i]:
+            best.setdefault(uf.find(i), []).append((k is None, k or 0, jaccard.set_key(jaccard.shingle_set(t)), k, sets[i]))
+    return [min(v, key=lambda x: x[:3])[3:] for v in best.values()] + [(k, None) for (k, _), s in zip(rows, sets, strict=True) if not s]
+
+
+def test_ids_that_repeat_with_other_texts(spark):
+    a, b, c, q, z = (" ".join(f"{x}{i}" for i in range(30)) for x in "abcqz")
+    rows = [(3, a), (7, a), (7, b), (5, c), (5, q), (None, b), (None, z), (None, z.upper()), (None, None), (9, ""), (9, a), (9, None), (2, q + " tail")]
+    docs = spark.createDataFrame([(*r, 1, 2) for r in rows], "doc_id long, text string, _drop int, _again int")
+    assert sorted(map(str, kept_texts(docs))) == sorted(map(str, kept_by_hand(rows)))
+    assert jaccard.keep_one_of_each(docs).columns == docs.columns
 
 
 def test_components_by_stars(spark):
@@ -203,6 +234,53 @@ def test_related_documents_share_a_shard(spark):
     assert share >= 0.7 and kept >= 0.9
 
 
+def nearest_by_hand(rows, every=20):
+    good = [(i, np.array(v, np.float64)) for i, v in rows if v is not None and all(x is not None and np.isfinite(x) for x in v) and any(v)]
+    keys, x = np.array([i for i, _ in good]), np.array([v for _, v in good])
+    out = {}
+    for q, v in good:
+        if q % every == 0:
+            s = (x * v).sum(axis=1)
+            order = [j for j in np.lexsort((keys, -s)) if keys[j] != q][:20]
+            out[q] = [(int(keys[j]), float(s[j])) for j in order]
+    return out
+
+
+@pytest.mark.parametrize("odd", [[float("inf")] * 8, [float("-inf"), *[0.5] * 7], [1e160, *[0.25] * 7], [1e160] * 8, [300.0, *[1.0] * 7]])
+def test_odd_lengths_equal_brute_force(spark, odd):
+    rng = np.random.default_rng(12)
+    rows = [(i, rng.normal(size=8).tolist()) for i in range(150)] + [(200, odd), (207, odd), (300, [None, *[1.0] * 7])]
+    got: dict[int, list] = {}
+    for r in sorted(ann.nearest_neighbours(spark.createDataFrame(rows, "vec_id long, embedding array<double>")).collect()):
+        got.setdefault(r.query_id, []).append((r.vec_id, r.score))
+    want = nearest_by_hand(rows)
+    assert sorted(got) == sorted(want)
+    for q, found in got.items():
+        assert [v for v, _ in found] == [v for v, _ in want[q]]
+        assert np.allclose([s for _, s in found], [s for _, s in want[q]], rtol=1e-12)
+
+
+def test_recall_and_lists_read_on_clustered_vectors(spark):
+    rng = np.random.default_rng(13)
+    centres = rng.normal(size=(60, 24))
+    m = np.repeat(centres, 200, axis=0) + 0.35 * rng.normal(size=(12_000, 24))
+    m /= np.sqrt((m * m).sum(axis=1))[:, None]
+    table = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(m)], "vec_id long, embedding array<double>")
+    got: dict[int, set] = {}
+    for r in ann.nearest_neighbours(table).collect():
+        got.setdefault(r.query_id, set()).add(r.vec_id)
+    hit = 0
+    for q, found in got.items():
+        s = m @ m[q]
+        s[q] = -np.inf
+        hit += len(found & set(np.argpartition(-s, 20)[:20].tolist()))
+    assert len(got) == 600 and hit >= 0.9 * 20 * 600
+    lifted = ann._lift(m, float((m * m).sum(axis=1).max()))
+    graph = ann.CentroidGraph(ann.balanced_centroids(lifted, 60))
+    ratio = ann.tuned_ratio(lifted, graph, 0.95)
+    assert np.mean([graph.search(np.append(v, 0.0), ratio).size for v in m[::200]]) < 60 / 4
+
+
 def test_outliers_and_tight_clusters_get_all_their_rows(spark):
     rng = np.random.default_rng(6)
     m = rng.normal(size=(1600, 8))
