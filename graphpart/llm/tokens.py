@@ -1,9 +1,10 @@
 """Token counts: a prefix table holds the exact token count at every prefix, so truncation and budget questions need no re-encoding.
 
 White space never enters a token of the word vocabulary, so counts add up over white-space separated chunks: the table
-of a text is the running sum of its chunks' counts. Inside a chunk, dynamic programming over its prefixes gives the count
-of each: the encoding of a prefix ends in exactly one token, which must follow the last token of a shorter prefix.
-Chunks are memoised in a bounded table, as are the pairs of tokens that may stand side by side.
+of a text is the running sum of its chunks' last cells. Inside a chunk, one forward pass of dynamic programming gives the
+count of each prefix: its encoding ends in exactly one token, which must follow the last token of a shorter prefix. The
+count of a text is the last cell of its table. Chunks are memoised in a bounded table, as are the pairs of tokens that
+may stand side by side; time is linear in a chunk's length.
 
 Edge cases: a null text is empty and has 0 tokens; special strings in a text count as the one token the library makes of
 them; texts of any length are counted whole; repeated rows give equal counts; extra columns are ignored.
@@ -13,6 +14,7 @@ from __future__ import annotations
 
 import json
 import re
+import unicodedata
 from array import array
 from collections.abc import Iterator
 from functools import lru_cache
@@ -130,60 +132,160 @@ class WordVocabulary(dict):
         at = np.repeat(np.frombuffer(self.start, np.int64)[numbers] - (end - n), n) + np.arange(int(end[-1]))
         return np.frombuffer(self.flat, np.uint16)[at]
 
-    # -- prefixes inside a chunk
 
-    @lru_cache(maxsize=200_000)  # noqa: B019  one vocabulary lives as long as its process
-    def _side_by_side(self, left: int, right: bytes) -> bool:
-        return self.core.encode_single_piece(self.bytes_of[left] + right) == [left, self.ranks[right]]
+CONTRACTIONS = frozenset(("'s", "'t", "'re", "'ve", "'m", "'ll", "'d"))
 
-    @lru_cache(maxsize=20_000)  # noqa: B019
-    def piece_prefixes(self, piece: str) -> tuple[int, ...]:
+
+class PrefixCounts(dict):
+    """Chunk -> number; ``cells[number]`` holds the exact count of each of the chunk's prefixes, the last one that of the chunk.
+
+    A piece of a chunk (what the vocabulary's pattern cuts) is one forward pass over its bytes: the encoding of a prefix ends
+    in the one token that may follow the last token of the shorter prefix before it. Which tokens may stand side by side
+    is kept in a bounded table, as are the cells of short pieces.
+    """
+
+    __hash__ = object.__hash__
+
+    def __init__(self, vocabulary: WordVocabulary) -> None:
+        super().__init__()
+        self.vocabulary = vocabulary
+        self.open = {data: i for data, i in vocabulary.ranks.items() if not data.endswith(END)}
+        self.closed = {data[:-1]: i for data, i in vocabulary.ranks.items() if data.endswith(END)}
+        tails: dict[bytes, set[int]] = {}
+        for data in (*self.open, *self.closed):
+            if len(data) > 2:
+                tails.setdefault(data[-3:], set()).add(len(data))
+        self.tails = {tail: tuple(sorted(sizes, reverse=True)) for tail, sizes in tails.items()}  # lengths of tokens by their last bytes
+        self.beside: dict[int, bool] = {}
+        self.pieces: dict[str, list[int]] = {}
+        self.reset()
+
+    def reset(self) -> None:
+        self.clear()
+        self.cells: list[np.ndarray | bytes] = []
+        self.total = array("q")
+
+    def trim(self) -> None:
+        if len(self.total) > MOST_CHUNKS // 2:
+            self.reset()
+        for table in (self.beside, self.pieces):
+            if len(table) > MOST_CHUNKS // 2:
+                table.clear()
+
+    def _fits(self, left: int, right: int) -> bool:
+        key = left << 17 | right
+        known = self.beside.get(key)
+        if known is None:
+            v = self.vocabulary
+            known = self.beside[key] = v.core.encode_single_piece(v.bytes_of[left] + v.bytes_of[right]) == [left, right]
+        return known
+
+    def piece(self, piece: str) -> list[int]:
         """Counts of the prefixes of 1, 2, ... characters of a piece, each closed as a word."""
+        known = self.pieces.get(piece)
+        if known is not None:
+            return known
         data = piece.encode()
-        last, steps = [-1] * (len(data) + 1), [0] * (len(data) + 1)
-        out, ends, at = [], set(), 0
-        for c in piece:
-            at += len(c.encode())
-            ends.add(at)
-
-        def step(to: int, tail: bytes) -> tuple[int, int] | None:
-            for lo in range(max(0, to - self.longest), to):
-                token = data[lo:to] + tail
-                if token in self.ranks and (lo == 0 or last[lo] >= 0 and self._side_by_side(last[lo], token)):
-                    return self.ranks[token], steps[lo] + 1
-            return None
-
-        for to in range(1, len(data) + 1):
-            if (closed := step(to, END)) and to in ends:
-                out.append(closed[1])
-            if opened := step(to, b""):
-                last[to], steps[to] = opened
-        return tuple(out)
-
-    def chunk_prefixes(self, chunk: str) -> list[int]:
+        n, opened, closed, tails, fits = len(data), self.open, self.closed, self.tails, self._fits
+        last, steps = [-1] * (n + 1), [0] * (n + 1)
+        out = []
+        for to in range(1, n + 1):
+            ends = to == n or data[to] & 0xC0 != 0x80  # a character ends here
+            inner = to < n
+            sizes = tails.get(data[to - 3 : to], ()) if to > 2 else ()
+            for size in (*sizes, 2, 1):
+                lo = to - size
+                if lo < 0 or not (ends or inner):
+                    continue
+                token = data[lo:to]
+                if ends:
+                    t = closed.get(token)
+                    if t is not None and (not lo or last[lo] >= 0 and fits(last[lo], t)):
+                        out.append(steps[lo] + 1)
+                        ends = False
+                if inner:
+                    t = opened.get(token)
+                    if t is not None and (not lo or last[lo] >= 0 and fits(last[lo], t)):
+                        last[to], steps[to] = t, steps[lo] + 1
+                        inner = False
+        if len(piece) <= LONG_CHUNK:
+            self.pieces[piece] = out
+        return out
+
+    def _joined(self, pieces: list[str]) -> list[int]:
+        out: list[int] = []
+        total = 0
+        for piece in pieces:
+            if piece in CONTRACTIONS:  # cut, it is an apostrophe and a letter
+                apostrophe = self.piece("'")[0]
+                out.append(total + apostrophe)
+                if len(piece) == 3:
+                    out.append(total + apostrophe + self.piece(piece[1])[0])
+                total += self.piece(piece)[-1]
+                out.append(total)
+            else:
+                out += [total + n for n in self.piece(piece)] if total else self.piece(piece)
+                total = out[-1]
+        return out
+
+    def chunk(self, chunk: str) -> list[int]:
         """Counts of the prefixes of 1, 2, ... characters of a chunk."""
-        if not all(ord(c) < 256 for c in chunk):
-            return [len(self.library.encode(chunk[: i + 1], add_special_tokens=False).ids) for i in range(len(chunk))]
+        try:
+            chunk.encode("latin-1")
+        except UnicodeEncodeError:
+            return self._of_any(chunk)
         low = chunk.lower()
-        whole = _PIECE.findall(low)
-        out = []
-        for i in range(1, len(low) + 1):
-            total, at = 0, 0
-            for k, piece in enumerate(_PIECE.findall(low[:i])):
-                longer = whole[k] if k < len(whole) and whole[k].startswith(piece) else piece
-                total += self.piece_prefixes(longer)[len(piece) - 1]
-                at += len(piece)
-            out.append(total)
+        return self._joined([low] if low.isascii() and low.isalpha() else _PIECE.findall(low))
+
+    def _of_any(self, chunk: str) -> list[int]:
+        """As ``chunk``; the library normalises and cuts. Where a prefix isn't normalised as the chunk is (a mark that joins the
+        letter before), the run it ends in is encoded anew.
+        """
+        library = self.vocabulary.library
+        whole = library.normalizer.normalize_str(chunk)
+        parts = [span for _, span in library.pre_tokenizer.pre_tokenize_str(whole)]
+        cells = [0, *self._joined([whole[a:b] for a, b in parts])]
+        if len(cells) != len(whole) + 1:  # a character that the pattern leaves out
+            return [len(library.encode(chunk[:i], add_special_tokens=False).ids) for i in range(1, len(chunk) + 1)]
+        if len(whole) == len(chunk) and unicodedata.is_normalized("NFC", chunk) and all(len(c.lower()) == 1 for c in chunk):
+            return cells[1:]
+        starts = [0] * (len(whole) + 1)
+        for a, b in parts:
+            starts[a + 1 : b + 1] = [a] * (b - a)
+        out, safe, before = [], 0, 0  # chunk[:safe] is normalised to whole[:before], whatever follows
+        for i, c in enumerate(chunk):
+            if i and not unicodedata.combining(c):
+                here = library.normalizer.normalize_str(chunk[safe:i])
+                if library.normalizer.normalize_str(chunk[safe : i + 1]) == here + library.normalizer.normalize_str(c):
+                    safe, before = i, before + len(here)
+            tail = library.normalizer.normalize_str(chunk[safe : i + 1])
+            at = before + len(tail)
+            if whole[before:at] == tail:
+                out.append(cells[at])
+            else:
+                a = starts[before]
+                out.append(cells[a] + len(library.encode(whole[a:before] + tail, add_special_tokens=False).ids))
         return out
 
+    def __missing__(self, chunk) -> int:
+        cells = [1] if type(chunk) is tuple else self.chunk(chunk)
+        k = len(self.total)
+        self.total.append(cells[-1])
+        self.cells.append(bytes(cells) if cells[-1] < 256 else np.array(cells, np.int64))
+        if len(chunk) <= LONG_CHUNK:
+            self[chunk] = k
+        return k
+
 
 class PrefixTable:
     """Exact counts of all prefixes of one text: ``count(i)`` for text[:i], ``truncate(budget)`` for the longest that fits."""
 
-    def __init__(self, vocabulary: WordVocabulary, text: str) -> None:
-        self.vocabulary, self.text = vocabulary, text
-        sizes = vocabulary.numbers(text)
-        self.totals = np.concatenate([[0], np.cumsum(vocabulary.sizes()[sizes])]) if sizes.size else np.zeros(1, np.int64)
+    def __init__(self, counts: PrefixCounts, text: str) -> None:
+        self.vocabulary, self.text = counts.vocabulary, text
+        chunks = counts.vocabulary.chunks(text)
+        numbers = np.fromiter(map(counts.__getitem__, chunks), np.int64, len(chunks))
+        self.cells = [counts.cells[k] for k in numbers.tolist()]
+        self.totals = np.concatenate([[0], np.cumsum(np.frombuffer(counts.total, np.int64)[numbers])]) if numbers.size else np.zeros(1, np.int64)
 
     def spans(self) -> Iterator[tuple[int, int, bool]]:
         """(start, end, special) of each chunk, in order."""
@@ -196,16 +298,15 @@ class PrefixTable:
             at += len(part)
 
     def count(self, length: int | None = None) -> int:
+        """The last cell within text[:length]."""
         if length is None or length >= len(self.text):
             return int(self.totals[-1])
-        k, cut = 0, None
+        k = 0
         for start, end, _ in self.spans():
             if end > length:
-                cut = start if start < length else None
-                break
+                return int(self.totals[k]) + (int(self.cells[k][length - start - 1]) if start < length else 0)
             k += 1
-        inside = self.vocabulary.chunk_prefixes(self.text[cut:length])[-1] if cut is not None else 0
-        return int(self.totals[k]) + inside
+        return int(self.totals[k])
 
     def truncate(self, budget: int) -> int:
         """Characters of the longest prefix of at most ``budget`` tokens."""
@@ -213,8 +314,8 @@ class PrefixTable:
             return len(self.text)
         k = int(np.searchsorted(self.totals, budget, side="right")) - 1  # chunks that fit
         start, end, special = next(islice(self.spans(), k, None))
-        within = [] if special else [i for i, n in enumerate(self.vocabulary.chunk_prefixes(self.text[start:end]), 1) if self.totals[k] + n <= budget]
-        return start + max(within, default=0)
+        fits = [] if special else np.flatnonzero(np.array(list(self.cells[k])) <= budget - self.totals[k])
+        return start + (int(fits[-1]) + 1 if len(fits) else 0)
 
 
 @lru_cache(maxsize=2)
@@ -222,16 +323,21 @@ def word_vocabulary(path: str) -> WordVocabulary:
     return WordVocabulary(path)
 
 
+@lru_cache(maxsize=2)
+def prefix_counts(path: str) -> PrefixCounts:
+    return PrefixCounts(word_vocabulary(path))
+
+
 def token_counts(docs: DataFrame, path: str, limit: int = 2048) -> DataFrame:
     """(doc_id, n_bytes, n_tokens, over_limit, kept_chars): kept_chars is the longest prefix within the limit. A map, no shuffle."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        vocabulary = word_vocabulary(path)
+        counts = prefix_counts(path)
         for batch in batches:
             n_bytes, n_tokens, kept = [], [], []
             for text in strings(batch, TEXT):
-                vocabulary.trim()
-                table = PrefixTable(vocabulary, text)
+                counts.trim()
+                table = PrefixTable(counts, text)
                 n_bytes.append(len(text.encode()))
                 n_tokens.append(table.count())
                 kept.append(table.truncate(limit))

@@ -2,6 +2,7 @@
 
 import random
 import re
+import time
 import zlib
 
 import numpy as np
@@ -25,16 +26,32 @@ def test_word_ids_equal_the_library():
 
 
 def test_every_prefix_count_equals_the_library():
-    v = tokens.word_vocabulary(tokenizer_path("word_bpe_49k.json"))
-    for text in (t for t in odd_texts(150, 2, 25) if "<|" not in t):
-        table = tokens.PrefixTable(v, text)
-        counts = [len(v.library.encode(text[:i], add_special_tokens=False).ids) for i in range(len(text) + 1)]
+    c = tokens.prefix_counts(tokenizer_path("word_bpe_49k.json"))
+    more = ["e\u0301te\u0301 \u1112\u1161\u11ab\uae00", "don'tll 'll x'lly''re", "\u65e5\u672c\u8a9e\u306e\u6587\u7ae0 \u0130stanbul \u03a3\u03af\u03c3\u03c5\u03c6\u03bf\u03c2", "a\u0301\u0323b\u0323\u0301 12\u00b2a1a1", "\u0915\u094d\u0937\u093f \u0e20\u0e32\u0e29\u0e32\u0e44\u0e17\u0e22"]
+    for text in (t for t in [*odd_texts(150, 2, 25), *more] if "<|" not in t):
+        table = tokens.PrefixTable(c, text)
+        counts = [len(c.vocabulary.library.encode(text[:i], add_special_tokens=False).ids) for i in range(len(text) + 1)]
         assert [table.count(i) for i in range(len(text) + 1)] == counts, repr(text)
         for budget in range(0, counts[-1] + 1, 3):
             cut = table.truncate(budget)
             assert counts[cut] <= budget
 
 
+@pytest.mark.parametrize("unit,times", [("1a", 500_000), ("qzxvbaon", 125_000), ("\u65e5\u672c\u8a9e\u306e", 85_000), ("Zm9vYmFy+/", 100_000)])
+def test_a_long_unbroken_chunk_takes_linear_time(unit, times):
+    c = tokens.prefix_counts(tokenizer_path("word_bpe_49k.json"))
+    text = unit * times
+    began = time.time()
+    table = tokens.PrefixTable(c, text)
+    cut = table.truncate(2048)
+    assert time.time() - began < 30  # some seconds; far more if quadratic
+    encode = lambda t: len(c.vocabulary.library.encode(t, add_special_tokens=False).ids)
+    assert table.count() == encode(text)
+    assert encode(text[:cut]) <= 2048
+    for i in (1, 7, 1000, 5001):
+        assert table.count(i) == encode(text[:i])
+
+
 def test_byte_ids_and_round_trip():
     v = bpe.byte_vocabulary(tokenizer_path("byte_bpe_50k.json"))
     for text in [*odd_texts(1200), "\n".join(odd_texts(200, 5)) * 3]:
