@@ -10,7 +10,7 @@ Shingles are 64-bit hashes, a text's set is a sorted array, and equal sets count
 3. Dealt out again, sets that meet at one of the rarest quarter of both, which linked sets must, fall into the same
    neighbourhood; a passage that many texts share is not among the rarest and joins none of them.
 4. A neighbourhood whose sets are one class already is done, however many there are. In the others, sets go to tiles of
-   bounded size. In a tile, sets are ordered by size and compared within the band of sizes that 0.75 allows; hashed
+   bounded size, those of a large neighbourhood by bands of set sizes first. In a tile, sets are ordered by size and compared within the band of sizes that 0.75 allows; hashed
    bitmaps bound the overlap from above by bit counts, and what passes is counted exactly on the sorted arrays. Pairs that
    are of one class by then need no comparison.
 
@@ -24,6 +24,7 @@ extra columns are ignored; an empty table gives no rows.
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 from itertools import groupby
 
@@ -41,6 +42,7 @@ WORDS = 5
 CACHE_WORDS = 250_000
 MOST_BROADCAST = 1_000_000  # rows of 24 bytes
 TILE_SETS = 1500
+TASK_BYTES, MOST_TASKS = 64 << 20, 100_000
 _U = np.uint64
 _LOW48 = _U((1 << 48) - 1)
 
@@ -121,7 +123,7 @@ def _packed(kind: int, a: np.ndarray, b: np.ndarray, counts: np.ndarray, buckets
     return _rows(kind, bucket=bucket[order][at].astype(np.int32), elems=cut(cols[0], 8), sks=cut(cols[1], 8), marks=cut(cols[2], 4))
 
 
-def _totals(packed: DataFrame) -> DataFrame:
+def _totals(packed: DataFrame, docs: DataFrame) -> DataFrame:
     """(kind, sk: a, doc_id: b, n): packed counts dealt by a and summed; rows of other kinds as they are."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -141,7 +143,7 @@ def _totals(packed: DataFrame) -> DataFrame:
             new = np.flatnonzero(np.r_[True, (x[1:] != x[:-1]) | (y[1:] != y[:-1])])
             yield _rows(kind, sk=x[new], doc_id=y[new], n=np.add.reduceat(n, new).astype(np.int32))
 
-    return durable(arrow_map(packed.repartition("bucket"), run, _ROW).select("kind", "doc_id", "sk", "n"))
+    return durable(arrow_map(_by_bucket(packed, docs), run, _ROW).select("kind", "doc_id", "sk", "n"))
 
 
 def _gathered(batches: Iterator[pa.RecordBatch], wide: int) -> tuple[list[pa.RecordBatch], np.ndarray, np.ndarray, np.ndarray]:
@@ -180,8 +182,20 @@ def _groups(elems: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return np.repeat(first, size), np.repeat(size, size)
 
 
+def _tasks(df: DataFrame) -> int:
+    """Tasks that hashes are dealt to: one for TASK_BYTES of input, as the plan estimates it, or as many as Spark is set to."""
+    set_to = int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    size = int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    return max(set_to, min(MOST_TASKS, size // TASK_BYTES)) if size < 1 << 60 else set_to  # beyond, the plan knows no size
+
+
 def _buckets(df: DataFrame) -> int:
-    return max(256, 4 * int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+    return max(256, 4 * _tasks(df))
+
+
+def _by_bucket(dealt: DataFrame, docs: DataFrame) -> DataFrame:
+    n = _tasks(docs)
+    return dealt.repartition("bucket") if n == int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")) else dealt.repartition(n, "bucket")
 
 
 def _texts_of(docs: DataFrame, chosen: DataFrame, n_chosen: int) -> DataFrame:
@@ -210,7 +224,9 @@ def first_pass(docs: DataFrame) -> DataFrame:
                     part = s[: long_prefix(s.size)]
                     seen[k] = part.size
                     elems.append(part)
-            yield _rows(0, bucket=[k % buckets for k in keys], doc_id=batch.column(0), sk=keys, n=sizes)
+            # rows are dealt by their own ids, not by sets, so that copies spread
+            spread = [xxhash.xxh3_64_intdigest(f"{x}:{i}") % buckets for i, x in enumerate(batch.column(0).to_pylist())]
+            yield _rows(0, bucket=spread, doc_id=batch.column(0), sk=keys, n=sizes)
             if elems:
                 yield _dealt(1, np.concatenate(elems) & _LOW48, np.repeat(np.fromiter(seen, np.int64), list(seen.values())), None, buckets, 6)
 
@@ -222,8 +238,8 @@ def first_pass(docs: DataFrame) -> DataFrame:
             if k.size:
                 yield _packed(1, k, np.zeros(k.size, np.int64), c, buckets)
 
-    dealt = arrow_map(docs.select(F.col(ID).cast("long").alias(ID), TEXT), deal, _ROW).repartition("bucket")
-    return _totals(arrow_map(dealt, count, _ROW))
+    dealt = arrow_map(docs.select(F.col(ID).cast("long").alias(ID), TEXT), deal, _ROW)
+    return _totals(arrow_map(_by_bucket(dealt, docs), count, _ROW), docs)
 
 
 def _deal_sets(docs: DataFrame, chosen: DataFrame, n_chosen: int, mark: str | None) -> DataFrame:
@@ -245,7 +261,7 @@ def _deal_sets(docs: DataFrame, chosen: DataFrame, n_chosen: int, mark: str | No
                 yield _dealt(2, np.concatenate(elems), np.repeat(np.array(keys, np.int64), sizes), marked, buckets, 8)
 
     side = chosen.select("sk", "rep", (F.col(mark) if mark else F.lit(0)).alias("mark"))
-    return arrow_map(_texts_of(docs, side, n_chosen).select(TEXT, "sk", "mark"), deal, _ROW).repartition("bucket")
+    return _by_bucket(arrow_map(_texts_of(docs, side, n_chosen).select(TEXT, "sk", "mark"), deal, _ROW), docs)
 
 
 def _rarity(size: np.ndarray) -> np.ndarray:
@@ -273,7 +289,7 @@ def second_pass(docs: DataFrame, chosen: DataFrame, n_chosen: int) -> DataFrame:
         yield _packed(2, pair[:, 0], pair[:, 1], c, buckets)
         yield _stars(3, elems, sks, buckets)
 
-    return _totals(arrow_map(_deal_sets(docs, chosen, n_chosen, None), count, _ROW))
+    return _totals(arrow_map(_deal_sets(docs, chosen, n_chosen, None), count, _ROW), docs)
 
 
 def neighbour_pass(docs: DataFrame, chosen: DataFrame, n_chosen: int) -> DataFrame:
@@ -286,7 +302,7 @@ def neighbour_pass(docs: DataFrame, chosen: DataFrame, n_chosen: int) -> DataFra
             near = _rarity(_groups(elems)[1]) <= most.astype(np.int64) - 1  # 0 marks sets that link with nothing
             yield _stars(4, elems[near], sks[near], buckets)
 
-    return _totals(arrow_map(_deal_sets(docs, chosen, n_chosen, "most"), meet, _ROW)).select(F.col("doc_id").alias("a"), F.col("sk").alias("b"))
+    return _totals(arrow_map(_deal_sets(docs, chosen, n_chosen, "most"), meet, _ROW), docs).select(F.col("doc_id").alias("a"), F.col("sk").alias("b"))
 
 
 def tile_links(sets: list[np.ndarray], classes: list[int], blocks: list[int]) -> list[tuple[int, int]]:
@@ -322,21 +338,39 @@ def tile_links(sets: list[np.ndarray], classes: list[int], blocks: list[int]) ->
     return out
 
 
+def size_band(n: int) -> int:
+    """Sets of 0.75 similarity or more lie in the same or in neighbouring bands."""
+    return math.floor(math.log(n) / math.log(4 / 3) + 1e-9)
+
+
+def tiles_of(key: int, n: int, members: int, bands: dict[int, int]) -> list[tuple[int, int]]:
+    """(tile, block) of a set in a neighbourhood of ``members`` sets, ``bands`` of them by band. A small neighbourhood is one
+    tile; in others, blocks of a band are compared with each other and with those of the next band.
+    """
+    if members <= TILE_SETS:
+        return [(0, 0)]
+    band = size_band(n)
+    blocks = {b: -(-bands.get(b, 0) // TILE_SETS) for b in (band - 1, band, band + 1)}
+    own = key % blocks[band]
+    out = [(band << 42 | min(own, other) << 21 | max(own, other), own) for other in range(blocks[band])]
+    out += [(1 << 62 | band << 42 | own << 21 | other, 0) for other in range(blocks[band + 1])]
+    return out + [(1 << 62 | (band - 1) << 42 | other << 21 | own, 1) for other in range(blocks[band - 1])]
+
+
 def tile_pass(docs: DataFrame, rest: DataFrame, n_rest: int) -> DataFrame:
-    """Links (a, b) among the sets of ``rest`` (sk, rep, hood, class, members), by tiles of a neighbourhood."""
+    """Links (a, b) among the sets of ``rest`` (sk, rep, n, hood, class, members, bands), by tiles of a neighbourhood."""
     schema = "hood long, tile long, sk long, class long, block int, items binary"
 
     def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             cols: list[list] = [[] for _ in range(6)]
-            for text, k, hood, cls, members in zip(strings(batch, TEXT), *(batch.column(c).to_pylist() for c in ("sk", "hood", "class", "members")), strict=True):
+            for text, k, hood, cls, members, bands in zip(strings(batch, TEXT), *(batch.column(c).to_pylist() for c in ("sk", "hood", "class", "members", "bands")), strict=True):
                 s = shingle_set(text)
                 if set_key(s) != k:
                     continue
-                blocks = -(-members // TILE_SETS)
-                own, data = k % blocks, s.tobytes()
-                for other in range(blocks):
-                    for col, x in zip(cols, (hood, min(own, other) << 32 | max(own, other), k, cls, own, data), strict=True):
+                data = s.tobytes()
+                for tile, block in tiles_of(k, s.size, members, dict(bands)):
+                    for col, x in zip(cols, (hood, tile, k, cls, block, data), strict=True):
                         col.append(x)
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (*[pa.int64()] * 4, pa.int32(), pa.binary()), strict=True)], names=[c.split()[0] for c in schema.split(", ")])
 
@@ -347,7 +381,7 @@ def tile_pass(docs: DataFrame, rest: DataFrame, n_rest: int) -> DataFrame:
             found = tile_links([np.frombuffer(r[5], np.uint64) for r in members], [r[3] for r in members], [r[4] for r in members])
             yield pa.RecordBatch.from_arrays([pa.array([members[i][2] for i, _ in found], pa.int64()), pa.array([members[j][2] for _, j in found], pa.int64())], names=["a", "b"])
 
-    dealt = arrow_map(_texts_of(docs, rest, n_rest).select(TEXT, "sk", "hood", "class", "members"), deal, schema)
+    dealt = arrow_map(_texts_of(docs, rest, n_rest).select(TEXT, "sk", "hood", "class", "members", "bands"), deal, schema)
     return arrow_map(dealt.repartition("hood", "tile").sortWithinPartitions("hood", "tile"), compare, "a long, b long")
 
 
@@ -380,13 +414,15 @@ def keyed_classes(docs: DataFrame) -> DataFrame:
         up_to = F.sum("n").over(Window.partitionBy("sk").orderBy("rarity").rowsBetween(Window.unboundedPreceding, 0))
         steps = two.where("kind = 2").groupBy("sk", F.col("doc_id").alias("rarity")).agg(F.sum("n").alias("n")).select("sk", "rarity", up_to.alias("up_to"))
         ends = steps.join(size, "sk").where(F.col("up_to") >= F.col("n") - F.ceil(3 * F.col("n") / 4) + 1).groupBy("sk").agg(F.min("rarity").alias("end"))
-        marked = chosen.join(ends, "sk").select("sk", "rep", F.when(F.col("end") > 0, F.col("end") + 1).otherwise(0).cast("int").alias("most"))
+        marked = chosen.join(ends, "sk").select("sk", "rep", "n", F.when(F.col("end") > 0, F.col("end") + 1).otherwise(0).cast("int").alias("most"))
         marked = durable(marked)
-        able = marked.where("most > 0").select("sk", "rep")
+        able = marked.where("most > 0").select("sk", "rep", "n")
         hoods = connected(neighbour_pass(docs, marked, n_chosen))
         placed = able.join(hoods.select(F.col("node").alias("sk"), F.col("root").alias("hood")), "sk").join(classes.select(F.col("node").alias("sk"), F.col("root").alias("class")), "sk", "left")
         placed = durable(placed.withColumn("class", F.coalesce("class", "sk")))
-        several = placed.groupBy("hood").agg(F.count(F.lit(1)).alias("members"), F.min("class").alias("lo"), F.max("class").alias("hi")).where("lo < hi").select("hood", "members")
+        band = F.floor(F.log("n") / math.log(4 / 3) + 1e-9).cast("int")
+        by_band = placed.groupBy("hood", band.alias("band")).agg(F.count(F.lit(1)).alias("members"), F.min("class").alias("lo"), F.max("class").alias("hi"))
+        several = by_band.groupBy("hood").agg(F.sum("members").alias("members"), F.map_from_entries(F.collect_list(F.struct("band", "members"))).alias("bands"), F.min("lo").alias("lo"), F.max("hi").alias("hi")).where("lo < hi").select("hood", "members", "bands")
         rest = durable(placed.join(several, "hood"))
         n_rest = rest.count()
         if n_rest:

@@ -226,6 +226,43 @@ def test_ids_that_repeat_with_other_texts(spark):
     assert jaccard.keep_one_of_each(docs).columns == docs.columns
 
 
+@pytest.mark.parametrize("broadcast", [True, False])
+def test_tiles_and_joins_of_large_groups(spark, monkeypatch, broadcast):
+    """A passage that all texts share, sizes over several bands, tiles of few sets; with and without broadcasts."""
+    rng = np.random.default_rng(21)
+    passage = [f"p{i}" for i in range(24)]
+    rows = []
+    for i in range(90):
+        own = [f"o{i % 30}_{j}" for j in range(3 + i % 40)]
+        words = passage + own + [f"e{i}" for _ in range(int(rng.integers(0, 3)))]
+        rows.append((i, " ".join(words)))
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    monkeypatch.setattr(jaccard, "TILE_SETS", 4)
+    if not broadcast:
+        monkeypatch.setattr(jaccard, "MOST_BROADCAST", 0)
+    got = sorted((tuple(r) for r in jaccard.jaccard_classes(docs).collect()), key=str)
+    assert got == brute_classes(rows)
+
+
+def test_every_linked_pair_meets_in_one_tile():
+    rng = np.random.default_rng(22)
+    sizes = rng.integers(5, 60, 400)
+    keys = rng.integers(-(1 << 62), 1 << 62, 400).tolist()
+    bands = {}
+    for n in sizes.tolist():
+        bands[jaccard.size_band(n)] = bands.get(jaccard.size_band(n), 0) + 1
+    was, jaccard.TILE_SETS = jaccard.TILE_SETS, 25
+    try:
+        tiles = [dict(jaccard.tiles_of(k, n, 400, bands)) for k, n in zip(keys, sizes.tolist(), strict=True)]
+    finally:
+        jaccard.TILE_SETS = was
+    for i in range(400):
+        for j in range(i):
+            if 4 * min(sizes[i], sizes[j]) >= 3 * max(sizes[i], sizes[j]):
+                both = tiles[i].keys() & tiles[j].keys()
+                assert any(tiles[i][t] != tiles[j][t] for t in both) or any(t >> 62 == 0 and (t >> 21 & 0x1FFFFF) == (t & 0x1FFFFF) for t in both)
+
+
 def test_components_by_stars(spark):
     rng = np.random.default_rng(3)
     pairs = [(int(a), int(b)) for a, b in rng.integers(0, 60, (45, 2))]
