@@ -20,6 +20,7 @@ from graphpart.llm.packing import pack_documents
 from graphpart.llm.pii import redact_personal_data
 from graphpart.llm.quality import fit_quality, keep_quality
 from graphpart.llm.queries import tokenizer_path
+from graphpart.session import shared_folder
 
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -55,12 +56,7 @@ ORACLE_SQL = None
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All stages over documents, each written as Parquet to the shared folder and read again."""
-    shared = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext._jsc.sc().getCheckpointDir().getOrElse(None)
-    if shared is None:
-        import tempfile
-
-        shared = tempfile.mkdtemp(prefix="graphpart-pipeline-")
-    folder = os.path.join(shared, f"pipeline-{uuid.uuid4().hex}")
+    folder = os.path.join(shared_folder(spark), f"pipeline-{uuid.uuid4().hex}")
     docs = load(spark, sf_dir, "documents")
     for name, stage in STAGES:
         path = f"{folder}/{name}"

@@ -22,9 +22,21 @@ def make_session(cores: int | str = "*", shuffle_partitions: int = 8, memory: st
     )
 
 
+def shared_folder(spark: SparkSession) -> str:
+    """The folder of spark.checkpoint.dir, which driver and executors share; a temporary one only where none is set and all run in one process."""
+    sc = spark.sparkContext
+    have = sc._jsc.sc().getCheckpointDir()
+    own = spark.conf.get("spark.checkpoint.dir", None)
+    if own or have.isDefined():
+        return own or have.get()
+    if not sc.master.startswith("local"):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+    return tempfile.mkdtemp(prefix="graphpart-")
+
+
 def durable(df: DataFrame) -> DataFrame:
-    """Cut lineage through the shared folder of spark.checkpoint.dir (a temporary one only where none is set)."""
+    """Cut lineage through the shared folder."""
     sc = df.sparkSession.sparkContext
     if sc._jsc.sc().getCheckpointDir().isEmpty():
-        sc.setCheckpointDir(df.sparkSession.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="graphpart-checkpoint-"))
+        sc.setCheckpointDir(shared_folder(df.sparkSession))
     return df.checkpoint(eager=True)
