@@ -23,12 +23,22 @@ MAX_TRAIN_DOCS, MAX_TRAIN_CHARS = 4000, 30_000
 SLICE_CHARS = 1 << 19
 
 
-def gram_slots(text: str) -> np.ndarray:
-    """Slots of the 2- and 3-grams of the lower-cased text, with a space before and after."""
-    c = np.frombuffer((" " + text.lower() + " ").encode("utf-32-le", "surrogatepass"), np.uint32)
+def _codes(text: str) -> np.ndarray:
+    """The lower-cased text with a space before and after, as code points."""
+    return np.frombuffer((" " + text.lower() + " ").encode("utf-32-le", "surrogatepass"), np.uint32)
+
+
+def _slots(c: np.ndarray, n: int) -> np.ndarray:
+    """Slots of the 2- and 3-grams that start at the first ``n`` code points."""
     two = c[:-1] * np.uint32(0x01000193) ^ c[1:] * np.uint32(0x9E3779B1)
     three = two[:-1] * np.uint32(0x85EBCA6B) ^ c[2:] * np.uint32(0xC2B2AE35)
-    return np.concatenate([two * np.uint32(0x27D4EB2F) >> np.uint32(32 - BITS), three * np.uint32(0x165667B1) >> np.uint32(32 - BITS)])
+    return np.concatenate([two[:n] * np.uint32(0x27D4EB2F) >> np.uint32(32 - BITS), three[:n] * np.uint32(0x165667B1) >> np.uint32(32 - BITS)])
+
+
+def gram_slots(text: str) -> np.ndarray:
+    """Slots of the 2- and 3-grams of the lower-cased text, with a space before and after."""
+    c = _codes(text)
+    return _slots(c, c.size)
 
 
 def train(pairs: list[tuple[str, str]], alpha: float = 0.5) -> tuple[list[str], np.ndarray, np.ndarray]:
@@ -58,8 +68,10 @@ def predict(texts: list[str], langs: list[str], table: np.ndarray, prior: np.nda
             score.append(0.0)
             continue
         total = prior.copy()
-        for i in range(0, len(text), SLICE_CHARS):
-            total = total + table[gram_slots(text[i : i + SLICE_CHARS])].sum(axis=0, dtype=np.int64)
+        codes = _codes(text)
+        for i in range(0, codes.size, SLICE_CHARS):  # a slice sees the two code points after it: every gram counts once
+            if codes.size - i > 1:
+                total = total + table[_slots(codes[i : i + SLICE_CHARS + 2], SLICE_CHARS)].sum(axis=0, dtype=np.int64)
         k = int(total.argmax())
         pred.append(langs[k])
         score.append(float(1 / np.exp(np.clip((total - total[k]) / UNIT, -700, 0)).sum()))

@@ -208,6 +208,33 @@ def test_language_model():
     assert langid.predict(["x"], *langid.train([]))[0] == ["und"]
 
 
+def test_long_texts_have_the_grams_of_the_whole(monkeypatch):
+    rng = np.random.default_rng(9)
+    model = langid.train([("the quick brown fox", "en"), ("der schnelle fuchs", "de")] * 5)
+    texts = ["".join(chr(97 + c) for c in rng.integers(0, 26, n)) for n in (62, 63, 64, 65, 190, 191, 192, 193, 1000)]
+    want = langid.predict(texts, *model)
+    monkeypatch.setattr(langid, "SLICE_CHARS", 64)
+    assert langid.predict(texts, *model) == want
+
+
+def test_scores_are_sparse_dot_products():
+    rng = np.random.default_rng(10)
+    w = rng.normal(size=1 << quality.BITS)
+    texts = ["One two two 3 four!", "", "x", "a b c d e f g " * 300]
+    for text, got in zip(texts, quality.scores(texts, w, 0.25), strict=True):
+        assert abs(got - quality_by_hand(text, w, 0.25)) < 1e-9
+
+
+def quality_by_hand(text, w, b):
+    words = text.split()
+    word, shape = [zlib.crc32(x.encode()) for x in words], [zlib.crc32(quality.shape_of(x).encode(), 7) >> 1 for x in words]
+    terms = [x * 3 for x in word] + [x * 5 + 1 for x in shape]
+    terms += [x * 7919 + y * 104729 + 2 for x, y in zip(word, word[1:])] + [x * 6151 + y * 24593 + 3 for x, y in zip(shape, shape[1:])]
+    terms += [4 for x, y in zip(word, word[1:]) if x == y]
+    z = b + (quality.GAIN * sum(w[(t * 0x9E3779B97F4A7C15 & (1 << 64) - 1) >> 64 - quality.BITS] for t in terms) / len(terms) if terms else 0.0)
+    return 1 / (1 + np.exp(-z))
+
+
 def test_graph_search_finds_near_lists():
     rng = np.random.default_rng(5)
     c = rng.normal(size=(80, 8))
