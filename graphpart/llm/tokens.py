@@ -137,11 +137,11 @@ CONTRACTIONS = frozenset(("'s", "'t", "'re", "'ve", "'m", "'ll", "'d"))
 
 
 class PrefixCounts(dict):
-    """Chunk -> number; ``cells[number]`` holds the exact count of each of the chunk's prefixes, the last one that of the chunk.
+    """Chunk -> the last cell of its prefixes' counts; ``chunk`` gives all cells, for the chunk that a budget ends in.
 
     A piece of a chunk (what the vocabulary's pattern cuts) is one forward pass over its bytes: the encoding of a prefix ends
     in the one token that may follow the last token of the shorter prefix before it. Which tokens may stand side by side
-    is kept in a bounded table, as are the cells of short pieces.
+    is kept in a bounded table.
     """
 
     __hash__ = object.__hash__
@@ -149,67 +149,56 @@ class PrefixCounts(dict):
     def __init__(self, vocabulary: WordVocabulary) -> None:
         super().__init__()
         self.vocabulary = vocabulary
-        self.open = {data: i for data, i in vocabulary.ranks.items() if not data.endswith(END)}
-        self.closed = {data[:-1]: i for data, i in vocabulary.ranks.items() if data.endswith(END)}
-        tails: dict[bytes, set[int]] = {}
-        for data in (*self.open, *self.closed):
-            if len(data) > 2:
-                tails.setdefault(data[-3:], set()).add(len(data))
-        self.tails = {tail: tuple(sorted(sizes, reverse=True)) for tail, sizes in tails.items()}  # lengths of tokens by their last bytes
+        open_ids = {data: i for data, i in vocabulary.ranks.items() if not data.endswith(END)}
+        closed = {data[:-1]: i for data, i in vocabulary.ranks.items() if data.endswith(END)}
+        #: bytes -> the token of them within a word and at a word's end, -1 for none; so for all that tokens end in
+        self.tokens: dict[bytes, tuple[int, int]] = {}
+        for data in open_ids.keys() | closed.keys():
+            for i in range(len(data)):
+                tail = data[i:]
+                self.tokens.setdefault(tail, (open_ids.get(tail, -1), closed.get(tail, -1)))
         self.beside: dict[int, bool] = {}
-        self.pieces: dict[str, list[int]] = {}
-        self.reset()
-
-    def reset(self) -> None:
-        self.clear()
-        self.cells: list[np.ndarray | bytes] = []
-        self.total = array("q")
 
     def trim(self) -> None:
-        if len(self.total) > MOST_CHUNKS // 2:
-            self.reset()
-        for table in (self.beside, self.pieces):
-            if len(table) > MOST_CHUNKS // 2:
-                table.clear()
+        if len(self) > MOST_CHUNKS:
+            self.clear()
+        if len(self.beside) > MOST_CHUNKS:
+            self.beside.clear()
 
     def _fits(self, left: int, right: int) -> bool:
-        key = left << 17 | right
-        known = self.beside.get(key)
-        if known is None:
-            v = self.vocabulary
-            known = self.beside[key] = v.core.encode_single_piece(v.bytes_of[left] + v.bytes_of[right]) == [left, right]
+        v = self.vocabulary
+        known = self.beside[left << 17 | right] = v.core.encode_single_piece(v.bytes_of[left] + v.bytes_of[right]) == [left, right]
         return known
 
-    def piece(self, piece: str) -> list[int]:
-        """Counts of the prefixes of 1, 2, ... characters of a piece, each closed as a word."""
-        known = self.pieces.get(piece)
-        if known is not None:
-            return known
+    def piece(self, piece: str, every: bool = True) -> list[int]:
+        """Counts of the prefixes of 1, 2, ... characters of a piece, each closed as a word; the last one alone without ``every``."""
         data = piece.encode()
-        n, opened, closed, tails, fits = len(data), self.open, self.closed, self.tails, self._fits
+        n, known, beside, fits = len(data), self.tokens.get, self.beside.get, self._fits
         last, steps = [-1] * (n + 1), [0] * (n + 1)
         out = []
         for to in range(1, n + 1):
-            ends = to == n or data[to] & 0xC0 != 0x80  # a character ends here
+            ends = to == n or every and data[to] & 0xC0 != 0x80  # a character ends here
             inner = to < n
-            sizes = tails.get(data[to - 3 : to], ()) if to > 2 else ()
-            for size in (*sizes, 2, 1):
-                lo = to - size
-                if lo < 0 or not (ends or inner):
+            for lo in range(to - 1, -1, -1):
+                found = known(data[lo:to])
+                if found is None:  # no token ends in that
+                    break
+                left = last[lo]
+                if lo and left < 0:
                     continue
-                token = data[lo:to]
-                if ends:
-                    t = closed.get(token)
-                    if t is not None and (not lo or last[lo] >= 0 and fits(last[lo], t)):
+                opened, closed = found
+                if ends and closed >= 0:
+                    ok = not lo or beside(left << 17 | closed)
+                    if ok or ok is None and fits(left, closed):
                         out.append(steps[lo] + 1)
                         ends = False
-                if inner:
-                    t = opened.get(token)
-                    if t is not None and (not lo or last[lo] >= 0 and fits(last[lo], t)):
-                        last[to], steps[to] = t, steps[lo] + 1
+                if inner and opened >= 0:
+                    ok = not lo or beside(left << 17 | opened)
+                    if ok or ok is None and fits(left, opened):
+                        last[to], steps[to] = opened, steps[lo] + 1
                         inner = False
-        if len(piece) <= LONG_CHUNK:
-            self.pieces[piece] = out
+                if not ends and not inner:
+                    break
         return out
 
     def _joined(self, pieces: list[str]) -> list[int]:
@@ -228,22 +217,26 @@ class PrefixCounts(dict):
                 total = out[-1]
         return out
 
-    def chunk(self, chunk: str) -> list[int]:
-        """Counts of the prefixes of 1, 2, ... characters of a chunk."""
+    def _pieces(self, chunk: str) -> list[str] | None:
+        """Pieces of a chunk of characters below U+0100, lower-cased; None for others."""
         try:
             chunk.encode("latin-1")
         except UnicodeEncodeError:
-            return self._of_any(chunk)
+            return None
         low = chunk.lower()
-        return self._joined([low] if low.isascii() and low.isalpha() else _PIECE.findall(low))
+        return [low] if low.isascii() and low.isalpha() else _PIECE.findall(low)
+
+    def chunk(self, chunk: str) -> list[int]:
+        """Counts of the prefixes of 1, 2, ... characters of a chunk."""
+        pieces = self._pieces(chunk)
+        return self._of_any(chunk) if pieces is None else self._joined(pieces)
 
     def _of_any(self, chunk: str) -> list[int]:
         """As ``chunk``; the library normalises and cuts. Where a prefix isn't normalised as the chunk is (a mark that joins the
         letter before), the run it ends in is encoded anew.
         """
         library = self.vocabulary.library
-        whole = library.normalizer.normalize_str(chunk)
-        parts = [span for _, span in library.pre_tokenizer.pre_tokenize_str(whole)]
+        whole, parts = self._runs(chunk)
         cells = [0, *self._joined([whole[a:b] for a, b in parts])]
         if len(cells) != len(whole) + 1:  # a character that the pattern leaves out
             return [len(library.encode(chunk[:i], add_special_tokens=False).ids) for i in range(1, len(chunk) + 1)]
@@ -267,25 +260,34 @@ class PrefixCounts(dict):
                 out.append(cells[a] + len(library.encode(whole[a:before] + tail, add_special_tokens=False).ids))
         return out
 
+    def _runs(self, chunk: str) -> tuple[str, list[tuple[int, int]]]:
+        """The chunk as the library normalises it, and the pieces it cuts that into."""
+        whole = self.vocabulary.library.normalizer.normalize_str(chunk)
+        return whole, [span for _, span in self.vocabulary.library.pre_tokenizer.pre_tokenize_str(whole)]
+
     def __missing__(self, chunk) -> int:
-        cells = [1] if type(chunk) is tuple else self.chunk(chunk)
-        k = len(self.total)
-        self.total.append(cells[-1])
-        self.cells.append(bytes(cells) if cells[-1] < 256 else np.array(cells, np.int64))
+        if type(chunk) is tuple:
+            total = 1
+        else:
+            pieces = self._pieces(chunk)
+            if pieces is None:
+                whole, spans = self._runs(chunk)
+                pieces = [whole[a:b] for a, b in spans]
+            total = sum(self.piece(p, every=False)[-1] for p in pieces)
         if len(chunk) <= LONG_CHUNK:
-            self[chunk] = k
-        return k
+            self[chunk] = total
+        return total
 
 
 class PrefixTable:
     """Exact counts of all prefixes of one text: ``count(i)`` for text[:i], ``truncate(budget)`` for the longest that fits."""
 
     def __init__(self, counts: PrefixCounts, text: str) -> None:
-        self.vocabulary, self.text = counts.vocabulary, text
+        self.counts, self.vocabulary, self.text = counts, counts.vocabulary, text
         chunks = counts.vocabulary.chunks(text)
-        numbers = np.fromiter(map(counts.__getitem__, chunks), np.int64, len(chunks))
-        self.cells = [counts.cells[k] for k in numbers.tolist()]
-        self.totals = np.concatenate([[0], np.cumsum(np.frombuffer(counts.total, np.int64)[numbers])]) if numbers.size else np.zeros(1, np.int64)
+        self.totals = np.zeros(len(chunks) + 1, np.int64)  # at the chunks' ends
+        np.cumsum(np.fromiter(map(counts.__getitem__, chunks), np.int64, len(chunks)), out=self.totals[1:])
+        self.cells = lru_cache(maxsize=4)(counts.chunk)
 
     def spans(self) -> Iterator[tuple[int, int, bool]]:
         """(start, end, special) of each chunk, in order."""
@@ -304,7 +306,7 @@ class PrefixTable:
         k = 0
         for start, end, _ in self.spans():
             if end > length:
-                return int(self.totals[k]) + (int(self.cells[k][length - start - 1]) if start < length else 0)
+                return int(self.totals[k]) + (self.cells(self.text[start:end])[length - start - 1] if start < length else 0)
             k += 1
         return int(self.totals[k])
 
@@ -314,8 +316,7 @@ class PrefixTable:
             return len(self.text)
         k = int(np.searchsorted(self.totals, budget, side="right")) - 1  # chunks that fit
         start, end, special = next(islice(self.spans(), k, None))
-        fits = [] if special else np.flatnonzero(np.array(list(self.cells[k])) <= budget - self.totals[k])
-        return start + (int(fits[-1]) + 1 if len(fits) else 0)
+        return start + max((i for i, n in enumerate([] if special else self.cells(self.text[start:end]), 1) if self.totals[k] + n <= budget), default=0)
 
 
 @lru_cache(maxsize=2)
