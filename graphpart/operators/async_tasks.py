@@ -33,7 +33,7 @@ def score_per_task(scored: DataFrame, loads: dict[int, tuple[int, int]], cap: fl
             s, _, _, best = max(key)
             s_cur = next(x[0] for x in key if x[3] == cur)
             if best != cur:
-                load = 1 if unit == "vertices" else deg
+                load = 1 if unit == "vertices" else options[0][3] if unit == "weighted_degree" else deg
                 b[at[best]] += load
                 if update == "both":
                     b[at[cur]] -= load

@@ -88,6 +88,11 @@ def runtime_by_k(spark: SparkSession, ks=(2, 32, 128), n: int = 2048, d: int = 4
     return spark.createDataFrame(rows, "k int, seconds double")
 
 
+def with_slope(timed: DataFrame, by: str) -> DataFrame:
+    """The times, and the slope of a line through them in log-log: 1 is in proportion, 0 no growth."""
+    return timed.crossJoin(F.broadcast(timed.agg(F.regr_slope(F.log("seconds"), F.log(by)).alias("slope"))))  # one row
+
+
 def graph_change(spark: SparkSession, sf_dir: str, name: str = "g_web", k: int = 8, shares=(0.005, 0.02, 0.1), max_iter: int = 16) -> DataFrame:
     """Savings and difference against a run from scratch, by share of new edges."""
     e, directed = _edges(spark, sf_dir, name)
@@ -143,8 +148,8 @@ WORKLOADS = {
     "w04_comparison": comparison,
     "w05_evolution": evolution,
     "w06_effect_of_c": lambda s, d: effect_of_c(s, d, cs=(1.02, 1.2), seeds=(1,)),
-    "w07a_runtime_by_size": lambda s, d: runtime_by_size(s).select("n"),
-    "w07c_runtime_by_k": lambda s, d: runtime_by_k(s).select("k"),
+    "w07a_runtime_by_size": lambda s, d: with_slope(runtime_by_size(s, sizes=(1024, 4096, 16384)), "n"),
+    "w07c_runtime_by_k": lambda s, d: with_slope(runtime_by_k(s), "k"),
     "w08_graph_change": lambda s, d: graph_change(s, d, shares=(0.02,)),
     "w10_label_change": lambda s, d: label_change(s, d, adds=(1,)),
     "w11_worker_balance": worker_balance,
