@@ -16,7 +16,13 @@ def validate_edges(edges: DataFrame) -> DataFrame:
 
 
 def _both_ways(edges: DataFrame) -> DataFrame:
-    return edges.select("src", "dst").union(edges.select(F.col("dst").alias("src"), F.col("src").alias("dst")))
+    """Each row in both directions, from one scan; ``side`` is 1 as written and 2 turned round. Rows with nulls and loops go."""
+    missing = {"src", "dst"} - set(edges.columns)
+    if missing:
+        raise ValueError(f"edges lack {sorted(missing)}")
+    s, d = F.col("src").cast("long"), F.col("dst").cast("long")
+    pair = lambda a, b, side: F.struct(a.alias("src"), b.alias("dst"), F.lit(side).alias("side"))
+    return edges.where(s.isNotNull() & d.isNotNull() & (s != d)).select(F.inline(F.array(pair(s, d, 1), pair(d, s, 2))))
 
 
 def to_weighted_undirected(edges: DataFrame, directed: bool = True, weights: str = "reciprocal") -> DataFrame:
@@ -25,16 +31,16 @@ def to_weighted_undirected(edges: DataFrame, directed: bool = True, weights: str
     ``weights``: reciprocal; naive (always 1); multiplicity (parallel edges are counted). Undirected input weighs 1.
     """
     if weights == "multiplicity":
-        rows = edges.select("src", "dst").where("src IS NOT NULL AND dst IS NOT NULL AND src <> dst")
-        return _both_ways(rows).groupBy("src", "dst").agg(F.count(F.lit(1)).cast("int").alias("w"))
+        return _both_ways(edges).groupBy("src", "dst").agg(F.count(F.lit(1)).cast("int").alias("w"))
     if weights == "naive" or not directed:
         return to_undirected(edges)
-    return _both_ways(validate_edges(edges)).groupBy("src", "dst").agg(F.count(F.lit(1)).cast("int").alias("w"))
+    # which directions were seen, as bits: repeats vanish in the same exchange that pairs the directions
+    return _both_ways(edges).groupBy("src", "dst").agg(F.bit_count(F.bit_or("side")).cast("int").alias("w"))
 
 
 def to_undirected(edges: DataFrame) -> DataFrame:
     """Arcs of weight 1 whatever the directions."""
-    return _both_ways(validate_edges(edges)).distinct().withColumn("w", F.lit(1))
+    return _both_ways(edges).select("src", "dst").distinct().withColumn("w", F.lit(1))
 
 
 def convert_with_cost(edges: DataFrame) -> tuple[DataFrame, DataFrame]:
@@ -69,6 +75,12 @@ def vertex_stats(arcs: DataFrame, ids: DataFrame | None = None) -> DataFrame:
     return ids.select("v").distinct().join(stats, "v", "left").select("v", F.coalesce("deg", F.lit(0)).alias("deg"), F.coalesce("wdeg", F.lit(0)).alias("wdeg"))
 
 
+def out_degrees(edges: DataFrame, verts: DataFrame) -> DataFrame:
+    """Vertices with ``odeg``, the out-edges as the input writes them."""
+    out = validate_edges(edges).groupBy(F.col("src").alias("v")).agg(F.count(F.lit(1)).alias("odeg"))
+    return verts.join(out, "v", "left").withColumn("odeg", F.coalesce("odeg", F.lit(0)))
+
+
 def degree_stats(arcs: DataFrame) -> DataFrame:
     """One row: arcs, vertices, least, mean, largest degree."""
     return vertex_stats(arcs).agg(

@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 
 from graphpart.operators import convert, migrate, scores
 from graphpart.operators import state as st
-from graphpart.session import durable
+from graphpart.session import durable, durable_as_dealt, release
 
 
 @dataclass
@@ -72,6 +72,8 @@ class PartitionResult:
     vertices: DataFrame
     flows: list[dict] = field(default_factory=list)
     halted_at: int | None = None
+    loads: list[dict[int, int]] = field(default_factory=list)
+    bounds: list[dict] = field(default_factory=list)
 
     @property
     def iterations(self) -> int:
@@ -90,6 +92,15 @@ class PartitionResult:
         schema = "t int, from_label int, to_label int, load long"
         return spark.createDataFrame([(f["t"], f["from_label"], f["to_label"], f["load"]) for f in self.flows], schema)
 
+    def loads_frame(self, spark: SparkSession) -> DataFrame:
+        """(t, label, b): the load of each label before iteration t + 1."""
+        return spark.createDataFrame([(t, i, int(b)) for t, row in enumerate(self.loads) for i, b in sorted(row.items())], "t int, label int, b long")
+
+    def bounds_frame(self, spark: SparkSession) -> DataFrame:
+        """(t, label, r, n, dmin, dmax, sum_deg2): free capacity and candidates of each label that was asked for; with record_flows."""
+        names = ("t", "label", "r", "n", "dmin", "dmax", "sum_deg2")
+        return spark.createDataFrame([tuple(x[n] for n in names) for x in self.bounds], "t int, label int, r double, n long, dmin long, dmax long, sum_deg2 long")
+
     def register_views(self, spark: SparkSession, prefix: str = "blp") -> None:
         self.labels.createOrReplaceTempView(f"{prefix}_labels")
         st.partition_loads(self.labels.join(self.vertices, "v")).createOrReplaceTempView(f"{prefix}_loads")
@@ -119,14 +130,22 @@ def partition(
     halting: Callable | None = None,
     vertices: DataFrame | None = None,
     record_flows: bool = False,
+    capacity_weights: dict[int, float] | None = None,
+    penalised: bool = True,
 ) -> PartitionResult:
-    """Partition a graph's vertices into k labels of about even load with many edges inside a label."""
+    """Partition a graph's vertices into k labels of about even load with many edges inside a label.
+
+    capacity_weights gives labels uneven shares of the load; penalised=False leaves the fill out of the score.
+    """
     arcs = durable(convert.to_weighted_undirected(edges, directed, weights))
-    verts = durable(convert.vertex_stats(arcs, vertices))
+    verts = convert.vertex_stats(arcs, vertices)
+    if unit == "out_degree":
+        verts = convert.out_degrees(edges, verts) if directed else verts.withColumn("odeg", F.col("deg"))
+    verts = durable(verts)
     labels = st.init_random(verts, k, seed, provider)
     return run_loop(
         arcs, verts, labels, list(range(k)), c=c, seed=seed, max_iter=max_iter, unit=unit, provider=provider, candidate_set=candidate_set, throttle=throttle, hist_mode=hist_mode,
-        async_mode=async_mode, batches=batches, async_update=async_update, halting=halting or SteadyState(eps, patience, eps_mode), record_flows=record_flows,
+        async_mode=async_mode, batches=batches, async_update=async_update, halting=halting or SteadyState(eps, patience, eps_mode), record_flows=record_flows, capacity_weights=capacity_weights, penalised=penalised,
     )
 
 
@@ -150,32 +169,56 @@ def run_loop(
     halting: Callable | None = None,
     active: DataFrame | None = None,
     record_flows: bool = False,
+    capacity_weights: dict[int, float] | None = None,
+    penalised: bool = True,
+    hub: int = scores.HUB,
 ) -> PartitionResult:
-    """The loop from given labels. ``active`` (v) restricts who may move; neighbours of movers join it."""
+    """The loop from given labels. ``active`` (v) restricts who may move; neighbours of movers join it.
+
+    Files of histograms and states that no later iteration reads are deleted on the way.
+    """
     spark = arcs.sparkSession
     halting = halting or SteadyState()
     k = len(label_set)
-    state = durable(verts.join(labels, "v").select("v", "label", "deg", "wdeg"))
-    top = state.agg(F.sum(st.load_of(unit)).alias("total"), F.max(st.load_of(unit)).alias("most"), F.count(F.lit(1)).alias("n"), F.sum("deg").alias("arcs")).first()
+    if (capacity_weights or not penalised or unit == "out_degree") and async_mode in ("per_task", "sequential"):
+        raise ValueError("uneven capacities, out-degrees and scores without penalty need async_mode none or batched")
+    if active is not None and async_mode == "sequential":
+        raise ValueError("the sequential mode sweeps all vertices")
+    stats = ["deg", "wdeg", *(["odeg"] if unit == "out_degree" else [])]
+    state = durable(verts.join(labels, "v").select("v", "label", *stats))
+    top = state.agg(F.sum(st.load_of(unit)).alias("total"), F.max(st.load_of(unit)).alias("most"), F.max("deg").alias("deg"), F.count(F.lit(1)).alias("n"), F.sum("deg").alias("arcs")).first()
     total, n_vertices, n_arcs = top["total"] or 0, top["n"], top["arcs"] or 0
-    cap = st.capacity(total, k, c)
+    caps = st.capacities(total, label_set, c, capacity_weights)
+    cap = max(caps.values())
+    arcs = durable_as_dealt(scores.lay_out(arcs, verts, top["deg"] or 0, hub))
     if total and top["most"] > cap:
         warnings.warn(f"the largest vertex ({top['most']}) exceeds the capacity ({cap:.1f}): no labelling can keep the balance", stacklevel=3)
-    history, flows, messages, migrated = [], [], 0, None
+    history, flows, seen, asked_of, messages, migrated = [], [], [], [], 0, None
     hist = best = moves = None
+    stale = []
     n_cand, migrate_s, t = 0, 0.0, 0
     while True:
         began = time.time()
         if hist is None or hist_mode == "rebuild":
-            hist = durable(scores.build_hist(arcs, state))
+            stale += [hist] if hist is not None else []
+            hist = durable(scores.build_hist(arcs, state, hub))
         elif migrated:
-            hist = durable(scores.apply_delta(hist, scores.hist_delta(arcs, moves)))
+            stale.append(hist)
+            hist = durable(scores.apply_delta(hist, scores.hist_delta(arcs, moves, hub)))
+        # the new histogram and state stand in files, so nothing can ask for the ones before
+        while stale:
+            release(stale.pop())
         # one job: loads, and arcs inside a label
         by_label = state.join(hist.select("v", "label", F.col("n").alias("inside")), ["v", "label"], "left").groupBy("label")
         rows = by_label.agg(F.sum(st.load_of(unit)).alias("b"), F.count(F.lit(1)).alias("n"), F.sum("inside").alias("inside")).collect()
         loads = {i: (0, 0) for i in label_set} | {r["label"]: (r["b"], r["n"]) for r in rows}
         local = sum(r["inside"] or 0 for r in rows)
-        loads_df = spark.createDataFrame([(i, int(b), int(n)) for i, (b, n) in sorted(loads.items())], "label int, b long, n long")
+        seen.append({i: b for i, (b, _) in loads.items()})
+        if capacity_weights or not penalised:
+            # loads as they weigh in the score: in proportion to the label's own capacity, or not at all
+            loads_df = spark.createDataFrame([(i, b * cap / caps[i] if penalised else 0.0, int(n)) for i, (b, n) in sorted(loads.items())], "label int, b double, n long")
+        else:
+            loads_df = spark.createDataFrame([(i, int(b), int(n)) for i, (b, n) in sorted(loads.items())], "label int, b long, n long")
         scored = scores.score_balanced(hist, state, loads_df, cap, candidate_set)
         if best is not None:
             best.unpersist()
@@ -189,24 +232,32 @@ def run_loop(
         chosen = best
         if active is not None:
             chosen = best.join(active.withColumn("_on", F.lit(1)), "v", "left").withColumn("best", F.when(F.col("_on") == 1, F.col("best")).otherwise(F.col("cur"))).drop("_on")
-        if unit == "weighted_degree":
-            chosen = chosen.join(verts.select("v", "wdeg"), "v")
+        if unit in ("weighted_degree", "out_degree"):
+            chosen = chosen.join(verts.select("v", st.UNITS[unit]), "v")
         asks = F.col("best") != F.col("cur")
         asked = {r["best"]: r for r in chosen.groupBy("best").agg(F.sum("s_cur").alias("s"), F.sum(F.when(asks, st.load_of(unit))).alias("m"), F.count_if(asks).alias("n")).collect()}
         score = sum(r["s"] or 0.0 for r in asked.values())
         most = max(b for b, _ in loads.values())
+        fullest = max(b * c / caps[i] for i, (b, _) in loads.items()) if capacity_weights and total else most * k / total if total else 1.0
         history.append({
-            "t": t, "phi": local / n_arcs if n_arcs else 1.0, "rho": most * k / total if total else 1.0, "score": score, "candidates": n_cand, "migrated": migrated or 0,
+            "t": t, "phi": local / n_arcs if n_arcs else 1.0, "rho": fullest, "score": score, "candidates": n_cand, "migrated": migrated or 0,
             "messages": messages, "compute_s": time.time() - began, "migrate_s": migrate_s, "max_load": most,
         })
         if halting(score, n_vertices, migrated) or t >= max_iter:
             break
         t += 1
         began = time.time()
+        if record_flows:
+            asked_of += [r.asDict() | {"t": t, "r": caps[r["label"]] - loads[r["label"]][0]} for r in migrate.candidate_loads(migrate.candidates(chosen), unit).collect()]
         if async_mode == "batched":
-            new, n_cand = _batched(chosen, migrate.candidates(chosen), loads, cap, unit, seed, t, provider, throttle, batches)
+            new, n_cand = _batched(chosen, migrate.candidates(chosen), loads, caps, unit, seed, t, provider, throttle, batches)
+        elif async_mode == "sequential":
+            from graphpart.operators.async_tasks import sweep
+
+            new = sweep(arcs, state, loads, cap, unit, n_arcs).persist()
+            n_cand = new.where("asked").count()
         else:
-            p = {i: migrate.migration_probability(cap - loads[i][0], r["m"], throttle) for i, r in asked.items() if r["n"]}
+            p = {i: migrate.migration_probability(caps[i] - loads[i][0], r["m"], throttle) for i, r in asked.items() if r["n"]}
             n_cand = sum(r["n"] for r in asked.values())
             new = migrate.migrate(chosen, p, seed, t, provider)
         if moves is not None:
@@ -217,24 +268,30 @@ def run_loop(
         if record_flows:
             flows += [r.asDict() | {"t": t} for r in moves.groupBy(F.col("old").alias("from_label"), F.col("new").alias("to_label")).agg(F.sum("deg").alias("load")).collect()]
         if migrated:
-            state = durable(state.join(moves.select("v", "new"), "v", "left").select("v", F.coalesce("new", "label").alias("label"), "deg", "wdeg"))
+            stale.append(state)
+            state = durable(state.join(moves.select("v", "new"), "v", "left").select("v", F.coalesce("new", "label").alias("label"), *stats))
             if active is not None:
                 near = arcs.join(moves.select(F.col("v").alias("src")), "src", "left_semi").select(F.col("dst").alias("v"))
                 active = durable(active.union(near).distinct())
         migrate_s = time.time() - began
-    return PartitionResult(state.select("v", "label"), history, k, cap, label_set, verts, flows, getattr(halting, "halted_at", None))
+    for x in (best, moves):
+        if x is not None:
+            x.unpersist()
+    release(hist)
+    release(arcs)
+    return PartitionResult(state.select("v", "label"), history, k, cap, label_set, verts, flows, getattr(halting, "halted_at", None), seen, asked_of)
 
 
-def _batched(best, cands, loads, cap, unit, seed, t, provider, throttle, batches):
+def _batched(best, cands, loads, caps, unit, seed, t, provider, throttle, batches):
     """Hash batches inside an iteration: each batch's probabilities see the loads after the batches before."""
-    load = st.load_of(unit) if unit != "weighted_degree" else F.col("wdeg")
+    load = st.load_of(unit)
     b = {i: x for i, (x, _) in loads.items()}
     n_cand, parts = 0, []
     for j in range(batches):
         part = cands.where(F.pmod(F.xxhash64("v", F.lit(t)), F.lit(batches)) == j)
         m = {r["label"]: r for r in migrate.candidate_loads(part, unit).collect()}
         n_cand += sum(r["n"] for r in m.values())
-        p = {i: migrate.migration_probability(cap - b[i], r["m"], throttle) for i, r in m.items()}
+        p = {i: migrate.migration_probability(caps[i] - b[i], r["m"], throttle) for i, r in m.items()}
         new = migrate.migrate(part, p, seed, t, provider)
         for r in new.where("new <> cur").groupBy("cur", "new").agg(F.sum(load).alias("x")).collect():
             b[r["cur"]] -= r["x"]

@@ -16,7 +16,7 @@ def candidates(best: DataFrame) -> DataFrame:
 
 def candidate_loads(cands: DataFrame, unit: str = "degree") -> DataFrame:
     """(label, m, n, dmin, dmax, sum_deg2) of the candidates for each label."""
-    load = load_of(unit) if unit != "weighted_degree" else F.col("wdeg")
+    load = load_of(unit)
     return cands.groupBy(F.col("best").alias("label")).agg(
         F.sum(load).alias("m"), F.count(F.lit(1)).alias("n"), F.min(load).alias("dmin"), F.max(load).alias("dmax"), F.sum(load * load).alias("sum_deg2")
     )

@@ -12,14 +12,40 @@ from pyspark.sql import functions as F
 from graphpart.functions.draws import draw
 
 
-def build_hist(arcs: DataFrame, labels: DataFrame) -> DataFrame:
-    pushed = arcs.join(labels.select(F.col("v").alias("src"), "label"), "src")
+#: arcs of one vertex that one task holds at most
+HUB = 1_000_000
+
+
+def lay_out(arcs: DataFrame, verts: DataFrame, most: int, hub: int = HUB) -> DataFrame:
+    """Arcs dealt once by their source, so that no iteration exchanges them again; the arcs of a hub lie in several parts.
+
+    ``most`` is the largest degree. With hubs, arcs carry ``part``; what a hub tells goes to each of its parts.
+    """
+    n = int(arcs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    if most <= hub:
+        return arcs.repartition(n, "src")
+    parts = verts.where(F.col("deg") > hub).select(F.col("v").alias("src"), F.ceil(F.col("deg") / F.lit(hub)).alias("parts"))
+    part = F.coalesce(F.pmod(F.xxhash64("dst"), F.col("parts")), F.lit(0)).cast("int")
+    return arcs.join(parts, "src", "left").select("src", "dst", "w", part.alias("part")).repartition(n, "src", "part")
+
+
+def _along(told: DataFrame, arcs: DataFrame, hub: int = HUB) -> DataFrame:
+    """What vertices (v, deg, ...) tell, on each of their arcs."""
+    told = told.withColumnRenamed("v", "src")
+    if "part" not in arcs.columns:
+        return arcs.join(told.drop("deg"), "src")
+    last = F.greatest(F.ceil(F.col("deg") / F.lit(hub)), F.lit(1)) - 1
+    return arcs.join(told.withColumn("part", F.explode(F.sequence(F.lit(0), last.cast("int")))).drop("deg"), ["src", "part"])
+
+
+def build_hist(arcs: DataFrame, labels: DataFrame, hub: int = HUB) -> DataFrame:
+    pushed = _along(labels.select("v", "label", *(["deg"] if "part" in arcs.columns else [])), arcs, hub)
     return pushed.groupBy(F.col("dst").alias("v"), "label").agg(F.sum("w").alias("h"), F.count(F.lit(1)).alias("n"))
 
 
-def hist_delta(arcs: DataFrame, moves: DataFrame) -> DataFrame:
-    """What movers (v, old, new) change in their neighbours' histograms."""
-    told = moves.select(F.col("v").alias("src"), "old", "new").join(arcs, "src")
+def hist_delta(arcs: DataFrame, moves: DataFrame, hub: int = HUB) -> DataFrame:
+    """What movers (v, old, new; deg where arcs lie in parts) change in their neighbours' histograms."""
+    told = _along(moves.select("v", "old", "new", *(["deg"] if "part" in arcs.columns else [])), arcs, hub)
     rows = told.select(F.col("dst").alias("v"), F.inline(F.array(F.struct(F.col("old").alias("label"), (-F.col("w")).alias("h"), F.lit(-1).alias("n")), F.struct(F.col("new").alias("label"), F.col("w").alias("h"), F.lit(1).alias("n")))))
     return rows.groupBy("v", "label").agg(F.sum("h").alias("h"), F.sum("n").alias("n")).where("n <> 0 OR h <> 0")
 

@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from graphpart.functions.draws import draw
 
-UNITS = {"degree": "deg", "weighted_degree": "wdeg", "vertices": None}
+UNITS = {"degree": "deg", "weighted_degree": "wdeg", "out_degree": "odeg", "vertices": None}
 
 
 def load_of(unit: str):
@@ -87,6 +87,16 @@ def capacity(total: float, k: int, c: float = 1.05) -> float:
     return c * total / k
 
 
+def capacities(total: float, label_set: list[int], c: float = 1.05, weights: dict[int, float] | None = None) -> dict[int, float]:
+    """The capacity of each label: even, or in proportion to positive ``weights`` of all labels."""
+    if weights is None:
+        return dict.fromkeys(label_set, capacity(total, len(label_set), c))
+    if set(weights) != set(label_set) or min(weights.values()) <= 0:
+        raise ValueError("capacity_weights needs a positive weight for every label")
+    whole = sum(weights.values())
+    return {i: capacity(total, 1, c) * weights[i] / whole for i in label_set}
+
+
 def penalty(loads: DataFrame, cap: float) -> DataFrame:
     """(label, pi): the fill of each label; over 1 where it is overfull."""
     return loads.select("label", (F.col("b").cast("double") / F.lit(cap)).alias("pi"))

@@ -34,6 +34,30 @@ def shared_folder(spark: SparkSession) -> str:
     return tempfile.mkdtemp(prefix="graphpart-")
 
 
+def release(df: DataFrame) -> None:
+    """Delete the files of a frame made by ``durable`` that nothing reads any more."""
+    rdd = df._jdf.queryExecution().logical().rdd()
+    path = rdd.getCheckpointFile()
+    if path.isDefined():
+        jvm = df.sparkSession.sparkContext._jvm
+        at = jvm.org.apache.hadoop.fs.Path(path.get())
+        at.getFileSystem(df.sparkSession.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
+
+
+def durable_as_dealt(df: DataFrame) -> DataFrame:
+    """``durable`` for a frame that ends in a repartition: the result knows how it is dealt, so joins on its keys need no exchange of it.
+
+    An adaptive plan forgets its partitioning, so this one job is planned without.
+    """
+    conf = df.sparkSession.conf
+    adaptive = conf.get("spark.sql.adaptive.enabled")
+    conf.set("spark.sql.adaptive.enabled", "false")
+    try:
+        return durable(df.select("*"))
+    finally:
+        conf.set("spark.sql.adaptive.enabled", adaptive)
+
+
 def durable(df: DataFrame) -> DataFrame:
     """Cut lineage through the shared folder."""
     sc = df.sparkSession.sparkContext

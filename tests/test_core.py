@@ -2,13 +2,15 @@
 
 import collections
 import math
+import os
 
 import pytest
 from pyspark.sql import functions as F
 
-from graphpart.operators import adapt, apps, baselines, bounds, convert, metrics, migrate, scores
+from graphpart.operators import adapt, apps, baselines, bounds, convert, engine, metrics, migrate, scores
 from graphpart.operators import state as st
 from graphpart.operators.engine import FixedIterations, SteadyState, partition
+from graphpart.session import durable, durable_as_dealt, release
 from graphpart.sources import graphs
 
 F1 = [(1, 2), (2, 1), (1, 3), (2, 3)]
@@ -155,3 +157,96 @@ def test_applications(spark):
     assert sorted((r.v, r.dist) for r in apps.sssp(e, 1).collect()) == [(1, 0), (2, 1), (3, 2)]
     assert {(r.v, r.component) for r in apps.wcc(e).collect()} == {(1, 1), (2, 1), (3, 1), (5, 5), (6, 5)}
     assert apps.pagerank(e, 3).agg(F.sum("rank")).first()[0] == pytest.approx(1)
+
+
+def rows_of(df):
+    return sorted(tuple(r) for r in df.collect())
+
+
+def test_hubs_in_parts_change_nothing(spark):
+    e = edges(spark, [(0, i) for i in range(1, 40)] + [(i, i % 39 + 1) for i in range(1, 40)])
+    arcs = convert.to_weighted_undirected(e)
+    verts = convert.vertex_stats(arcs)
+    labels = st.init_random(verts, 3)
+    plain = engine.run_loop(arcs, verts, labels, [0, 1, 2], halting=FixedIterations(3))
+    parts = engine.run_loop(arcs, verts, labels, [0, 1, 2], halting=FixedIterations(3), hub=5)
+    assert rows_of(plain.labels) == rows_of(parts.labels)
+    laid = scores.lay_out(arcs, verts, 41, 5)
+    assert laid.count() == arcs.count() and laid.where("src = 0").select("part").distinct().count() > 3
+
+
+def test_no_iteration_exchanges_arcs(spark):
+    e = graphs.small_world(spark, 200, 4, 0.3)
+    arcs = convert.to_weighted_undirected(e)
+    verts = convert.vertex_stats(arcs)
+    laid = durable_as_dealt(scores.lay_out(arcs, verts, 100))
+    before = {key: spark.conf.get(key) for key in ("spark.sql.autoBroadcastJoinThreshold", "spark.sql.adaptive.enabled")}
+    try:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+        spark.conf.set("spark.sql.adaptive.enabled", "false")
+        plan = scores.build_hist(laid, durable(st.init_random(verts, 3)))._jdf.queryExecution().executedPlan().toString()
+    finally:
+        for key, x in before.items():
+            spark.conf.set(key, x)
+    lines = plan.splitlines()
+    at = next(i for i, line in enumerate(lines) if "Scan ExistingRDD[src" in line)
+    above = []  # operators between the arcs and the join
+    for line in reversed(lines[:at]):
+        if "Join" in line:
+            break
+        above.append(line)
+    assert not any("Exchange" in line for line in above), plan
+
+
+def test_old_files_are_released(spark):
+    df = durable(spark.range(10))
+    path = df._jdf.queryExecution().logical().rdd().getCheckpointFile().get().removeprefix("file:")
+    assert os.path.isdir(path)
+    release(df)
+    assert not os.path.exists(path)
+
+
+def test_uneven_capacities(spark):
+    e = graphs.small_world(spark, 300, 4, 0.3)
+    r = partition(e, 3, max_iter=5, capacity_weights={0: 2.0, 1: 1.0, 2: 1.0})
+    last = r.loads[-1]
+    assert sum(last.values()) == r.vertices.agg(F.sum("deg")).first()[0]
+    assert last[0] > 1.5 * max(last[1], last[2])
+    even = partition(e, 3, halting=FixedIterations(1))
+    same = partition(e, 3, halting=FixedIterations(1), capacity_weights={0: 1.0, 1: 1.0, 2: 1.0})
+    assert rows_of(even.labels) == rows_of(same.labels)
+    with pytest.raises(ValueError):
+        partition(e, 3, max_iter=1, capacity_weights={0: 1.0})
+
+
+def test_out_degree_loads(spark):
+    r = partition(edges(spark, [(1, 2), (1, 3), (2, 3), (4, 1)]), 2, unit="out_degree", max_iter=1)
+    assert {x.v: x.odeg for x in r.vertices.collect()} == {1: 2, 2: 1, 3: 0, 4: 1}
+    assert sum(r.loads[0].values()) == 4
+
+
+def test_sequential_sweep_equals_a_plain_one(spark):
+    e = [(1, 2), (2, 3), (3, 1), (3, 4), (4, 5), (5, 6), (6, 4), (7, 6), (8, 7), (8, 1)]
+    r = partition(edges(spark, e), 2, c=1.2, halting=FixedIterations(1), async_mode="sequential", seed=3)
+    near = collections.defaultdict(dict)
+    for a, b in e:
+        near[a][b] = near[b][a] = 1
+    verts = spark.createDataFrame([(v,) for v in near], "v long")
+    label = {x.v: x.label for x in st.init_random(verts, 2, 3).collect()}
+    cap = 1.2 * 20 / 2
+    load = {j: sum(len(near[v]) for v in near if label[v] == j) for j in (0, 1)}
+    for v in sorted(near):
+        s = {j: sum(1 for u in near[v] if label[u] == j) / len(near[v]) - load[j] / cap for j in (0, 1)}
+        to = max(s, key=lambda j: (s[j], j == label[v], -j))
+        if to != label[v] and load[to] + len(near[v]) <= cap:
+            load[label[v]] -= len(near[v])
+            load[to] += len(near[v])
+            label[v] = to
+    assert {x.v: x.label for x in r.labels.collect()} == label
+
+
+def test_without_penalty_is_label_counting(spark):
+    arcs, labels, state = f2(spark)
+    r = engine.run_loop(arcs, convert.vertex_stats(arcs), labels, [0, 1], halting=FixedIterations(1), throttle="none", penalised=False)
+    want = {1: 0, 2: 0, 3: 0, 4: 1, 5: 1, 6: 1}
+    assert {x.v: x.label for x in r.labels.collect()} == want
