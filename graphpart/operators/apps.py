@@ -80,6 +80,18 @@ def app_messages(edges: DataFrame, labels: DataFrame) -> DataFrame:
     return with_labels(convert.validate_edges(edges), labels).agg(F.count(F.lit(1)).alias("messages"), F.count_if(F.col("src_label") != F.col("dst_label")).alias("remote"))
 
 
+def messages_of(app: str, edges: DataFrame, labels: DataFrame, result: DataFrame | None = None) -> DataFrame:
+    """One row: messages of an application's run, and those that leave a label.
+
+    pagerank: one message an edge and step (a step's count). sssp: a vertex tells its out-neighbours once, when it is
+    reached (``result`` holds those reached). wcc: one message an arc and round (a round's count).
+    """
+    sent = convert.to_undirected(edges).select("src", "dst") if app == "wcc" else convert.validate_edges(edges)
+    if app == "sssp":
+        sent = sent.join(result.select(F.col("v").alias("src")), "src", "left_semi")
+    return with_labels(sent, labels).agg(F.count(F.lit(1)).alias("messages"), F.count_if(F.col("src_label") != F.col("dst_label")).alias("remote"))
+
+
 def worker_load(edges: DataFrame, labels: DataFrame, steps: int = 20) -> DataFrame:
     """(step, label, work): edges scanned and messages received by each label's vertices in each PageRank superstep."""
     m = with_labels(convert.validate_edges(edges), labels)

@@ -274,17 +274,26 @@ def _grow_and_refine(weight: dict[int, int], near: dict[int, dict[int, int]], k:
 
 
 def _on_driver(nodes: DataFrame, arcs: DataFrame) -> tuple[dict[int, int], dict[int, dict[int, int]]]:
-    n = arcs.count()
+    n = max(arcs.count(), nodes.count())
     if n > MOST_COARSE:
-        raise ValueError(f"the coarse graph has {n} arcs, over the driver's limit of {MOST_COARSE}")
+        raise ValueError(f"the coarse graph has {n} arcs or nodes, over the driver's limit of {MOST_COARSE}")
     near: dict[int, dict[int, int]] = defaultdict(dict)
     for r in arcs.collect():
         near[r["src"]][r["dst"]] = int(r["w"])
     return {r["v"]: int(r["weight"]) for r in nodes.collect()}, near
 
 
+def _refine_in_spark(nodes: DataFrame, arcs: DataFrame, labels: DataFrame, k: int, imbalance: float, seed: int, passes: int = 4) -> DataFrame:
+    """Refinement of a level that doesn't fit on the driver: throttled moves of positive gain, node weights as loads."""
+    from graphpart.operators.engine import FixedIterations, run_loop
+
+    strength = arcs.groupBy(F.col("src").alias("v")).agg(F.sum("w").alias("wdeg"))
+    verts = durable(nodes.join(strength, "v", "left").select("v", F.col("weight").alias("deg"), F.coalesce("wdeg", F.lit(0)).alias("wdeg")))
+    return run_loop(arcs, verts, labels, list(range(k)), c=imbalance, seed=seed, halting=FixedIterations(passes)).labels
+
+
 def multilevel_partition(edges: DataFrame, k: int, imbalance: float = 1.03, directed: bool = True, seed: int = 42, coarse_target: int | None = None, unit: str = "degree") -> DataFrame:
-    """Coarsen by heavy-edge matching in Spark, partition the coarse graph on the driver, project back and refine while it fits there."""
+    """Coarsen by heavy-edge matching in Spark, partition the coarse graph on the driver, project back and refine each level, in Spark where it doesn't fit on the driver."""
     arcs = durable(convert.to_weighted_undirected(edges, directed))
     nodes = durable(convert.vertex_stats(arcs).select("v", st.load_of(unit).alias("weight")))
     levels, target, n = [], coarse_target or max(20 * k, 2000), nodes.count()
@@ -307,6 +316,8 @@ def multilevel_partition(edges: DataFrame, k: int, imbalance: float = 1.03, dire
             weight, near = _on_driver(fine_nodes, fine_arcs)
             label = _grow_and_refine(weight, near, k, limit, {r["v"]: r["label"] for r in frame.collect()})
             frame = spark.createDataFrame(list(label.items()), "v long, label int")
+        else:
+            frame = _refine_in_spark(fine_nodes, fine_arcs, frame, k, imbalance, seed)
     return frame
 
 

@@ -32,6 +32,14 @@ def overflow_rate(result: PartitionResult) -> float:
     return sum(over) / len(over) if over else 0.0
 
 
+def overflow_frequency(spark, result: PartitionResult, eps: float) -> DataFrame:
+    """(t, label, r, b, over, beyond, bound) of a run with record_flows: the load after iteration t, whether it exceeds the capacity, and the capacity by eps times what was free, beside the bound on that."""
+    after = result.loads_frame(spark).join(result.bounds_frame(spark), ["t", "label"])
+    cap = F.lit(float(result.capacity))
+    bound = overflow_bound_sum_column(F.col("sum_deg2"), F.col("r"), eps)
+    return after.select("t", "label", F.round("r", 6).alias("r"), "b", (F.col("b") > cap).alias("over"), (F.col("b") > cap + F.lit(eps) * F.col("r")).alias("beyond"), F.round(bound, 6).alias("bound"))
+
+
 def flow_matrix(flows: DataFrame, loads: DataFrame) -> DataFrame:
     """(t, from_label, to_label, x): row-stochastic transfer of loads (t, label, b), what stays on the diagonal."""
     out = flows.groupBy("t", "from_label").agg(F.sum("load").alias("out"))

@@ -184,6 +184,8 @@ ORACLE["plain_lpa_t3"] = _plain_sql(3)
 for _name in ("g_cust_supp", "g_events", "g_web", "g_doc", "g_conv"):
     query(f"blp_full_{_name[2:]}")(lambda s, d, g=_name: partition(_graph(g)(s, d), K, directed=g in graphs.DIRECTED, max_iter=200 if g in TO_HALT else FULL).history_frame(s).select("t", "phi", "rho", "score", "migrated", "messages"))
 query("blp_async_per_task")(lambda s, d: partition(_graph("g_web")(s, d), K, async_mode="per_task", max_iter=FULL // 2).history_frame(s).select("t", "phi", "rho", "migrated"))
+query("blp_sequential")(lambda s, d: partition(_graph("g_web")(s, d), K, async_mode="sequential", max_iter=FULL // 2).history_frame(s).select("t", "phi", "rho", "migrated"))
+query("blp_uneven_capacities")(lambda s, d: partition(_graph("g_web")(s, d), K, capacity_weights={i: 2.0 if i < 2 else 1.0 for i in range(K)}, max_iter=FULL // 2).history_frame(s).select("t", "phi", "rho", "migrated"))
 query("blp_batched")(lambda s, d: partition(_graph("g_web")(s, d), K, async_mode="batched", max_iter=FULL // 2).history_frame(s).select("t", "phi", "rho", "migrated"))
 
 # -- change
@@ -320,10 +322,54 @@ query("idle_fraction", _L3.sql(f"SELECT round(1 - avg(w) / max(w), 6) AS idle FR
     lambda s, d: metrics.idle_fraction(apps.worker_load(*_l3(s, d))).select("idle")
 )
 query("app_messages", _L3.sql(f"SELECT count(*) AS messages, count(*) FILTER (WHERE src_label <> dst_label) AS remote FROM ({_MARKED})"))(lambda s, d: apps.app_messages(*_l3(s, d)))
-query("flow_matrix")(
+query(
+    "flow_matrix",
+    _LOOP.sql(
+        """SELECT CAST(1 AS INTEGER) AS t, f.from_label, f.to_label, round(CAST(f.x AS DOUBLE) / b.b, 6) AS x
+FROM (SELECT a.label AS from_label, c.label AS to_label, sum(deg) AS x FROM lab0 a JOIN lab1 c USING (v) JOIN verts USING (v) WHERE a.label <> c.label GROUP BY 1, 2) f JOIN (SELECT label, sum(deg) AS b FROM lab0 JOIN verts USING (v) GROUP BY label) b ON b.label = f.from_label
+UNION ALL SELECT 1, a.label, a.label, round(CAST(sum(CASE WHEN a.label = c.label THEN deg ELSE 0 END) AS DOUBLE) / sum(deg), 6) FROM lab0 a JOIN lab1 c USING (v) JOIN verts USING (v) GROUP BY a.label"""
+    ),
+)(
     lambda s, d: (r := blp(s, d, "g_events", 3, record_flows=True)) and bounds.flow_matrix(r.flows_frame(s).where("t = 1"), st.partition_loads(_pieces(s, d)["state"]).withColumn("t", F.lit(1)))
 )
 
+
+
+def _loads_sql(t: int) -> str:
+    return f"SELECT ids.label, CAST(coalesce(sum(deg), 0) AS BIGINT) AS b FROM ids LEFT JOIN lab{t} l ON l.label = ids.label LEFT JOIN verts USING (v) GROUP BY ids.label"
+
+
+def _distance_sql(t: int) -> str:
+    return f"SELECT {t} AS t, max(abs(b - total / {K}.0)) / (SELECT max(b) FROM ({_loads_sql(0)})) AS d FROM ({_loads_sql(t)}) CROSS JOIN cap"
+
+
+_DISTANCES = " UNION ALL ".join(_distance_sql(t) for t in range(4))
+
+
+def _distances(s: SparkSession, d: str) -> list[float]:
+    return bounds.load_distance([list(map(float, x.values())) for x in blp(s, d, "g_events", 3).loads])
+
+
+query("load_history", _L3.sql(" UNION ALL ".join(f"SELECT {t} AS t, label, b FROM ({_loads_sql(t)})" for t in range(4))))(lambda s, d: blp(s, d, "g_events", 3).loads_frame(s))
+query("load_distance", _L3.sql(f"SELECT t, round(d, 6) AS distance FROM ({_DISTANCES})"))(lambda s, d: s.createDataFrame([(t, round(x, 6)) for t, x in enumerate(_distances(s, d))], "t int, distance double"))
+query("load_decay", _L3.sql(f"SELECT round(exp(regr_slope(ln(d), t)), 6) AS mu FROM ({_DISTANCES}) WHERE d > 0"))(lambda s, d: s.createDataFrame([(round(bounds.decay_fit(_distances(s, d)), 6),)], "mu double"))
+query("flow_connectivity")(
+    lambda s, d: (r := blp(s, d, "g_events", 3, record_flows=True)) and s.createDataFrame([(b, bounds.is_b_connected(r.flows, r.label_set, b)) for b in (1, 2, 3)], "span int, connected boolean")
+)
+query(
+    "overflow_frequency",
+    _L3.sql(
+        " UNION ALL ".join(
+            f"""SELECT {t} AS t, p.label, round(p.r, 6) AS r, l.b, l.b > cap.c AS over, l.b > cap.c + 0.2 * p.r AS beyond, round(exp(-2 * power(0.2 * p.r, 2) / q.q), 6) AS bound
+FROM p{t} p JOIN ({_loads_sql(t)}) l USING (label) JOIN (SELECT best AS label, sum(deg * deg) AS q FROM best{t} WHERE best <> cur GROUP BY best) q USING (label) CROSS JOIN cap"""
+            for t in (1, 2, 3)
+        )
+    ),
+)(lambda s, d: bounds.overflow_frequency(s, blp(s, d, "g_events", 3, record_flows=True), 0.2))
+query("within_slack", _L3.sql(f"SELECT round((max(b) * {K}.0 / sum(b) - 1) * 100, 4) AS unbalance_percent, max(b) * {K}.0 / sum(b) <= 1.05 AS within FROM ({_loads_sql(3)})"))(
+    lambda s, d: (x := metrics.within_slack(blp(s, d, "g_events", 3).history[-1]["rho"], 1.05)) and s.createDataFrame([(round(x["unbalance_percent"], 4), x["within"])], "unbalance_percent double, within boolean")
+)
+
 # -- applications
 
 _PR = Loop(_e("g_events"), K, 0)
@@ -364,6 +410,12 @@ def _set_ops(a: DataFrame) -> DataFrame:
 query("event_windows_tumbling", "SELECT time_bucket(INTERVAL 1 day, ts) AS start, count(*) AS n FROM events GROUP BY 1")(
     lambda s, d: load(s, d, "events").groupBy(F.date_trunc("day", "ts").alias("start")).agg(F.count(F.lit(1)).alias("n")).select(F.col("start").cast("timestamp_ntz").alias("start"), "n")
 )
+query("event_windows_sliding", "SELECT start, count(*) AS n FROM (SELECT time_bucket(INTERVAL 1 day, ts) AS start FROM events UNION ALL SELECT time_bucket(INTERVAL 1 day, ts) - INTERVAL 1 day FROM events) GROUP BY start")(
+    lambda s, d: load(s, d, "events").groupBy(F.window("ts", "2 days", "1 day").alias("w")).agg(F.count(F.lit(1)).alias("n")).select(F.col("w.start").cast("timestamp_ntz").alias("start"), "n")
+)
+query("href_extract", """SELECT page_id, href, count(*) AS n FROM (SELECT page_id, unnest(regexp_extract_all(html, 'href="([^"]+)"', 1)) AS href FROM pages) GROUP BY page_id, href""")(
+    lambda s, d: load(s, d, "pages").select("page_id", F.explode(F.regexp_extract_all("html", F.lit('href="([^"]+)"'), F.lit(1))).alias("href")).groupBy("page_id", "href").agg(F.count(F.lit(1)).alias("n"))
+)
 query("event_sessions", "SELECT user_id, count(*) AS sessions FROM (SELECT user_id, ts, lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS p FROM events) WHERE p IS NULL OR ts - p > INTERVAL 1 hour GROUP BY user_id")(
     lambda s, d: load(s, d, "events").withColumn("p", F.lag("ts").over(Window.partitionBy("user_id").orderBy("ts", "event_id"))).where(F.col("p").isNull() | (F.col("ts") - F.col("p") > F.expr("INTERVAL 1 HOUR"))).groupBy("user_id").agg(F.count(F.lit(1)).alias("sessions"))
 )

@@ -2,11 +2,14 @@
 
 from __future__ import annotations
 
+import time
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from graphpart.operators import adapt, apps, baselines, convert, metrics
 from graphpart.operators.engine import FixedIterations, partition
+from graphpart.session import durable
 from graphpart.sources import graphs
 
 
@@ -88,6 +91,45 @@ def runtime_by_k(spark: SparkSession, ks=(2, 32, 128), n: int = 2048, d: int = 4
     return spark.createDataFrame(rows, "k int, seconds double")
 
 
+def runtime_by_workers(spark: SparkSession, workers=(1, 2, 4, 8), n: int = 16384, d: int = 40, k: int = 64) -> DataFrame:
+    """Seconds of the first iteration and speed-up over the fewest workers.
+
+    A session's cores are fixed, so w workers stand for w tasks at a time: the graph and every exchange have w partitions.
+    """
+    before = spark.conf.get("spark.sql.shuffle.partitions")
+    rows = []
+    try:
+        for w in workers:
+            spark.conf.set("spark.sql.shuffle.partitions", str(w))
+            rows.append((w, metrics.first_iteration_seconds(partition(graphs.small_world(spark, n, d, 0.3).coalesce(w), k, halting=FixedIterations(1)))))
+    finally:
+        spark.conf.set("spark.sql.shuffle.partitions", before)
+    return spark.createDataFrame([(w, s, rows[0][1] / s) for w, s in rows], "workers int, seconds double, speedup double")
+
+
+def application_runtime(spark: SparkSession, sf_dir: str, name: str = "g_web", k: int = 8, max_iter: int = 12, steps: int = 5) -> DataFrame:
+    """Seconds, messages and remote messages of three applications under hash and under the method, and what the method saves."""
+    e, directed = _edges(spark, sf_dir, name)
+    e = durable(e)
+    r = partition(e, k, directed=directed, max_iter=max_iter)
+    source = e.agg(F.min("src")).first()[0]
+    runs = {"pagerank": lambda labels: apps.pagerank(e, steps, labels=labels), "sssp": lambda labels: apps.sssp(e, source), "wcc": lambda labels: apps.wcc(e)}
+    cost: dict[tuple[str, str], tuple] = {}
+    for approach, labels in (("hash", baselines.hash_partition(r.vertices, k, "mixed")), ("method", r.labels)):
+        for app, run in runs.items():
+            began = time.time()
+            got = durable(run(labels)) if source is not None else None
+            took = time.time() - began
+            m = apps.messages_of(app, e, labels, got).first() if got is not None else {"messages": 0, "remote": 0}
+            cost[app, approach] = (took, m["messages"], m["remote"])
+    rows = []
+    for app in runs:
+        for approach in ("hash", "method"):
+            (s0, _, r0), (s, n, remote) = cost[app, "hash"], cost[app, approach]
+            rows.append((app, approach, s, n, remote, 1 - s / max(1e-9, s0), 1 - remote / max(1, r0)))
+    return spark.createDataFrame(rows, "app string, approach string, seconds double, messages long, remote long, time_saved double, remote_saved double")
+
+
 def with_slope(timed: DataFrame, by: str) -> DataFrame:
     """The times, and the slope of a line through them in log-log: 1 is in proportion, 0 no growth."""
     return timed.crossJoin(F.broadcast(timed.agg(F.regr_slope(F.log("seconds"), F.log(by)).alias("slope"))))  # one row
@@ -121,7 +163,7 @@ def label_change(spark: SparkSession, sf_dir: str, name: str = "g_web", k: int =
 
 
 def worker_balance(spark: SparkSession, sf_dir: str, name: str = "g_web", k: int = 8, max_iter: int = 16) -> DataFrame:
-    """Idle share and remote messages of PageRank under hash and under the method."""
+    """Idle share and remote messages of PageRank under hash and under the method."""
     e, directed = _edges(spark, sf_dir, name)
     r = partition(e, k, directed=directed, max_iter=max_iter)
     rows = []
@@ -134,7 +176,7 @@ def worker_balance(spark: SparkSession, sf_dir: str, name: str = "g_web", k: int
 def ablations(spark: SparkSession, sf_dir: str, name: str = "g_events", k: int = 8, iterations: int = 6) -> DataFrame:
     """One flag at a time, for a fixed number of iterations."""
     e, directed = _edges(spark, sf_dir, name)
-    flags = {"default": {}, "naive_weights": {"weights": "naive"}, "unthrottled": {"throttle": "none"}, "per_task": {"async_mode": "per_task"}, "batched": {"async_mode": "batched"}}
+    flags = {"default": {}, "naive_weights": {"weights": "naive"}, "unthrottled": {"throttle": "none"}, "no_penalty": {"penalised": False}, "per_task": {"async_mode": "per_task"}, "batched": {"async_mode": "batched"}}
     rows = []
     for flag, options in flags.items():
         r = partition(e, k, directed=directed, halting=FixedIterations(iterations), **options)
@@ -145,13 +187,16 @@ def ablations(spark: SparkSession, sf_dir: str, name: str = "g_events", k: int =
 
 WORKLOADS = {
     "w01_quality_by_k": quality_by_k,
+    "w03_mean_rho": lambda s, d: mean_rho(quality_by_k(s, d, names=("g_conv",), ks=(2, 4))),
     "w04_comparison": comparison,
     "w05_evolution": evolution,
     "w06_effect_of_c": lambda s, d: effect_of_c(s, d, cs=(1.02, 1.2), seeds=(1,)),
     "w07a_runtime_by_size": lambda s, d: with_slope(runtime_by_size(s, sizes=(1024, 4096, 16384)), "n"),
+    "w07b_runtime_by_workers": lambda s, d: runtime_by_workers(s),
     "w07c_runtime_by_k": lambda s, d: with_slope(runtime_by_k(s), "k"),
     "w08_graph_change": lambda s, d: graph_change(s, d, shares=(0.02,)),
     "w10_label_change": lambda s, d: label_change(s, d, adds=(1,)),
     "w11_worker_balance": worker_balance,
+    "w12_application_runtime": application_runtime,
     "w15_ablations": lambda s, d: ablations(s, d, iterations=3),
 }

@@ -250,3 +250,21 @@ def test_without_penalty_is_label_counting(spark):
     r = engine.run_loop(arcs, convert.vertex_stats(arcs), labels, [0, 1], halting=FixedIterations(1), throttle="none", penalised=False)
     want = {1: 0, 2: 0, 3: 0, 4: 1, 5: 1, 6: 1}
     assert {x.v: x.label for x in r.labels.collect()} == want
+
+
+def test_levels_are_refined_in_spark(spark):
+    e = graphs.planted(spark, 3, 20, 5, 1)
+    arcs = convert.to_weighted_undirected(e)
+    nodes = convert.vertex_stats(arcs).select("v", F.col("deg").alias("weight"))
+    labels = st.init_random(nodes, 3, 5)
+    got = baselines._refine_in_spark(nodes, arcs, labels, 3, 1.2, 1)
+    assert got.count() == 60
+    assert metrics.cut_edges(e, got).first()["cut"] < metrics.cut_edges(e, labels).first()["cut"]
+
+
+def test_messages_of_applications(spark):
+    e = edges(spark, [(1, 2), (2, 3), (5, 6)])
+    labels = spark.createDataFrame([(1, 0), (2, 0), (3, 1), (5, 0), (6, 1)], "v long, label int")
+    assert tuple(apps.messages_of("pagerank", e, labels).first()) == (3, 2)
+    assert tuple(apps.messages_of("sssp", e, labels, apps.sssp(e, 1)).first()) == (2, 1)
+    assert tuple(apps.messages_of("wcc", e, labels).first()) == (6, 4)
