@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import math
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from graphpart.operators import convert
@@ -132,6 +132,21 @@ def idle_fraction(worker_times: DataFrame) -> DataFrame:
     )
 
 
+def quality_cube(edges: DataFrame, labels: DataFrame, vertices: DataFrame) -> DataFrame:
+    """(kind, label, vertices, load, remote): members, degrees and arcs to other labels by kind of vertex and label, with all subtotals (null)."""
+    remote = with_labels(convert.to_undirected(edges), labels).groupBy(F.col("src").alias("v")).agg(F.count_if(F.col("src_label") != F.col("dst_label")).alias("remote"))
+    rows = vertices.join(labels, "v").join(remote, "v").select(F.pmod("v", F.lit(8)).alias("kind"), "label", "deg", "remote")
+    return rows.cube("kind", "label").agg(F.count(F.lit(1)).alias("vertices"), F.sum("deg").alias("load"), F.sum("remote").alias("remote"))
+
+
+def patience_window(history: DataFrame, n_vertices: int, eps: float, patience: int) -> DataFrame:
+    """(t, score, stagnant): the score a vertex, and whether the last ``patience`` gains are all at most ``eps``. A history has a row an iteration, so one task holds it."""
+    x = history.select("t", (F.col("score") / F.lit(max(1, n_vertices))).alias("x"))
+    gains = x.withColumn("g", F.col("x") - F.lag("x").over(Window.orderBy("t")))
+    last = Window.orderBy("t").rowsBetween(1 - patience, 0)
+    return gains.select("t", F.round("x", 6).alias("score"), ((F.count("g").over(last) == patience) & F.coalesce(F.max("g").over(last) <= eps, F.lit(False))).alias("stagnant"))
+
+
 def repeat(run, seeds: list[int]) -> dict[str, float]:
     """min, mean and max of a number over seeds."""
     xs = [run(s) for s in seeds]

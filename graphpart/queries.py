@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -13,8 +14,10 @@ from graphpart.operators import state as st
 from graphpart.operators.engine import FixedIterations, PartitionResult, partition
 from graphpart.plans.graph_sql import GRAPH_SQL
 from graphpart.plans.oracle import Loop, smallworld_sql
+from graphpart.session import durable, shared_folder
 from graphpart.sources import graphs
 from graphpart.sources.tables import load
+from graphpart.streaming import adaptive
 from graphpart.workloads import experiments
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -60,6 +63,10 @@ def _graph(name: str) -> Query:
 for _name in ("g_events", "g_knn", "g_web"):
     query(f"sym_weighted_{_name[2:]}", _arcs_sql(_name, True))(lambda s, d, g=_name: convert.to_weighted_undirected(_graph(g)(s, d)))
 query("sym_naive_events", _arcs_sql("g_events", False))(lambda s, d: convert.to_undirected(_graph("g_events")(s, d)))
+_LINES = "SELECT l_partkey * 8 + 2 AS src, l_suppkey * 8 + 1 AS dst FROM lineitem"
+query("sym_multiplicity_lines", f"SELECT src, dst, CAST(count(*) AS INTEGER) AS w FROM ({_LINES} UNION ALL SELECT dst, src FROM ({_LINES})) GROUP BY src, dst")(
+    lambda s, d: convert.to_weighted_undirected(load(s, d, "lineitem").select((F.col("l_partkey") * 8 + 2).alias("src"), (F.col("l_suppkey") * 8 + 1).alias("dst")), weights="multiplicity")
+)
 query("reciprocity", f"WITH e AS ({_e('g_events')}) SELECT count(*) AS edges, count(*) FILTER (WHERE EXISTS (SELECT 1 FROM e b WHERE b.src = e.dst AND b.dst = e.src)) AS reciprocal FROM e")(
     lambda s, d: convert.reciprocity(_graph("g_events")(s, d))
 )
@@ -222,6 +229,42 @@ query(
 )(lambda s, d: st.init_from(_old_labels(s, d), convert.vertex_stats(convert.to_weighted_undirected(_graph("g_events")(s, d))), "random", K, SEED, PORTABLE))
 query("new_vertices_water_fill")(lambda s, d: st.init_from(_old_labels(s, d), convert.vertex_stats(convert.to_weighted_undirected(_graph("g_events")(s, d))), "water_fill", K))
 query("adapt_t3_all", _NEW_LOOP.labels_sql())(lambda s, d: adapt.adapt_graph(_old_labels(s, d), _graph("g_events")(s, d), K, seed=SEED, provider=PORTABLE, halting=FixedIterations(3)).labels)
+_ENDS = f"SELECT src AS v FROM ({_e('g_events')}) WHERE (src + dst) % 20 = 0 UNION SELECT dst FROM ({_e('g_events')}) WHERE (src + dst) % 20 = 0"
+query("adapt_t3_affected", Loop(_e("g_events"), K, 3, start=_LEAST, active=_ENDS).labels_sql())(
+    lambda s, d: adapt.adapt_graph(_old_labels(s, d), _graph("g_events")(s, d), K, scope="affected", edges_old=_half(s, d), seed=SEED, provider=PORTABLE, halting=FixedIterations(3)).labels
+)
+query("stream_assign", _NEW_LOOP.sql("SELECT v, label FROM lab0"))(lambda s, d: adaptive.stream_assign(convert.vertex_stats(convert.to_weighted_undirected(_graph("g_events")(s, d))), _old_labels(s, d), K))
+
+
+def _sent_sql(loop: Loop) -> str:
+    return f"SELECT sum(messages) AS messages FROM ({loop.history_sql()})"
+
+
+def _saved(s: SparkSession, d: str) -> DataFrame:
+    after = adapt.adapt_graph(_old_labels(s, d), _graph("g_events")(s, d), K, seed=SEED, provider=PORTABLE, halting=FixedIterations(3))
+    scratch = blp(s, d, "g_events", 3)
+    return s.createDataFrame([(after.messages, scratch.messages, round(metrics.savings(after, scratch)["messages"], 6))], "adapted long, scratch long, saved double")
+
+
+query("messages", f"SELECT CAST(messages AS BIGINT) AS messages FROM ({_sent_sql(Loop(_e('g_events'), K, 3))})")(lambda s, d: s.createDataFrame([(blp(s, d, "g_events", 3).messages,)], "messages long"))
+query("savings", f"SELECT CAST(a.messages AS BIGINT) AS adapted, CAST(b.messages AS BIGINT) AS scratch, round(1 - CAST(a.messages AS DOUBLE) / b.messages, 6) AS saved FROM ({_sent_sql(_NEW_LOOP)}) a CROSS JOIN ({_sent_sql(Loop(_e('g_events'), K, 3))}) b")(_saved)
+
+
+@query("stream_adapt")
+def stream_adapt(s: SparkSession, d: str) -> DataFrame:
+    """(batch, t, phi, rho): a labelling of the web graph's older edges, adapted to a stream of the others."""
+    at = f"{shared_folder(s)}/stream-{uuid.uuid4().hex}"
+    e = durable(_graph("g_web")(s, d))
+    fresh = F.pmod(F.col("src") + F.col("dst"), F.lit(20)) == 0
+    old = e.where(~fresh)
+    e.where(fresh).write.parquet(f"{at}/in")
+    adaptive.start_state(partition(old, K, max_iter=3).labels, old, f"{at}/state", K)
+    stream = s.readStream.schema("src long, dst long").parquet(f"{at}/in")
+    adaptive.stream_adapt(stream, f"{at}/state", K, f"{at}/check", iterations=2).trigger(availableNow=True).start().awaitTermination()
+    _, m = adaptive.load_state(s, f"{at}/state/1")
+    return s.createDataFrame([(1, m["t"], m["phi"], m["rho"])], "batch long, t int, phi double, rho double")
+
+
 query("adapt_affected")(lambda s, d: adapt.adapt_graph(_old_labels(s, d), _graph("g_events")(s, d), K, scope="affected", edges_old=_half(s, d), max_iter=4).history_frame(s).select("t", "phi", "rho", "migrated", "messages"))
 
 _GROW = f"CASE WHEN {draw_sql(SEED, 0, 'grow', 'v')} / 4294967296.0 < {2 / (K + 2)!r} THEN {K} + {draw_sql(SEED, 0, 'pick', 'v')} % 2 ELSE label END"
@@ -322,6 +365,25 @@ query("idle_fraction", _L3.sql(f"SELECT round(1 - avg(w) / max(w), 6) AS idle FR
     lambda s, d: metrics.idle_fraction(apps.worker_load(*_l3(s, d))).select("idle")
 )
 query("app_messages", _L3.sql(f"SELECT count(*) AS messages, count(*) FILTER (WHERE src_label <> dst_label) AS remote FROM ({_MARKED})"))(lambda s, d: apps.app_messages(*_l3(s, d)))
+_HASHED = f"SELECT count(*) AS messages, count(*) FILTER (WHERE src % {K} <> dst % {K}) AS remote FROM e"
+query("app_messages_hash_vs_blp", _L3.sql(f"SELECT 'hash' AS approach, messages, remote FROM ({_HASHED}) UNION ALL SELECT 'method', count(*), count(*) FILTER (WHERE src_label <> dst_label) FROM ({_MARKED})"))(
+    lambda s, d: (x := _l3(s, d))
+    and apps.app_messages(x[0], baselines.hash_partition(x[1], K)).select(F.lit("hash").alias("approach"), "messages", "remote").union(apps.app_messages(*x).select(F.lit("method"), "messages", "remote"))
+)
+_WEB3 = Loop(_e("g_web"), K, 3)
+query(
+    "quality_cube",
+    _WEB3.sql(
+        """SELECT v % 8 AS kind, label, count(*) AS vertices, CAST(sum(deg) AS BIGINT) AS load, CAST(sum(remote) AS BIGINT) AS remote FROM lab3 JOIN verts USING (v)
+JOIN (SELECT a.src AS v, count(*) FILTER (WHERE x.label <> y.label) AS remote FROM arcs a JOIN lab3 x ON x.v = a.src JOIN lab3 y ON y.v = a.dst GROUP BY a.src) USING (v) GROUP BY CUBE (v % 8, label)"""
+    ),
+)(lambda s, d: (r := blp(s, d, "g_web", 3)) and metrics.quality_cube(_graph("g_web")(s, d), r.labels, r.vertices))
+_E6 = Loop(_e("g_events"), K, 6)
+_TRACE = " UNION ALL ".join(f"SELECT {t} AS t, sum(s) / count(*) AS x FROM s{t + 1} WHERE label = cur" for t in range(6))
+query(
+    "patience_window",
+    _E6.sql(f"SELECT t, round(x, 6) AS score, coalesce(count(g) OVER w = 2 AND max(g) OVER w <= 0.05, FALSE) AS stagnant FROM (SELECT t, x, x - lag(x) OVER (ORDER BY t) AS g FROM ({_TRACE})) WINDOW w AS (ORDER BY t ROWS BETWEEN 1 PRECEDING AND CURRENT ROW)"),
+)(lambda s, d: (r := blp(s, d, "g_events", 5)) and metrics.patience_window(r.history_frame(s), r.vertices.count(), 0.05, 2))
 query(
     "flow_matrix",
     _LOOP.sql(

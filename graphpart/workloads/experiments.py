@@ -187,6 +187,7 @@ def ablations(spark: SparkSession, sf_dir: str, name: str = "g_events", k: int =
 
 WORKLOADS = {
     "w01_quality_by_k": quality_by_k,
+    "w02_gain_over_hash": lambda s, d: quality_by_k(s, d, names=("g_conv",), ks=(4, 16)).select("graph", "k", "phi", "gain"),
     "w03_mean_rho": lambda s, d: mean_rho(quality_by_k(s, d, names=("g_conv",), ks=(2, 4))),
     "w04_comparison": comparison,
     "w05_evolution": evolution,
@@ -195,6 +196,7 @@ WORKLOADS = {
     "w07b_runtime_by_workers": lambda s, d: runtime_by_workers(s),
     "w07c_runtime_by_k": lambda s, d: with_slope(runtime_by_k(s), "k"),
     "w08_graph_change": lambda s, d: graph_change(s, d, shares=(0.02,)),
+    "w09_stability": lambda s, d: graph_change(s, d, name="g_conv", shares=(0.005, 0.05)).select("share", "difference", "difference_scratch", F.lit(1 - 1 / 8).alias("difference_by_chance")),
     "w10_label_change": lambda s, d: label_change(s, d, adds=(1,)),
     "w11_worker_balance": worker_balance,
     "w12_application_runtime": application_runtime,

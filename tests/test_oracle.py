@@ -9,7 +9,7 @@ from graphpart.queries import ORACLE, QUERIES
 from graphpart.sources.tables import TABLES
 from tests.conftest import SF
 
-NAMES = ["graph_web", "sym_weighted_events", "best_label", "migration_prob", "blp_t3", "blp_t5_directed_events", "adapt_t3_all", "elastic_add_t3", "wcc", "quality_row", "flow_matrix", "load_history", "load_distance", "load_decay", "overflow_frequency", "within_slack", "event_windows_sliding", "href_extract"]
+NAMES = ["graph_web", "sym_weighted_events", "best_label", "migration_prob", "blp_t3", "blp_t5_directed_events", "adapt_t3_all", "elastic_add_t3", "wcc", "quality_row", "flow_matrix", "load_history", "load_distance", "load_decay", "overflow_frequency", "within_slack", "event_windows_sliding", "href_extract", "sym_multiplicity_lines", "adapt_t3_affected", "stream_assign", "messages", "savings", "app_messages_hash_vs_blp", "quality_cube", "patience_window"]
 
 
 def value(x):
