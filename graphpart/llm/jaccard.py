@@ -41,6 +41,7 @@ from graphpart.llm.components import connected
 WORDS = 5
 CACHE_WORDS = 250_000
 MOST_BROADCAST = 1_000_000  # rows of 24 bytes
+HOT_CLASS = 1000  # members of a class whose smallest id is broadcast
 TILE_SETS = 1500
 TASK_BYTES, MOST_TASKS = 64 << 20, 100_000
 _U = np.uint64
@@ -450,9 +451,16 @@ def keep_one_of_each(docs: DataFrame) -> DataFrame:
     plain = docs.toDF(*(f"c{i}" for i in range(len(names))))  # no name of the table can clash with one of these here
     id_col, text_col = f"c{names.index(ID)}", f"c{names.index(TEXT)}"
     classes = durable(keyed_classes(docs).select("doc_id", "n_shingles", "sk", "class"))
-    lead = classes.where("n_shingles > 0").groupBy("class").agg(F.min(F.struct(F.col("doc_id").isNull().alias("no"), "doc_id", "sk")).alias("m")).select("class", F.col("m.doc_id").alias("lead_id"), F.col("m.sk").alias("lead_set"))
+    filled = classes.where("n_shingles > 0")
+    first = F.min(F.struct(F.col("doc_id").isNull().alias("no"), "doc_id", "sk")).alias("m")
+    lead = durable(filled.groupBy("class").agg(first, F.count(F.lit(1)).alias("members")).select("class", F.col("m.doc_id").alias("lead_id"), F.col("m.sk").alias("lead_set"), "members"))
     several = durable(classes.groupBy("doc_id").count().where("count > 1 OR doc_id IS NULL").select(F.col("doc_id").alias("several_id")))
-    gone = durable(classes.where("n_shingles > 0").join(lead, "class").where(~F.col("doc_id").eqNullSafe(F.col("lead_id"))).select(F.col("doc_id").alias("gone_id")).where("gone_id IS NOT NULL").distinct())
+    # fewer than MOST_BROADCAST classes can have more members than this, so their rows needn't meet in one task
+    most = max(HOT_CLASS, (lead.agg(F.sum("members")).first()[0] or 0) // max(1, MOST_BROADCAST))
+    hot = F.broadcast(lead.where(F.col("members") > most).select("class", "lead_id"))
+    cool = lead.where(F.col("members").between(2, most)).select("class", "lead_id")
+    led = filled.join(hot, "class").select("doc_id", "lead_id").union(filled.join(hot, "class", "left_anti").join(cool, "class").select("doc_id", "lead_id"))
+    gone = durable(led.where(~F.col("doc_id").eqNullSafe(F.col("lead_id"))).select(F.col("doc_id").alias("gone_id")).where("gone_id IS NOT NULL").distinct())
     n_several, n_gone = several.count(), gone.count()
     side = lambda df, n: F.broadcast(df) if n <= MOST_BROADCAST else df
     key = F.col(id_col).cast("long")

@@ -218,7 +218,9 @@ def kept_by_hand(rows):
     return [min(v, key=lambda x: x[:3])[3:] for v in best.values()] + [(k, None) for (k, _), s in zip(rows, sets, strict=True) if not s]
 
 
-def test_ids_that_repeat_with_other_texts(spark):
+@pytest.mark.parametrize("hot", [1000, 1])
+def test_ids_that_repeat_with_other_texts(spark, monkeypatch, hot):
+    monkeypatch.setattr(jaccard, "HOT_CLASS", hot)  # with 1, every class of two rows is hot
     a, b, c, q, z = (" ".join(f"{x}{i}" for i in range(30)) for x in "abcqz")
     rows = [(3, a), (7, a), (7, b), (5, c), (5, q), (None, b), (None, z), (None, z.upper()), (None, None), (9, ""), (9, a), (9, None), (2, q + " tail")]
     docs = spark.createDataFrame([(*r, 1, 2) for r in rows], "doc_id long, text string, _drop int, _again int")
@@ -244,6 +246,13 @@ def test_tiles_and_joins_of_large_groups(spark, monkeypatch, broadcast):
     assert got == brute_classes(rows)
 
 
+def test_hot_classes_are_kept_once(spark, monkeypatch):
+    monkeypatch.setattr(jaccard, "HOT_CLASS", 3)
+    rows = chain(spark) + [(500 + i, "one text that very many documents share as it is") for i in range(40)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(4)
+    assert sorted(map(str, kept_texts(docs))) == sorted(map(str, kept_by_hand(rows)))
+
+
 def test_every_linked_pair_meets_in_one_tile():
     rng = np.random.default_rng(22)
     sizes = rng.integers(5, 60, 400)
