@@ -432,3 +432,50 @@ def test_ids_with_many_vectors_read_all_lists(spark):
     found = ann.nearest_neighbours(spark.createDataFrame(rows, "vec_id long, embedding array<double>"))
     assert {r["count"] for r in found.groupBy("query_id", "rank").count().where("query_id <> 20").collect()} == {1}
     assert found.where("query_id = 20").groupBy("rank").count().collect().__len__() == 20
+
+
+def test_batches_stay_small_however_many_lists_are_read(spark, monkeypatch):
+    rng = np.random.default_rng(15)
+    m = rng.normal(size=(8000, 16)).astype(np.float32)
+    whole = ann.arrow_map
+
+    def watched(df, fn, schema):
+        def run(batches):
+            for b in fn(batches):
+                assert "kind int" not in schema or b.num_rows <= 1000, f"{b.num_rows} rows in a batch"
+                yield b
+
+        return whole(df, run, schema)
+
+    monkeypatch.setattr(ann, "arrow_map", watched)
+    table = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(m)], "vec_id long, embedding array<float>")
+    got: dict[int, list] = {}
+    for r in sorted(ann.nearest_neighbours(table).collect()):
+        got.setdefault(r.query_id, []).append((r.vec_id, r.score))
+    x, hit = m.astype(np.float64), 0
+    for q, found in got.items():
+        s = (x * x[q]).sum(axis=1)
+        assert all(s[v] == sc for v, sc in found)
+        s[q] = -np.inf
+        hit += len({v for v, _ in found} & set(np.lexsort((np.arange(8000), -s))[:20].tolist()))
+    assert len(got) == 400 and hit >= 0.9 * 20 * 400
+
+
+def test_lists_over_a_groups_size_lie_in_several(spark, monkeypatch):
+    rng = np.random.default_rng(16)
+    rows = [(i, v.tolist()) for i, v in enumerate(rng.normal(size=(900, 8)))]
+    monkeypatch.setattr(ann, "GROUP", 50)
+    monkeypatch.setattr(ann, "tuned_ratio", lambda *_: 1e9)
+    got: dict[int, list] = {}
+    for r in sorted(ann.nearest_neighbours(spark.createDataFrame(rows, "vec_id long, embedding array<double>")).collect()):
+        got.setdefault(r.query_id, []).append(r.vec_id)
+    want = nearest_by_hand(rows)
+    assert got == {q: [v for v, _ in found] for q, found in want.items()}
+
+
+def test_groups_hold_every_list_once():
+    rng = np.random.default_rng(17)
+    sizes = rng.integers(0, 90, 300)
+    groups = ann.grouped(rng.normal(size=(300, 5)), sizes, 400)
+    assert sorted(np.concatenate(groups).tolist()) == list(range(300))
+    assert all(g.size == 1 or sizes[g].sum() <= 400 for g in groups)
