@@ -4,9 +4,6 @@ from __future__ import annotations
 
 import ctypes
 import gc
-import os
-import tempfile
-import zipfile
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
@@ -14,29 +11,12 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
 
-from graphpart.session import durable  # noqa: F401  the operators' lineage cut
+from graphpart.session import durable, ship  # noqa: F401  the operators' lineage cut
 
 TEXT, ID = "text", "doc_id"
 BATCH_ROWS = 1000
 
 
-def ship(spark: SparkSession) -> None:
-    """Make this package importable on every executor (once per context), wherever the driver found it."""
-    sc = spark.sparkContext
-    if getattr(sc, "_graphpart_shipped", False):
-        return
-    root = os.path.dirname(os.path.dirname(os.path.abspath(__file__)))
-    archive = os.path.join(tempfile.mkdtemp(prefix="graphpart-"), "graphpart_code.zip")
-    with zipfile.ZipFile(archive, "w") as z:
-        for folder, _, names in os.walk(root):
-            for name in sorted(names):
-                if name.endswith(".py"):
-                    full = os.path.join(folder, name)
-                    z.write(full, os.path.relpath(full, os.path.dirname(root)))
-    sc.addPyFile(archive)
-    sc._graphpart_shipped = True
-
-
 def load(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{table}.parquet")
 
