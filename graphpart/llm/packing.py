@@ -23,7 +23,6 @@ from __future__ import annotations
 import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass
-from functools import lru_cache
 from hashlib import blake2b
 from itertools import groupby
 
@@ -34,14 +33,14 @@ from pyspark.sql import functions as F
 
 from graphpart.llm.ann import balanced_centroids
 from graphpart.llm.common import ID, TEXT, arrow_map, durable, strings
-from graphpart.llm.tokens import END, WordVocabulary, word_vocabulary
+from graphpart.llm.tokens import WordVocabulary, word_vocabulary
 
 WINDOW, CLOSING = 4096, 2
-_CLOSING = np.array([CLOSING], np.uint16)
 SLOTS, CHUNK = 1 << 20, 1 << 12
 SHARD_WEIGHT, DOC_WEIGHT = 2_000_000, 200  # tokens of a shard; what a document weighs besides its tokens
 SAMPLE, MOST_LEAVES = 12_000, 2048
 DIMS, BINS = 128, 64
+FEW = 6  # tokens of a word that are hashed place by place
 OFTEN = 8  # terms in over 1 / OFTEN of a shard's documents are added up as dense rows
 REMEMBERED = 200_000
 K1, B = 1.2, 0.75
@@ -59,19 +58,25 @@ def term_weights(tf: np.ndarray, idf: np.ndarray, sizes: np.ndarray, mean: float
 
 
 class Bm25Index:
-    """Postings of some documents, weighed by frequencies in the whole corpus. ``docs`` are arrays of terms, repeats counted."""
+    """Postings of some documents, weighed by frequencies in the whole corpus. ``docs`` are arrays of terms (numbers of a table's places), repeats counted."""
 
     def __init__(self, docs: list[np.ndarray], idf: np.ndarray | None = None, mean: float | None = None) -> None:
         """``idf`` by term; counted here, like ``mean``, if the documents are the whole corpus."""
         sizes = np.array([d.size for d in docs], np.int64)
         flat = np.concatenate(docs) if docs else np.zeros(0, np.int64)
-        names, number = np.unique(flat, return_inverse=True)
-        key, tf = np.unique(np.repeat(np.arange(len(docs)), sizes) << 32 | number, return_counts=True)
-        doc, term = key >> 32, key & 0xFFFFFFFF
+        met = np.zeros(int(flat.max(initial=-1)) + 1, bool)
+        met[flat] = True
+        names, number = np.flatnonzero(met), (np.cumsum(met) - 1)[flat]
+        bits = names.size.bit_length()
+        key = np.repeat(np.arange(len(docs)), sizes) << bits | number
+        key, tf = np.unique(key.astype(np.uint32) if len(docs) << bits <= 1 << 32 else key, return_counts=True)
+        key = key.astype(np.int64)
+        doc, term = key >> bits, key & (1 << bits) - 1
         of_term = idf_of(np.bincount(term, minlength=names.size), len(docs)) if idf is None else idf[names]
         weight = term_weights(tf, of_term[term], sizes[doc], float(sizes.mean()) if mean is None and len(docs) else mean or 1.0)
         self.terms = np.split(term, np.searchsorted(doc, np.arange(1, len(docs)))) if docs else []
-        order = np.argsort(term, kind="stable")
+        bits = key.size.bit_length()
+        order = np.sort(term << bits | np.arange(key.size)) & (1 << bits) - 1  # by term, then document; faster than a stable argsort
         self._lay(np.bincount(term, minlength=names.size), doc[order], weight[order], np.arange(len(docs)))
 
     def _lay(self, df: np.ndarray, doc: np.ndarray, weight: np.ndarray, number: np.ndarray) -> None:
@@ -201,14 +206,8 @@ def powers_of_two(pieces: list[Piece]) -> list[list[Piece]]:
 # -- words of token sequences, by slot
 
 
-@lru_cache(maxsize=2)
 def _word_ends(path: str) -> np.ndarray:
-    """By token id: does a word end there?"""
-    known = word_vocabulary(path).bytes_of
-    out = np.zeros(1 << 16, bool)
-    for i, data in known.items():
-        out[i] = data.endswith(END)
-    return out
+    return word_vocabulary(path).ends
 
 
 def _mixed(x: np.ndarray) -> np.ndarray:
@@ -230,13 +229,20 @@ def word_slots(ids: np.ndarray, sizes: np.ndarray, ends: np.ndarray) -> tuple[np
     stop[last] = True
     stop[last[sizes > 1] - 1] = True
     end = np.flatnonzero(stop)
-    at = np.r_[0, end[:-1] + 1]
-    place = np.arange(ids.size) - np.repeat(at, end + 1 - at)
-    x = np.add.reduceat(_OF_ID[ids] * _OF_PLACE[np.minimum(place, 255)], at)
-    closing = np.zeros(ids.size, bool)
-    closing[last] = True
-    word = ~closing[at]  # the closing id is no word
-    return np.repeat(np.arange(sizes.size), sizes)[at[word]], (_mixed(x[word]) >> np.uint64(64 - SLOTS.bit_length() + 1)).astype(np.int64)
+    closing = np.searchsorted(end, last)  # the closing id is no word
+    words = np.diff(np.r_[-1, closing]) - 1
+    at, end = np.delete(np.r_[0, end[:-1] + 1], closing), np.delete(end, closing)
+    x = _OF_ID[ids[at]] * _OF_PLACE[0]
+    longer = np.flatnonzero(end > at)
+    for place in range(1, FEW):
+        x[longer] += _OF_ID[ids[at[longer] + place]] * _OF_PLACE[place]
+        longer = longer[end[longer] > at[longer] + place]
+    if longer.size:
+        begin, n = at[longer] + FEW, end[longer] + 1 - at[longer] - FEW
+        first = np.cumsum(n) - n
+        place = np.arange(int(n.sum())) - np.repeat(first, n)
+        x[longer] += np.add.reduceat(_OF_ID[ids[np.repeat(begin, n) + place]] * _OF_PLACE[np.minimum(place + FEW, 255)], first)
+    return np.repeat(np.arange(sizes.size), words), (_mixed(x) >> np.uint64(64 - SLOTS.bit_length() + 1)).astype(np.int64)
 
 
 def term_counts(doc: np.ndarray, slot: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -294,12 +300,14 @@ def _fit_line(sample: np.ndarray, leaves: int) -> Line:
 
 def _encoded(batch: pa.RecordBatch, vocabulary: WordVocabulary) -> tuple[list[str], np.ndarray, np.ndarray]:
     """Texts, ids of all tokens, and how many each text has, the closing id included."""
-    texts, tokens = strings(batch, TEXT), []
-    for text in texts:
-        vocabulary.trim()
-        tokens += [vocabulary.ids(vocabulary.numbers(text)), _CLOSING]
-    sizes = np.array([t.size for t in tokens[::2]], np.int64) + 1
-    return texts, np.concatenate(tokens) if tokens else np.zeros(0, np.uint16), sizes
+    texts = strings(batch, TEXT)
+    tokens, sizes = [np.zeros(0, np.uint16)], [np.zeros(0, np.int64)]
+    for numbers, counts in vocabulary.numbers_of(texts):
+        end = np.cumsum(counts)
+        numbers = np.insert(numbers, end, vocabulary[(CLOSING,)])
+        tokens.append(vocabulary.ids(numbers))
+        sizes.append(np.diff(np.r_[0, np.cumsum(vocabulary.sizes()[numbers])[end + np.arange(end.size)]]))
+    return texts, np.concatenate(tokens), np.concatenate(sizes)
 
 
 def _learn(docs: DataFrame, path: str, n: int, step: int) -> tuple[Line, np.ndarray]:
@@ -369,9 +377,9 @@ def _read(docs: DataFrame, path: str, line, idf) -> DataFrame:
             if slot.size <= SLOTS // 8:
                 np.add.at(df, slot, 1)
             cells = line.value.cells(sketch(doc, slot, tf, sizes.size, idf.value))
-            at = (2 * np.r_[0, np.cumsum(sizes)]).tolist()
-            data = ids.astype("<u2").tobytes()
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(ties, pa.int64()), pa.array(sizes), pa.array(words, pa.int64()), pa.array(cells), pa.array([data[x:y] for x, y in zip(at[:-1], at[1:], strict=True)], pa.binary())], names=_NAMES)
+            at = pa.array(np.r_[0, np.cumsum(2 * sizes)]).cast(pa.int32())  # refuses what doesn't fit
+            data = pa.Array.from_buffers(pa.binary(), sizes.size, [None, at.buffers()[1], pa.py_buffer(ids.astype("<u2"))])
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(ties, pa.int64()), pa.array(sizes), pa.array(words, pa.int64()), pa.array(cells), data], names=_NAMES)
         if of_id is not None:
             some = np.flatnonzero(df.reshape(-1, CHUNK).any(axis=1))
             counts = [pa.compress(df[c * CHUNK : (c + 1) * CHUNK].tobytes(), codec="zstd", asbytes=True) for c in some.tolist()]

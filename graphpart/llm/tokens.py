@@ -17,11 +17,12 @@ import re
 import unicodedata
 from array import array
 from collections.abc import Iterator
-from functools import lru_cache
-from itertools import islice
+from functools import cached_property, lru_cache
+from itertools import islice, repeat
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 
 from graphpart.llm.common import ID, TEXT, arrow_map, strings
@@ -34,6 +35,7 @@ LETTERS, NUMBERS = "a-zA-Z\xaa\xb5\xba\xc0-\xd6\xd8-\xf6\xf8-\xff", "0-9\xb2\xb3
 _CHUNK = re.compile(f"[^{SPACES}]+")
 _PIECE = re.compile(f"'s|'t|'re|'ve|'m|'ll|'d|[{LETTERS}]+|[{NUMBERS}]|[^{LETTERS}{NUMBERS}]+")
 _PYTHON_ONLY = re.compile("[\x1c-\x1f]")  # str.split() cuts here, the vocabulary's pattern doesn't
+TOGETHER = 1 << 22  # characters whose chunks are numbered at once
 
 
 def byte_of_char() -> dict[str, int]:
@@ -120,6 +122,81 @@ class WordVocabulary(dict):
         chunks = self.chunks(text)
         return np.fromiter(map(self.__getitem__, chunks), np.int64, len(chunks))
 
+    @cached_property
+    def spaced(self):
+        """The merges with a space, which no chunk holds, for a word's end; so many words make one valid string."""
+        import tiktoken
+
+        ranks = {data[:-1] + b" " if data.endswith(END) else data: i for data, i in self.ranks.items() if b" " not in data}
+        return tiktoken.Encoding("words", pat_str="[^ ]+ ", mergeable_ranks=ranks, special_tokens={})._core_bpe
+
+    @cached_property
+    def ends(self) -> np.ndarray:
+        """By token id: does a word end there?"""
+        out = np.zeros(1 << 16, bool)
+        out[[i for i, data in self.bytes_of.items() if data.endswith(END)]] = True
+        return out
+
+    def _learn(self, chunks: list[str]) -> np.ndarray:
+        """Numbers of distinct new chunks of lower-cased characters below U+0100, all encoded in one call."""
+        pieces, counts = chunks.copy(), np.ones(len(chunks), np.int64)
+        for i in [i for i, c in enumerate(chunks) if not c.isalpha()]:
+            c = chunks[i]
+            found = (c[:-1], c[-1]) if c[:-1].isalpha() else _PIECE.findall(c)
+            pieces[i], counts[i] = " ".join(found), len(found)
+        ids = np.frombuffer(self.spaced.encode_to_tiktoken_buffer(" ".join([*pieces, ""]), set()), np.uint32)
+        end = np.r_[0, np.flatnonzero(self.ends[ids]) + 1]  # of pieces
+        at = end[np.r_[0, np.cumsum(counts)]]  # of chunks
+        numbers = np.arange(len(self.size), len(self.size) + len(chunks))
+        self.start.frombytes((at[:-1] + len(self.flat)).tobytes())
+        self.size.frombytes(np.diff(at).tobytes())
+        self.flat.frombytes(ids.astype(np.uint16).tobytes())
+        self.update(zip(chunks, numbers.tolist(), strict=True))
+        for c in [c for c in chunks if len(c) > LONG_CHUNK]:
+            del self[c]
+        return numbers
+
+    def _plain(self, text: str) -> bool:
+        """Only characters below U+0100, no special string, and white space where Python sees it."""
+        if not text.isascii():
+            try:
+                text.encode("latin-1")
+            except UnicodeEncodeError:
+                return False
+        return not any(c in text for c in "\x1c\x1d\x1e\x1f") and not ("<|" in text and self._special.search(text))
+
+    def _numbers_of_plain(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        parts = pc.utf8_split_whitespace(pa.array([t.lower() for t in texts], pa.string()))  # white space at the ends gives empty chunks, of no ids
+        coded = parts.flatten().dictionary_encode()
+        n = len(coded.dictionary)
+        chunks = pc.binary_join(pa.ListArray.from_arrays(pa.array([0, n], pa.int32()), coded.dictionary), " ")[0].as_py().split(" ") if n else []
+        number = np.fromiter(map(self.get, chunks, repeat(-1)), np.int64, n)
+        new = np.flatnonzero(number < 0)
+        number[new] = self._learn([chunks[i] for i in new.tolist()])
+        return number[coded.indices.to_numpy()], np.diff(parts.offsets.to_numpy())
+
+    def numbers_of(self, texts: list[str]) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        """For some texts at a time: the numbers of their chunks, one text after the other, and how many each has; an empty chunk
+        has a number, too. What was told before is forgotten with ``trim``, which is called here.
+        """
+        lo = 0
+        while lo < len(texts):
+            hi, room = lo + 1, TOGETHER - len(texts[lo])
+            while hi < len(texts) and len(texts[hi]) <= room:
+                room -= len(texts[hi])
+                hi += 1
+            self.trim()
+            some = texts[lo:hi]
+            lo = hi
+            plain = [self._plain(t) for t in some]
+            if all(plain):
+                yield self._numbers_of_plain(some)
+                continue
+            numbers, counts = self._numbers_of_plain([t for t, p in zip(some, plain, strict=True) if p])
+            easy = iter(np.split(numbers, np.cumsum(counts)[:-1]))
+            each = [next(easy) if p else self.numbers(t) for t, p in zip(some, plain, strict=True)]
+            yield np.concatenate(each), np.array([x.size for x in each])
+
     def sizes(self) -> np.ndarray:
         return np.frombuffer(self.size, np.int64) if self.size else np.zeros(0, np.int64)
 

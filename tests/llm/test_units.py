@@ -6,6 +6,7 @@ import time
 import zlib
 
 import numpy as np
+import pyarrow as pa
 import pytest
 
 from graphpart.llm import ann, bpe, components, jaccard, langid, media, packing, pii, quality, tokens
@@ -164,6 +165,53 @@ def test_long_prefixes_share_enough():
                 assert met >= jaccard.least_shared(x.size) // 8 + 1
 
 
+def test_new_words_of_a_batch_are_encoded_in_one_call(monkeypatch):
+    v = tokens.WordVocabulary(tokenizer_path("word_bpe_49k.json"))
+    one_by_one, calls, core = [], [], v.spaced
+
+    class Counted:
+        def encode_to_tiktoken_buffer(self, text, special):
+            calls.append(text)
+            return core.encode_to_tiktoken_buffer(text, special)
+
+    monkeypatch.setattr(v, "piece_ids", one_by_one.append)
+    monkeypatch.setattr(v, "spaced", Counted())
+    texts = ["A qua, it's D\u00c9J\u00c0 vu\xa0!", None, "", "  \n ", "qua qua 'tis 12x,, ", "y" * 700 + " " + "a." * 300, *(f"w{i} Zor{i}." for i in range(300))]
+    batch = pa.RecordBatch.from_arrays([pa.array(texts, pa.string())], names=["text"])
+    got, ids, sizes = packing._encoded(batch, v)
+    assert got == [t or "" for t in texts] and not one_by_one and len(calls) == 1
+    assert packing._encoded(batch, v)[1].tolist() == ids.tolist() and "zor" in calls[0] and "zor" not in calls[1]  # known but for the long ones
+    want = [v.library.encode(t or "", add_special_tokens=False).ids + [2] for t in texts]
+    assert sizes.tolist() == [len(x) for x in want] and ids.tolist() == [i for x in want for i in x]
+
+
+def test_batches_have_the_ids_of_single_texts(monkeypatch):
+    rng = random.Random(5)
+    v = tokens.WordVocabulary(tokenizer_path("word_bpe_49k.json"))
+    parts = [*map(chr, range(256)), "\u00c9t", "\U0001f600", "\u017f", "\u0130", "<|endoftext|>", "'ll", " one ", " two,", "\u3000"]
+    texts = ["".join(rng.choices(parts, k=rng.randint(0, 40))) for _ in range(400)]
+    texts += ["".join(rng.choices("ab c,'1\n", k=rng.randint(0, 60))) for _ in range(400)]
+    for together in (1, 50, 1 << 22):
+        monkeypatch.setattr(tokens, "TOGETHER", together)
+        v.reset()
+        _, ids, sizes = packing._encoded(pa.RecordBatch.from_arrays([pa.array(texts)], names=["text"]), v)
+        want = [v.library.encode(t, add_special_tokens=False).ids + [2] for t in texts]
+        assert sizes.tolist() == [len(x) for x in want] and ids.tolist() == [i for x in want for i in x]
+    ends = v.ends
+    doc, slot = packing.word_slots(ids, sizes, ends)  # against one word at a time
+    at, seen = 0, []
+    for d, n in enumerate(sizes.tolist()):
+        some, word = ids[at : at + n - 1].tolist(), []
+        at += n
+        for k, i in enumerate(some):
+            word.append(i)
+            if ends[i] or k == len(some) - 1:
+                x = sum(int(packing._OF_ID[t]) * int(packing._OF_PLACE[min(p, 255)]) for p, t in enumerate(word)) & (1 << 64) - 1
+                seen.append((d, int(packing._mixed(np.array([x], np.uint64))[0]) >> 44))
+                word = []
+    assert packing.SLOTS == 1 << 20 and list(zip(doc.tolist(), slot.tolist(), strict=True)) == seen
+
+
 def test_packing_covers_every_id_once():
     rng = np.random.default_rng(2)
     lengths = rng.integers(1, 9000, 60)
