@@ -23,6 +23,7 @@ from __future__ import annotations
 import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass
+from functools import lru_cache
 from hashlib import blake2b
 from itertools import groupby
 
@@ -275,14 +276,22 @@ class Line:
         return leaf * BINS + np.clip(place, 0, BINS - 1).astype(np.int64)
 
 
+@lru_cache(maxsize=1)
+def _places() -> list[tuple[np.ndarray, np.ndarray]]:
+    """For each of the two salts: the place of every slot in a sketch, and its sign."""
+    out = []
+    for salt in (1, 2):
+        h = _mixed((np.arange(SLOTS) * 2 + salt).astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15))
+        out.append((((h >> np.uint64(40)) % np.uint64(DIMS)).astype(np.int16), np.where(h & np.uint64(1), 1, -1).astype(np.int8)))
+    return out
+
+
 def sketch(doc: np.ndarray, slot: np.ndarray, tf: np.ndarray, n: int, idf: np.ndarray) -> np.ndarray:
     """Weighted terms of n documents, each added with a sign to two of DIMS numbers; of length one."""
     value = idf[slot] * tf / (tf + K1)
     out = np.zeros(n * DIMS)
-    for salt in (1, 2):
-        h = _mixed((slot * 2 + salt).astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15))
-        sign = np.where(h & np.uint64(1), 1.0, -1.0)
-        out += np.bincount(doc * DIMS + (h >> np.uint64(40)).astype(np.int64) % DIMS, sign * value, n * DIMS)
+    for place, sign in _places():
+        out += np.bincount(doc * DIMS + place[slot], sign[slot] * value, n * DIMS)
     out = out.reshape(n, DIMS)
     return out / np.maximum(1e-12, np.sqrt((out * out).sum(axis=1)))[:, None]
 

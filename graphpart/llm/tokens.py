@@ -166,7 +166,8 @@ class WordVocabulary(dict):
         return not any(c in text for c in "\x1c\x1d\x1e\x1f") and not ("<|" in text and self._special.search(text))
 
     def _numbers_of_plain(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
-        parts = pc.utf8_split_whitespace(pa.array([t.lower() for t in texts], pa.string()))  # white space at the ends gives empty chunks, of no ids
+        split = pc.utf8_split_whitespace if any(c in t for t in texts for c in "\x85\xa0") else pc.ascii_split_whitespace
+        parts = split(pa.array([t.lower() for t in texts], pa.string()))  # white space at the ends gives empty chunks, of no ids
         coded = parts.flatten().dictionary_encode()
         n = len(coded.dictionary)
         chunks = pc.binary_join(pa.ListArray.from_arrays(pa.array([0, n], pa.int32()), coded.dictionary), " ")[0].as_py().split(" ") if n else []
