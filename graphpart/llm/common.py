@@ -21,17 +21,22 @@ def load(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{table}.parquet")
 
 
+def give_back() -> None:
+    """Freed memory of this process goes back to the system."""
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except AttributeError:  # no glibc
+        pass
+
+
 def _tidy(fn: Callable) -> Callable:
-    """fn, and after a task's last batch its freed memory goes back to the system (workers live on for later stages)."""
+    """fn, and after a task's last batch its freed memory goes back (workers live on for later stages)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield from fn(batches)
-        gc.collect()
-        pa.default_memory_pool().release_unused()
-        try:
-            ctypes.CDLL(None).malloc_trim(0)
-        except AttributeError:  # no glibc
-            pass
+        give_back()
 
     return run
 

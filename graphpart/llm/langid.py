@@ -15,7 +15,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from graphpart.llm.common import ID, TEXT, arrow_map, bounded_sample, remainder, strings
+from graphpart.llm.common import ID, TEXT, arrow_map, bounded_sample, give_back, remainder, strings
 
 BITS = 15
 UNIT = 4096.0
@@ -57,7 +57,9 @@ def train(pairs: list[tuple[str, str]], alpha: float = 0.5) -> tuple[list[str],
 def fit_langid(docs: DataFrame, train_only: bool = True, max_docs: int = MAX_TRAIN_DOCS, max_chars: int = MAX_TRAIN_CHARS) -> tuple[list[str], np.ndarray, np.ndarray]:
     """Train on a bounded sample of rows with a language; with ``train_only``, held-out rows (crc32 of the id, mod 4, is 2) are never seen."""
     rows = docs.select(ID, "lang")
-    return train(bounded_sample(docs, rows.where(remainder(ID, 4) != 2) if train_only else rows, "lang", max_docs, max_chars))
+    model = train(bounded_sample(docs, rows.where(remainder(ID, 4) != 2) if train_only else rows, "lang", max_docs, max_chars))
+    give_back()
+    return model
 
 
 def predict(texts: list[str], langs: list[str], table: np.ndarray, prior: np.ndarray) -> tuple[list[str], list[float]]:

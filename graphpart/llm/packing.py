@@ -11,8 +11,8 @@ terms are scored, and its unused neighbours follow best first, the last one cut
 shard is cut into powers of two, which need no padding. Neighbours in other shards are lost to a seed:
 ``shared_neighbours`` measures how many, and the README says how many on the given tables.
 
-Weights are whole numbers of 1 / UNIT, so their sums are exact in any order. The driver holds statistics of fixed size and
-a bounded sample of sketches, never texts, ids of tokens or postings. Time grows in proportion to the corpus.
+Weights are whole numbers of 1 / UNIT, so their sums are exact in any order. The driver holds compressed counts by slot and
+the line, never texts, sketches, ids of tokens or postings. Time grows in proportion to the corpus.
 
 Edge cases: a null or empty text is the closing id alone; texts of any length are cut freely; repeated rows are packed
 as often as they stand there; extra columns are ignored; an empty table gives no rows.
@@ -23,7 +23,7 @@ from __future__ import annotations
 import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass
-from functools import lru_cache
+from functools import cached_property, lru_cache
 from hashlib import blake2b
 from itertools import groupby
 
@@ -255,6 +255,30 @@ def term_counts(doc: np.ndarray, slot: np.ndarray) -> tuple[np.ndarray, np.ndarr
     return key >> bits, key & (SLOTS - 1), tf
 
 
+def packed_counts(df: np.ndarray) -> dict[int, bytes]:
+    """The chunks of counts by slot that aren't all 0, compressed."""
+    return {c: pa.compress(df[c * CHUNK : (c + 1) * CHUNK].tobytes(), codec="zstd", asbytes=True) for c in np.flatnonzero(df.reshape(-1, CHUNK).any(axis=1)).tolist()}
+
+
+def unpacked_counts(chunk: bytes) -> np.ndarray:
+    return np.frombuffer(pa.decompress(chunk, decompressed_size=8 * CHUNK, codec="zstd", asbytes=True), np.int64)
+
+
+@dataclass
+class Frequencies:
+    """Documents by slot, of ``n``. They travel compressed; a process that asks for ``idf`` works it out once."""
+
+    chunks: dict[int, bytes]
+    n: int
+
+    @cached_property
+    def idf(self) -> np.ndarray:
+        out = np.tile(idf_of(np.zeros(CHUNK, np.int64), self.n), SLOTS // CHUNK)
+        for c, chunk in self.chunks.items():
+            out[c * CHUNK : (c + 1) * CHUNK] = idf_of(unpacked_counts(chunk), self.n)
+        return out
+
+
 # -- the line of documents
 
 
@@ -319,8 +343,8 @@ def _encoded(batch: pa.RecordBatch, vocabulary: WordVocabulary) -> tuple[list[st
     return texts, np.concatenate(tokens), np.concatenate(sizes)
 
 
-def _learn(docs: DataFrame, path: str, n: int, step: int) -> tuple[Line, np.ndarray]:
-    """The line, and the idf by slot that its sketches are weighed by, from the SAMPLE documents of the smallest hashes."""
+def _learn(docs: DataFrame, path: str, n: int, step: int) -> tuple[Line, Frequencies]:
+    """The line, and the frequencies that its sketches are weighed by, from the SAMPLE documents of the smallest hashes."""
     below = min(2**63 - 1, int(-(2**63) + 2**64 * 1.3 * SAMPLE / n))
 
     def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -335,31 +359,45 @@ def _learn(docs: DataFrame, path: str, n: int, step: int) -> tuple[Line, np.ndar
 
     hashed = docs.select(F.xxhash64(ID, TEXT).alias("_hash"), TEXT).where(F.col("_hash") <= below)
     few = durable(arrow_map(hashed, read, "hash long, size long, terms binary, counts binary").orderBy("hash", "terms").limit(SAMPLE))
-    tokens = few.agg(F.sum("size")).first()[0] or 0
-    df, total = np.zeros(SLOTS, np.int64), 0
-    for r in few.select("terms").toLocalIterator():
-        df[np.frombuffer(r["terms"], "<i4")] += 1
-        total += 1
-    idf = idf_of(df, total)
-    sent = docs.sparkSession.sparkContext.broadcast(idf)  # 8 * SLOTS bytes
-
-    def draw(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    few = few.coalesce(1)  # the one task of its limit; the driver gets counts and the line alone
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        df, total, tokens = np.zeros(SLOTS, np.int64), 0, 0
+        for batch in batches:
+            total += batch.num_rows
+            tokens += sum(batch.column("size").to_pylist())
+            for terms in batch.column("terms").to_pylist():
+                df[np.frombuffer(terms, "<i4")] += 1
+        chunks = packed_counts(df)
+        rows = [(-1, total, None), (-2, tokens, None), *((c, None, data) for c, data in chunks.items())]
+        yield pa.RecordBatch.from_arrays([pa.array(list(c), kind) for c, kind in zip(zip(*rows, strict=True), (pa.int64(), pa.int64(), pa.binary()), strict=True)], names=["cell", "total", "data"])
+
+    counted = {r["cell"]: r for r in arrow_map(few.select("size", "terms"), count, "cell long, total long, data binary").collect()}  # at most SLOTS counts, compressed
+    total, tokens = (counted.pop(c)["total"] if c in counted else 0 for c in (-1, -2))
+    rough = Frequencies({c: bytes(r["data"]) for c, r in counted.items()}, total)
+    sent = docs.sparkSession.sparkContext.broadcast(rough)
+    leaves = int((tokens / max(1, total) + DOC_WEIGHT) * n // step) + 1
+
+    def fit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        drawn: list[tuple[int, bytes]] = []  # at most SAMPLE rows of 8 * DIMS bytes
         for batch in batches:
             terms, counts = ([np.frombuffer(x, kind) for x in batch.column(c).to_pylist()] for c, kind in (("terms", "<i4"), ("counts", "<u2")))
             doc = np.repeat(np.arange(len(terms)), [t.size for t in terms])
-            made = sketch(doc, np.concatenate(terms).astype(np.int64), np.concatenate(counts).astype(np.int64), len(terms), sent.value)
-            yield pa.RecordBatch.from_arrays([batch.column("hash"), pa.array([x.tobytes() for x in made], pa.binary())], names=["hash", "sketch"])
+            made = sketch(doc, np.concatenate(terms).astype(np.int64), np.concatenate(counts).astype(np.int64), len(terms), sent.value.idf)
+            drawn += zip(batch.column("hash").to_pylist(), (x.tobytes() for x in made), strict=True)
+        sample = np.frombuffer(b"".join(x for _, x in sorted(drawn)), np.float64).reshape(-1, DIMS)
+        made = _fit_line(sample if len(sample) else np.zeros((1, DIMS)), leaves)
+        yield pa.RecordBatch.from_arrays([pa.array([made.centroids.tobytes()]), pa.array([made.axis.tobytes()]), pa.array([made.spread])], names=["centroids", "axis", "spread"])
 
-    drawn = arrow_map(few.select("hash", "terms", "counts"), draw, "hash long, sketch binary").orderBy("hash", "sketch").collect()  # at most SAMPLE rows of 8 * DIMS bytes
-    sample = np.frombuffer(b"".join(r["sketch"] for r in drawn), np.float64).reshape(-1, DIMS)
-    weight = (tokens / max(1, total) + DOC_WEIGHT) * n
-    return _fit_line(sample if len(sample) else np.zeros((1, DIMS)), int(weight // step) + 1), idf
+    r = arrow_map(few.select("hash", "terms", "counts"), fit, "centroids binary, axis binary, spread double").first()  # at most MOST_LEAVES centroids
+    line = Line(np.frombuffer(r["centroids"]).reshape(-1, DIMS), np.frombuffer(r["axis"]), r["spread"]) if r else _fit_line(np.zeros((1, DIMS)), leaves)
+    return line, rough
 
 
 _SCHEMA = "tie long, size long, words long, cell long, data binary"
 
 
-def _read(docs: DataFrame, path: str, line, idf) -> DataFrame:
+def _read(docs: DataFrame, path: str, line, rough) -> DataFrame:
     """A row for each document: ``tie`` (a hash of id, text, and of how often the task met both before), how many tokens and
     words, its cell on the line, token ids. Cells below 0 are chunks of a task's counts of documents by slot.
     """
@@ -385,15 +423,15 @@ def _read(docs: DataFrame, path: str, line, idf) -> DataFrame:
             df += np.bincount(slot, minlength=SLOTS) if slot.size > SLOTS // 8 else 0
             if slot.size <= SLOTS // 8:
                 np.add.at(df, slot, 1)
-            cells = line.value.cells(sketch(doc, slot, tf, sizes.size, idf.value))
+            cells = line.value.cells(sketch(doc, slot, tf, sizes.size, rough.value.idf))
             at = pa.array(np.r_[0, np.cumsum(2 * sizes)]).cast(pa.int32())  # refuses what doesn't fit
             data = pa.Array.from_buffers(pa.binary(), sizes.size, [None, at.buffers()[1], pa.py_buffer(ids.astype("<u2"))])
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(ties, pa.int64()), pa.array(sizes), pa.array(words, pa.int64()), pa.array(cells), data], names=_NAMES)
         if of_id is not None:
-            some = np.flatnonzero(df.reshape(-1, CHUNK).any(axis=1))
-            counts = [pa.compress(df[c * CHUNK : (c + 1) * CHUNK].tobytes(), codec="zstd", asbytes=True) for c in some.tolist()]
-            none = pa.nulls(some.size, pa.int64())
-            yield pa.RecordBatch.from_arrays([pa.nulls(some.size, of_id), none, none, none, pa.array(-1 - some), pa.array(counts, pa.binary())], names=_NAMES)
+            chunks = packed_counts(df)
+            none = pa.nulls(len(chunks), pa.int64())
+            cells = pa.array([-1 - c for c in chunks], pa.int64())
+            yield pa.RecordBatch.from_arrays([pa.nulls(len(chunks), of_id), none, none, none, cells, pa.array(list(chunks.values()), pa.binary())], names=_NAMES)
 
     return arrow_map(docs.select(ID, TEXT), run, f"{ID} {kind.simpleString()}, {_SCHEMA}")
 
@@ -401,32 +439,30 @@ def _read(docs: DataFrame, path: str, line, idf) -> DataFrame:
 _NAMES = [ID, *(c.split()[0] for c in _SCHEMA.split(", "))]
 
 
-def _frequencies(read: DataFrame) -> np.ndarray:
+def _frequencies(read: DataFrame, n: int) -> Frequencies:
     """Documents by slot, over all rows: the tasks' chunks summed by other tasks."""
 
     def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total: dict[int, np.ndarray] = {}
         for batch in batches:
             for c, data in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                total[c] = total.get(c, 0) + np.frombuffer(pa.decompress(data, decompressed_size=8 * CHUNK, codec="zstd", asbytes=True), np.int64)
-        yield pa.RecordBatch.from_arrays([pa.array(list(total), pa.int64()), pa.array([x.tobytes() for x in total.values()], pa.binary())], names=["cell", "data"])
+                total[c] = total.get(c, 0) + unpacked_counts(data)
+        sums = [packed_counts(x)[0] for x in total.values()]
+        yield pa.RecordBatch.from_arrays([pa.array(list(total), pa.int64()), pa.array(sums, pa.binary())], names=["cell", "data"])
 
-    out = np.zeros(SLOTS, np.int64)
-    for r in arrow_map(read.where("cell < 0").select("cell", "data").repartition("cell"), add, "cell long, data binary").collect():  # 8 * SLOTS bytes
-        at = (-1 - r["cell"]) * CHUNK
-        out[at : at + CHUNK] = np.frombuffer(r["data"], np.int64)
-    return out
+    summed = arrow_map(read.where("cell < 0").select("cell", "data").repartition("cell"), add, "cell long, data binary").collect()  # at most SLOTS counts, compressed
+    return Frequencies({-1 - r["cell"]: bytes(r["data"]) for r in summed}, n)
 
 
 def _dealt(docs: DataFrame, path: str, step: int) -> tuple[DataFrame, int, object, float] | None:
-    """Rows with their shard, how many shards there are, and what weighs terms: idf by slot (broadcast) and the mean length."""
+    """Rows with their shard, how many shards there are, and what weighs terms: frequencies by slot (broadcast) and the mean length."""
     sc = docs.sparkSession.sparkContext
     n = docs.count()
     if not n:
         return None
     line, rough = _learn(docs, path, n, step)
-    read = durable(_read(docs, path, sc.broadcast(line), sc.broadcast(rough)))  # at most MOST_LEAVES centroids; 8 * SLOTS bytes
-    idf = sc.broadcast(idf_of(_frequencies(read), n))
+    read = durable(_read(docs, path, sc.broadcast(line), sc.broadcast(rough)))  # at most MOST_LEAVES centroids; compressed counts
+    idf = sc.broadcast(_frequencies(read, n))
     rows = read.where("cell >= 0")
     by_cell = rows.groupBy("cell").agg(F.sum(F.col("size") + DOC_WEIGHT).alias("weight"), F.sum("words").alias("words")).orderBy("cell").collect()  # at most MOST_LEAVES * BINS rows
     places, at = [], 0
@@ -476,7 +512,7 @@ def pack_documents(docs: DataFrame, path: str, window: int = WINDOW, shard_weigh
         for shard, keys, lengths, flat, terms in _by_shard(watched(), path):
             first, wide = np.cumsum(lengths) - lengths, flat.astype("<u4")
             out: list[tuple] = []
-            for number, pieces in enumerate(pack_shard(lengths, terms, window, idf.value, mean)):
+            for number, pieces in enumerate(pack_shard(lengths, terms, window, idf.value.idf, mean)):
                 offset = 0
                 for d, start, n in pieces:
                     at = int(first[d]) + start
@@ -501,7 +537,7 @@ def shared_neighbours(docs: DataFrame, path: str, every: int = 50, most: int = 1
     made = rows.orderBy("tie", "size").collect()
     lengths = np.array([r["size"] for r in made], np.int64)
     doc, slot = word_slots(np.frombuffer(b"".join(bytes(r["data"]) for r in made), "<u2"), lengths, _word_ends(path))
-    index = Bm25Index(np.split(slot, np.searchsorted(doc, np.arange(1, lengths.size))), idf.value, mean)
+    index = Bm25Index(np.split(slot, np.searchsorted(doc, np.arange(1, lengths.size))), idf.value.idf, mean)
     shard = np.array([r["shard"] for r in made])
     alive = np.ones(lengths.size, bool)
     hits, kept = [], []

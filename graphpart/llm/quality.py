@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from graphpart.llm.common import ID, TEXT, arrow_map, bounded_sample, remainder, strings
+from graphpart.llm.common import ID, TEXT, arrow_map, bounded_sample, give_back, remainder, strings
 
 BITS = 18
 MASK = (1 << BITS) - 1
@@ -95,18 +95,22 @@ def train(pairs: list[tuple[str, int]], epochs: int = 3, seed: int = 7) -> tuple
     model, hasher, rows = FtrlModel(), TermHasher(), []
     for text, y in pairs:
         at, c = np.unique(hasher.slots(text), return_counts=True)
-        rows.append((at, GAIN * c / max(1, c.sum()), int(y)))
+        rows.append((at.astype(np.int32), c.astype(np.min_scalar_type(c.max(initial=0))), int(y)))  # as small as they fit: the driver holds all rows
     rng = np.random.default_rng(seed)
     for _ in range(epochs):
         for i in rng.permutation(len(rows)):
-            model.update(*rows[i])
+            at, c, y = rows[i]
+            c = c.astype(np.int64)
+            model.update(at.astype(np.int64), GAIN * c / max(1, c.sum()), y)
     return model.weights, model.bias
 
 
 def fit_quality(docs: DataFrame, labels: DataFrame, train_only: bool = True, max_docs: int = MAX_TRAIN_DOCS, max_chars: int = MAX_TRAIN_CHARS) -> tuple[np.ndarray, float]:
     """Train on a bounded sample of labelled rows; with ``train_only``, rows held out (crc32 of the id, mod 5, is 0) are never seen."""
     rows = labels.select(ID, "quality")
-    return train(bounded_sample(docs, rows.where(remainder(ID, 5) != 0) if train_only else rows, "quality", max_docs, max_chars))
+    model = train(bounded_sample(docs, rows.where(remainder(ID, 5) != 0) if train_only else rows, "quality", max_docs, max_chars))
+    give_back()
+    return model
 
 
 _HASHER = TermHasher()

@@ -1,6 +1,7 @@
 """Operators on odd tables and small fixtures, against brute force."""
 
 import hashlib
+import pickle
 import re
 import zlib
 
@@ -434,6 +435,29 @@ def test_ids_with_many_vectors_read_all_lists(spark):
     assert found.where("query_id = 20").groupBy("rank").count().collect().__len__() == 20
 
 
+def test_packing_brings_little_to_the_driver(spark, monkeypatch):
+    """Counts by slot travel compressed, and sketches stay in the tasks: both ways stay far under the 8 MB of a table by slot."""
+    docs = spark.read.parquet(f"{SF}/documents.parquet").repartition(3)
+    frame, context = type(docs), type(spark.sparkContext)
+    sent, brought = [], []
+    broadcast, collect, iterate = context.broadcast, frame.collect, frame.toLocalIterator
+    weigh = lambda rows: [brought.append(sum(len(x) if isinstance(x, (bytes, bytearray)) else 8 for x in r)) or r for r in rows]
+    monkeypatch.setattr(context, "broadcast", lambda self, value: sent.append(len(pickle.dumps(value))) or broadcast(self, value))
+    monkeypatch.setattr(frame, "collect", lambda self: weigh(collect(self)))
+    monkeypatch.setattr(frame, "toLocalIterator", lambda self, *a: iter(weigh(iterate(self, *a))))
+    made = packing.pack_documents(docs, tokenizer_path("word_bpe_49k.json"))
+    assert sent and max(sent) < 1 << 20
+    assert brought and sum(brought) < docs.count() * 8 * packing.DIMS // 2 + (1 << 19)
+    assert made.count() >= docs.count()
+
+
+def test_frequencies_keep_every_count():
+    df = np.random.default_rng(2).integers(0, 40, packing.SLOTS)
+    df[: 3 * packing.CHUNK] = 0
+    kept = pickle.loads(pickle.dumps(packing.Frequencies(packing.packed_counts(df), 50)))
+    assert (kept.idf == packing.idf_of(df, 50)).all()
+
+
 def test_batches_stay_small_however_many_lists_are_read(spark, monkeypatch):
     rng = np.random.default_rng(15)
     m = rng.normal(size=(8000, 16)).astype(np.float32)

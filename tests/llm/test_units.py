@@ -3,6 +3,7 @@
 import random
 import re
 import time
+import tracemalloc
 import zlib
 
 import numpy as np
@@ -248,6 +249,23 @@ def test_quality_learns_shapes():
     assert 0 <= s[-1] <= 1
 
 
+def test_quality_trains_on_rows_held_small():
+    rng = np.random.default_rng(5)
+    pairs = [(" ".join(map(str, rng.integers(0, 2000, 3000).tolist())), i % 2) for i in range(150)]
+    terms = sum(np.unique(quality.TermHasher().slots(t)).size for t, _ in pairs)
+
+    def peak(some):
+        tracemalloc.start()
+        try:
+            quality.train(some, epochs=1)
+            return tracemalloc.get_traced_memory()[1]
+        finally:
+            tracemalloc.stop()
+
+    fixed = peak(pairs[:10])
+    assert (peak(pairs) - fixed) / (terms * 140 / 150) < 8  # bytes of a term
+
+
 def test_language_model():
     pairs = [("the quick brown fox and the dog", "en"), ("der schnelle braune fuchs und der hund", "de")] * 20
     langs, table, prior = langid.train(pairs)
