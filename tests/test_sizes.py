@@ -75,3 +75,30 @@ def test_multilevel_past_the_drivers_limit(spark, monkeypatch):
     for make in (baselines.multilevel_partition, baselines.coarsen_lpa_partition):
         got = make(e, 2, coarse_target=10).collect()
         assert sorted(r["v"] for r in got) == list(range(60)) and {r["label"] for r in got} <= {0, 1}
+
+
+def size_bits(df):
+    return int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()).bit_length()
+
+
+def test_estimates_of_sizes_stay_small_in_loops(spark):
+    from graphpart.session import durable, durable_as_dealt, release
+
+    x = spark.createDataFrame([(i, i % 3) for i in range(20)], "v long, label int")
+    for _ in range(4):  # each round joins the frame with itself thrice, as loops over labels do
+        x = durable(x.join(x.select("v"), "v").join(x.select("v"), "v").join(x.select("v"), "v").select("v", "label"))
+        assert size_bits(x) <= 63
+    assert sorted(tuple(r) for r in x.collect()) == [(i, i % 3) for i in range(20)]
+    dealt = durable_as_dealt(x.join(x.select("v"), "v").repartition(3, "v"))
+    assert size_bits(dealt) <= 63
+    plan = dealt.groupBy("v").count()._jdf.queryExecution().executedPlan().toString()
+    assert "Exchange" not in plan  # it still knows how it is dealt
+    assert dealt.count() == 20
+    release(dealt)
+
+
+def test_coarsening_keeps_estimates_small(spark):
+    from graphpart.operators import baselines
+
+    got = baselines.coarsen_lpa_partition(graphs.small_world(spark, 60, 2, 0.3), 2, coarse_target=20)
+    assert size_bits(got) <= 63 and got.count() == 60
