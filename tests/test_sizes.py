@@ -102,3 +102,16 @@ def test_coarsening_keeps_estimates_small(spark):
 
     got = baselines.coarsen_lpa_partition(graphs.small_world(spark, 60, 2, 0.3), 2, coarse_target=20)
     assert size_bits(got) <= 63 and got.count() == 60
+
+
+def test_coarse_graphs_stay_out_of_the_driver(spark, monkeypatch):
+    from pyspark.sql.classic.dataframe import DataFrame
+
+    from graphpart.operators import baselines
+
+    e = graphs.small_world(spark, 150, 2, 0.3)
+    with monkeypatch.context() as m:
+        m.setattr(DataFrame, "collect", lambda self: pytest.fail("rows of the graph go to the driver"))
+        got = baselines.multilevel_partition(e, 4, coarse_target=100)
+    rows = got.collect()
+    assert sorted(r["v"] for r in rows) == list(range(150)) and {r["label"] for r in rows} == {0, 1, 2, 3}
